@@ -50,11 +50,48 @@ def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset")
 
 
+def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from probseq.llm import warc
+
+    index = warc.write(read(spark, sf_dir, "pages"))
+    return warc.read(index).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from probseq.llm import quality
+    from probseq.llm.langid import remainder
+
+    docs = read(spark, sf_dir, "documents")
+    held = F.coalesce(remainder("doc_id", 5) == 0, F.lit(False))
+    model = quality.fit(docs, read(spark, sf_dir, "labels"), ~held)
+    out = quality.score(docs, model)
+    return out.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
+def op9_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from probseq.llm import langid
+
+    docs = read(spark, sf_dir, "documents")
+    held = F.coalesce(langid.remainder("doc_id", 4) == 2, F.lit(False))
+    out = langid.predict(docs, langid.fit(docs, ~held))
+    return out.select("doc_id", held.alias("held_out"), "lang_pred", "score")
+
+
+def op10_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from probseq.llm.embeddings import link
+
+    return link(read(spark, sf_dir, "embeddings"))
+
+
 QUERIES = {
     "op1_sentencepiece": op1_sentencepiece,
     "op2_sharding": op2_sharding,
     "op3_media": op3_media,
     "op5_packing": op5_packing,
+    "op7_warc": op7_warc,
+    "op8_quality": op8_quality,
+    "op9_langid": op9_langid,
+    "op10_embeddings": op10_embeddings,
 }
 
 ORACLES: dict[str, str] = {}
