@@ -43,6 +43,12 @@ def op3_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return roundtrip(read(spark, sf_dir, "documents"))
 
 
+def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from probseq.llm.suffixes import dedup
+
+    return dedup(read(spark, sf_dir, "documents")).select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
+
+
 def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from probseq.llm.packing import pack_documents
 
@@ -50,6 +56,12 @@ def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset")
 
 
+def op6_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from probseq.llm.minhash import link
+
+    return link(read(spark, sf_dir, "documents"), words=2, num=80, den=100)
+
+
 def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     from probseq.llm import warc
 
@@ -87,7 +99,9 @@ QUERIES = {
     "op1_sentencepiece": op1_sentencepiece,
     "op2_sharding": op2_sharding,
     "op3_media": op3_media,
+    "op4_suffix_dedup": op4_suffix_dedup,
     "op5_packing": op5_packing,
+    "op6_minhash": op6_minhash,
     "op7_warc": op7_warc,
     "op8_quality": op8_quality,
     "op9_langid": op9_langid,
