@@ -62,24 +62,26 @@ def mined(spark: SparkSession, sf_dir: str, work: str, min_sup: float, weighted:
 
 # --- miners: (name, workload, min_sup, weighted, deepest level + 1)
 
+# Long dense sequences keep caps loose at every depth: there the exact support prunes, and a length limit ends the search.
+EXACT = {"prune": "exact"}
 MINERS = [
-    ("mine_weighted_customer_brand", "customer_brand", 0.12, True, 3),
-    ("mine_unweighted_customer_brand", "customer_brand", 0.15, False, 3),
-    ("mine_weighted_userday", "userday_types", 0.002, True, 4),
-    ("mine_unweighted_userday", "userday_types", 0.002, False, 4),
-    ("mine_userday_clicks", "userday_clicks", 0.0005, False, 3),
-    ("mine_user_buckets", "user_buckets", 0.5, False, 4),
-    ("mine_sentence_words", "sentence_words", 0.003, False, 4),
-    ("mine_order_brand", "order_brand", 0.004, True, 3),
-    ("mine_customer_type_size", "customer_type_size", 0.12, False, 3),
-    ("mine_segment_brand_type", "segment_brand_type", 0.02, False, 3),
-    ("mine_supplier_brand", "supplier_brand", 0.9, True, 3),
-    ("mine_curated_words", "curated_words", 0.01, True, 4),
-    ("mine_dialogue", "dialogue", 0.2, True, 5),
-    ("mine_page_tags", "page_tags", 0.75, False, 5),
-    ("mine_vector_bins", "vector_bins", 0.6, True, 4),
-    ("mine_toy_weighted", "toy", 0.1, True, 4),
-    ("mine_toy_unweighted", "toy", 0.1, False, 4),
+    ("mine_weighted_customer_brand", "customer_brand", 0.12, True, 3, {}),
+    ("mine_unweighted_customer_brand", "customer_brand", 0.15, False, 3, EXACT),
+    ("mine_weighted_userday", "userday_types", 0.002, True, 4, {}),
+    ("mine_unweighted_userday", "userday_types", 0.002, False, 4, {}),
+    ("mine_userday_clicks", "userday_clicks", 0.0005, False, 3, {}),
+    ("mine_user_buckets", "user_buckets", 0.5, False, 3, EXACT | {"max_len": 3}),
+    ("mine_sentence_words", "sentence_words", 0.003, False, 4, EXACT),
+    ("mine_order_brand", "order_brand", 0.004, True, 3, {}),
+    ("mine_customer_type_size", "customer_type_size", 0.12, False, 3, EXACT),
+    ("mine_segment_brand_type", "segment_brand_type", 0.02, False, 3, EXACT),
+    ("mine_supplier_brand", "supplier_brand", 0.9, True, 2, EXACT | {"max_len": 2}),
+    ("mine_curated_words", "curated_words", 0.01, True, 4, EXACT),
+    ("mine_dialogue", "dialogue", 0.2, True, 3, EXACT | {"max_len": 3}),
+    ("mine_page_tags", "page_tags", 0.6, False, 3, EXACT | {"max_len": 3}),
+    ("mine_vector_bins", "vector_bins", 0.5, True, 2, EXACT | {"max_len": 2}),
+    ("mine_toy_weighted", "toy", 0.1, True, 4, {}),
+    ("mine_toy_unweighted", "toy", 0.1, False, 4, {}),
 ]
 
 
@@ -87,8 +89,8 @@ def _miner(work: str, min_sup: float, weighted: bool, **kw) -> Query:
     return lambda spark, sf_dir: shown(mined(spark, sf_dir, work, min_sup, weighted, **kw).result)
 
 
-for _name, _work, _sup, _weighted, _depth in MINERS:
-    query(_name, O.mine(_work, _sup, _depth, weighted=_weighted))(_miner(_work, _sup, _weighted))
+for _name, _work, _sup, _weighted, _depth, _kw in MINERS:
+    query(_name, O.mine(_work, _sup, _depth, weighted=_weighted))(_miner(_work, _sup, _weighted, **_kw))
 
 _variants = {
     "mine_final_scan": {"verify": "final_scan"},
@@ -100,7 +102,7 @@ _variants = {
     "mine_loose_global_weight": {"support_cap": "loose", "weight_cap": "global"},
 }
 for _name, _kw in _variants.items():
-    query(_name, O.mine("user_buckets", 0.6, 3))(_miner("user_buckets", 0.6, True, **_kw))
+    query(_name, O.mine("user_buckets", 0.6, 2))(_miner("user_buckets", 0.6, True, max_len=2, **_kw))
 
 # a weight factor, sequence frequencies, a length limit and a given threshold
 query("mine_weight_factor", O.mine("userday_types", 0.002, 4, wgt_fct=1.5))(_miner("userday_types", 0.002, True, wgt_fct=1.5))
