@@ -4,8 +4,7 @@ A unit vector x is kept as s * q + e with int8 q; |x.y - s_x s_y q_x.q_y| <= |s_
 so a tile of integer products decides almost all pairs, and only those whose interval contains the threshold are
 computed again in double precision. Integer products up to 2^24 are exact in float32, whose matrix product is fast.
 
-Equal vectors of a label are one class first. Classes are ordered along a walk by their nearest of a few pivots and
-cut into blocks; two blocks meet only if the angle between their centres leaves room for a link (triangle inequality,
+Equal vectors of a label are one class first. Classes are cut into blocks by their nearest of a few pivots; two blocks meet only if the angle between their centres leaves room for a link (triangle inequality,
 exact). A tile yields, per vector, how many it links with and one edge to the least member of its part of the tile:
 rows grow with vectors, not with pairs. Vectors that are null, zero, or hold null or non-finite values, and those with a
 null label, link with nothing. Vectors of different lengths link with nothing. Repeated (vec_id, label, vector) rows are one vector.
@@ -25,7 +24,7 @@ from probseq.llm.common import numbered, settle
 from probseq.llm.components import components
 
 BLOCK = 1024
-PIVOTS = 24
+PIVOTS = 4
 
 
 def quantise(x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -76,6 +75,7 @@ def roots(n: int, pairs: np.ndarray) -> np.ndarray:
 def link(vectors: DataFrame, least: float = 0.98, id_col: str = "vec_id", vector: str = "embedding", label: str = "label", block: int = BLOCK) -> DataFrame:
     """(id, n_links, component_id, kept) of every vector."""
     spark = vectors.sparkSession
+    stored = vectors.schema[vector].dataType.simpleString()  # vectors travel in the width they came in
     reach = math.acos(min(1.0, least)) + 1e-7
     rows = vectors.select(F.col(id_col).cast("long").alias("id"), F.col(label).alias("label"), F.col(vector).cast("array<double>").alias("v")).distinct()
     good = F.col("label").isNotNull() & F.col("id").isNotNull() & (F.size("v") > 0) & F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists("v", lambda x: x != 0)
@@ -103,13 +103,12 @@ def link(vectors: DataFrame, least: float = 0.98, id_col: str = "vec_id", vector
             yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(b.num_columns)), pa.array(own), pa.array(turn)], [*b.schema.names, "pivot", "turn"])
 
     spread = classes.select("v", "label", "rep", "many").mapInArrow(near_pivot, f"v array<double>, label {vectors.schema[label].dataType.simpleString()}, rep long, many long, pivot int, turn double")
-    # blocks: vectors of a label and length in order of pivot and quantised angle
-    step = F.floor(F.col("turn") * 16).cast("int")
-    keyed = spread.withColumn("dim", F.size("v")).withColumn("band", F.col("pivot") * 64 + step)
-    ranked = numbered(keyed, ["label", "dim", "band"], F.col("rep"), [F.col("rep")], "rank")
+    # blocks: vectors of a label, length and nearest pivot; a block is what a tile multiplies, so it must not be small
+    keyed = spread.withColumn("dim", F.size("v"))
+    ranked = numbered(keyed, ["label", "dim", "pivot"], F.col("rep"), [F.col("rep")], "rank")
     blocked = settle(ranked.withColumn("part", F.floor(F.col("rank") / block).cast("int")), "vector-blocks")
     packed = settle(
-        blocked.groupBy("label", "dim", "band", "part").agg(F.sort_array(F.collect_list(F.struct("rep", "many", "v"))).alias("rows")).withColumn("block", F.xxhash64("label", "dim", "band", "part")),
+        blocked.groupBy("label", "dim", "pivot", "part").agg(F.sort_array(F.collect_list(F.struct("rep", "many", F.col("v").cast(stored).alias("v")))).alias("rows")).withColumn("block", F.xxhash64("label", "dim", "pivot", "part")),
         "vector-tiles",
     )
 
@@ -139,7 +138,7 @@ def link(vectors: DataFrame, least: float = 0.98, id_col: str = "vec_id", vector
         def columns(a: pa.ListArray):
             f = a.flatten()
             v = f.field("v")
-            return f.field("rep").to_numpy(), f.field("many").to_numpy(), v.flatten().to_numpy().reshape(len(f), -1)
+            return f.field("rep").to_numpy(), f.field("many").to_numpy(), v.flatten().to_numpy().astype(np.float64).reshape(len(f), -1)
 
         for batch in batches:
             for i in range(batch.num_rows):
