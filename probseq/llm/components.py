@@ -8,6 +8,9 @@ from pyspark.sql import functions as F
 from probseq.llm.common import settle
 
 
+FILE_ROWS = 1_000_000
+
+
 def components(links: DataFrame, rounds: int = 60) -> DataFrame:
     """(node, root): the smallest node that each linked node can reach; `links` has long columns a and b.
 
@@ -15,6 +18,8 @@ def components(links: DataFrame, rounds: int = 60) -> DataFrame:
     below the smallest of these, until no edge changes. Edges stay at most as many as links, and long chains halve.
     """
     edges = settle(links.where("a <> b").select(F.greatest("a", "b").alias("v"), F.least("a", "b").alias("u")).distinct(), "edges")
+    mark = lambda d: d.agg(F.count(F.lit(1)), F.sum(F.xxhash64("v", "u").cast("decimal(38,0)"))).first()
+    last = mark(edges)
     for _ in range(rounds):
         # large step: all neighbours of a node that exceed it go below its smallest neighbour or itself
         both = edges.select("v", "u").union(edges.select(F.col("u").alias("v"), F.col("v").alias("u")))
@@ -24,11 +29,12 @@ def components(links: DataFrame, rounds: int = 60) -> DataFrame:
         low = large.groupBy("v").agg(F.min("u").alias("m"))
         joined = large.join(low, "v")
         small = joined.select(F.col("u").alias("v"), F.col("m").alias("u")).union(low.select("v", F.col("m").alias("u"))).where("v <> u").distinct()
-        new = settle(small, "edges")
-        mark = lambda d: d.agg(F.count(F.lit(1)), F.sum(F.xxhash64("v", "u").cast("decimal(38,0)"))).first()
-        same, edges = mark(new) == mark(edges), new
-        if same:
+        # edges never grow in number, so their count says how many files they need
+        edges = settle(small.coalesce(max(1, -(-last[0] // FILE_ROWS))), "edges")
+        now = mark(edges)
+        if now == last:
             break
+        last = now
     else:
         raise RuntimeError("components did not settle")
     nodes = edges.select(F.col("v").alias("node"), F.col("u").alias("root"))

@@ -6,9 +6,10 @@ permutations, and a band agrees with probability J^rows for either kind. With 40
 missed with probability 5e-6.
 
 Equal shingle sets are one node (a 64-bit hash of the set). Nodes that share a band are candidates, but pairs within a
-band are not enumerated: in each round every band compares its members of other components with one pivot, confirmed
-links grow the components, and only what is left apart is compared pair by pair at the end. So a group of copies costs
-a few comparisons a member, and no candidate link between components goes untested. Links are confirmed on full sets.
+band are not enumerated: every band compares its members with PIVOTS of them, confirmed links make components, and only
+what is left apart is compared pair by pair. So a group of copies costs a few comparisons a member, and no candidate
+link between components goes untested. A pair is looked at only if sizes and one-bit signatures allow the similarity
+(missed with a chance below 3e-7), and links are confirmed on full sets.
 
 Laws: words are runs of bytes other than 0x20 and 0x09-0x0D, with A-Z lower-cased. A document's set has its distinct
 `words`-word shingles; with fewer words the whole sequence is the one shingle; without words the set is empty and linked
@@ -29,7 +30,7 @@ from probseq.llm.common import EOS_ORDER, gather, list_array, map_parts, order_k
 from probseq.llm.components import components
 
 BANDS, ROWS = 40, 6
-PIVOT_ROUNDS = 4
+PIVOTS = 2  # members of a band that all others are compared with first
 _A, _B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 _inverse = pow(int(_B), -1, 1 << 64)
 _lower = np.arange(256, dtype=np.uint8)
@@ -106,8 +107,9 @@ def set_ids(sets: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     return out.view(np.int64)
 
 
-def band_keys(sets: np.ndarray, sizes: np.ndarray, bands: int, rows: int, seed: int = 1) -> np.ndarray:
-    """(documents with a set) x bands of 64-bit keys: one half from minima, the other from maxima of the same permutations."""
+def band_keys(sets: np.ndarray, sizes: np.ndarray, bands: int, rows: int, seed: int = 1) -> tuple[np.ndarray, np.ndarray]:
+    """For documents with a set: band keys, one half from minima, the other from maxima of the same permutations;
+    and one bit of each value of the signature, packed into words."""
     half = (bands + 1) // 2
     rng = np.random.default_rng(seed)
     salt = rng.integers(0, 1 << 63, half * rows, dtype=np.uint64)
@@ -115,17 +117,33 @@ def band_keys(sets: np.ndarray, sizes: np.ndarray, bands: int, rows: int, seed:
     full = np.flatnonzero(sizes)
     begin = (np.cumsum(sizes) - sizes)[full]
     keys = np.zeros((len(full), 2 * half), np.uint64)
+    bits = np.zeros((len(full), words_of(bands, rows)), np.uint64)
     if not len(full):
-        return keys[:, :bands]
+        return keys[:, :bands], bits
     x = np.empty_like(sets)
     with np.errstate(over="ignore"):
         for i in range(half * rows):
             np.bitwise_xor(sets, salt[i], out=x)
             np.multiply(x, odd[i], out=x)
             for part, reduce in ((0, np.minimum), (half, np.maximum)):
-                k = part + i // rows
-                keys[:, k] = mix(keys[:, k] * _A + reduce.reduceat(x, begin) + np.uint64(k))
-    return keys[:, :bands]
+                k, t = part + i // rows, 2 * i + (part > 0)
+                value = reduce.reduceat(x, begin)
+                keys[:, k] = mix(keys[:, k] * _A + value + np.uint64(k))
+                bits[:, t // 64] |= (value >> np.uint64(20) & np.uint64(1)) << np.uint64(t % 64)
+    return keys[:, :bands], bits
+
+
+def words_of(bands: int, rows: int) -> int:
+    return -(-2 * ((bands + 1) // 2) * rows // 64)
+
+
+def least_agreement(num: int, den: int, bands: int, rows: int) -> int:
+    """Signature bits in which a pair of similarity num / den agrees at least, but for a chance below 3e-7.
+
+    A bit agrees with probability (1 + J) / 2; both values of a permutation may move together, which doubles the variance.
+    """
+    n, p = 2 * ((bands + 1) // 2) * rows, (1 + num / den) / 2
+    return int(n * p - 5 * (2 * n * p * (1 - p)) ** 0.5)
 
 
 def sketch(rows: DataFrame, names: list[str], words: int, bands: int, n_rows: int) -> DataFrame:
@@ -134,12 +152,12 @@ def sketch(rows: DataFrame, names: list[str], words: int, bands: int, n_rows: in
     def part(batch: pa.RecordBatch) -> pa.RecordBatch:
         body, off = utf8(batch, "_body")
         sets, sizes = shingles(body, off, words)
-        keys = band_keys(sets, sizes, bands, n_rows)
+        keys, bits = band_keys(sets, sizes, bands, n_rows)
         own = [batch.column(i) for i in range(len(names))]
-        return pa.RecordBatch.from_arrays([*own, pa.array(set_ids(sets, sizes)), pa.array(sizes), list_array(keys.view(np.int64).ravel(), np.where(sizes > 0, bands, 0), pa.int64())], [*names, "node", "n_shingles", "keys"])
+        return pa.RecordBatch.from_arrays([*own, pa.array(set_ids(sets, sizes)), pa.array(sizes), list_array(keys.view(np.int64).ravel(), np.where(sizes > 0, bands, 0), pa.int64()), list_array(bits.view(np.int64).ravel(), np.where(sizes > 0, bits.shape[1], 0), pa.int64())], [*names, "node", "n_shingles", "keys", "bits"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.select(*names).schema)
-    return map_parts(rows.select(*names, "_body"), "_body", part, f"{schema}, node long, n_shingles long, keys array<long>", 2 << 20)
+    return map_parts(rows.select(*names, "_body"), "_body", part, f"{schema}, node long, n_shingles long, keys array<long>, bits array<long>", 2 << 20)
 
 
 def full_sets(rows: DataFrame, words: int) -> DataFrame:
@@ -180,46 +198,45 @@ def link(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100, bands:
     base = docs.select(*(F.col(c).alias(f"_keep{i}") for i, c in enumerate(names)), order_key(id_col).alias("_order"), F.xxhash64(body).alias("_text_hash"), body.alias("_body"))
     sketched = settle(sketch(base, ["_order", "_text_hash"], words, bands, rows), "sketches")
     filled = sketched.where("n_shingles > 0")
-    banded = filled.select("node", "n_shingles", F.posexplode("keys").alias("_band", "_key")).select("node", "n_shingles", F.xxhash64("_band", "_key").alias("bucket"))
-    shared = banded.groupBy("bucket").agg(F.min("node").alias("_low"), F.max("node").alias("_high")).where("_low <> _high").select("bucket")
-    members = settle(banded.join(shared, "bucket").groupBy("bucket", "node").agg(F.first("n_shingles").alias("n")), "bands")
-    nodes = settle(members.groupBy("node").agg(F.first("n").alias("n")), "nodes")
+    many_words, agree = words_of(bands, rows), least_agreement(num, den, bands, rows)
+    sig = [f"s{k}" for k in range(many_words)]
+    banded = filled.select("node", F.col("n_shingles").alias("n"), *(F.get("bits", F.lit(k)).alias(c) for k, c in enumerate(sig)), F.posexplode("keys").alias("_band", "_key")).withColumn("bucket", F.xxhash64("_band", "_key")).drop("_band", "_key")
+    masks = [_mask(k) for k in range(PIVOTS)]
+    pivots = [F.min(F.col("node").bitwiseXOR(F.lit(m))).bitwiseXOR(F.lit(m)).alias(f"_p{k}") for k, m in enumerate(masks)]
+    shared = banded.groupBy("bucket").agg(F.min("node").alias("_low"), F.max("node").alias("_high"), *pivots).where("_low <> _high").drop("_low", "_high")
+    members = settle(banded.join(shared, "bucket").groupBy("bucket", "node").agg(*(F.first(c).alias(c) for c in ["n", *sig, *(f"_p{k}" for k in range(PIVOTS))])), "bands")
+    nodes = settle(members.groupBy("node").agg(*(F.first(c).alias(c) for c in ["n", *sig])), "nodes")
     # one text per node with a candidate
     chosen = filled.join(nodes.select("node"), "node", "left_semi").groupBy("node").agg(F.min(F.struct("_order", "_text_hash")).alias("_one")).select("_one.*").distinct()
     texts = base.select("_order", "_text_hash", "_body").join(chosen, ["_order", "_text_hash"], "left_semi")
     sets = settle(full_sets(texts, words).dropDuplicates(["node"]), "sets")
-    links = sketched.sparkSession.createDataFrame([], "a long, b long")
-    tested, root, step = None, None, 0
-    while True:
-        placed = nodes.withColumn("root", F.col("node")) if root is None else nodes.join(root, "node", "left").select("node", "n", F.coalesce("root", "node").alias("root"))
-        placed = settle(placed, "placed")
-        inside = members.select("bucket", "node").join(placed, "node")
-        apart = inside.groupBy("bucket").agg(F.min("root").alias("_r0"), F.max("root").alias("_r1"), F.min(F.col("node").bitwiseXOR(F.lit(_mask(step)))).alias("_p")).where("_r0 <> _r1")
-        if step < PIVOT_ROUNDS:
-            pivots = apart.select("bucket", F.col("_p").bitwiseXOR(F.lit(_mask(step))).alias("pivot"))
-            other = placed.select(F.col("node").alias("pivot"), F.col("n").alias("_pn"), F.col("root").alias("_pr"))
-            pairs = inside.join(pivots, "bucket").join(other, "pivot").where((F.col("root") != F.col("_pr")) & _near("n", "_pn", num, den))
-            pairs = pairs.select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b"))
-        else:
-            left = inside.join(apart.select("bucket"), "bucket")
-            x, y = left.alias("x"), left.alias("y")
-            pairs = x.join(y, (F.col("x.bucket") == F.col("y.bucket")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.root") != F.col("y.root")))
-            pairs = pairs.where(_near("x.n", "y.n", num, den)).select(F.col("x.node").alias("a"), F.col("y.node").alias("b"))
-        pairs = pairs.distinct()
-        if tested is not None:
-            pairs = pairs.join(tested.select("a", "b"), ["a", "b"], "left_anti")
-        result = settle(confirmed(pairs, sets, num, den), "pairs")
-        tested = result if tested is None else tested.unionByName(result)
-        found = result.where("linked")
-        fresh = result.agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("linked").cast("long")).alias("k")).first()
-        if fresh["k"]:
-            links = links.unionByName(found.select("a", "b"))
-            root = components(links)
-        step += 1
-        if step > PIVOT_ROUNDS or not _left(members, nodes, root):
-            break
-    full = sketched if root is None else sketched.join(root, "node", "left")
-    placed = full.select("_order", "_text_hash", "n_shingles", F.when(F.col("n_shingles") > 0, F.coalesce(F.col("root"), F.col("node")) if root is not None else F.col("node")).alias("_group"))
+
+    def likely(x: str, y: str):
+        """Sizes and signature bits that a similarity of num / den allows."""
+        same = sum((F.bit_count(F.col(x + c).bitwiseXOR(F.col(y + c))) for c in sig), F.lit(0))
+        sizes = F.least(x + "n", y + "n") * F.lit(den) >= F.greatest(x + "n", y + "n") * F.lit(num)
+        return sizes & (same <= F.lit(2 * ((bands + 1) // 2) * rows - agree))
+
+    # every member against the pivots of its bands
+    star = members.select("node", F.explode(F.array(*(F.col(f"_p{k}") for k in range(PIVOTS)))).alias("pivot")).where("node <> pivot")
+    star = star.select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b")).distinct()
+    x, y = nodes.select(*(F.col(c).alias("x" + c) for c in ["node", "n", *sig])), nodes.select(*(F.col(c).alias("y" + c) for c in ["node", "n", *sig]))
+    pairs = star.join(x, F.col("a") == F.col("xnode")).join(y, F.col("b") == F.col("ynode")).where(likely("x", "y")).select("a", "b")
+    tested = settle(confirmed(pairs, sets, num, den), "pairs")
+    links = tested.where("linked").select("a", "b")
+    root = settle(components(links), "roots")
+    # what shares a band but not a component, pair by pair
+    inside = members.drop(*(f"_p{k}" for k in range(PIVOTS))).join(root, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    apart = inside.groupBy("bucket").agg(F.min("root").alias("_r0"), F.max("root").alias("_r1")).where("_r0 <> _r1").select("bucket")
+    left = settle(inside.join(apart, "bucket", "left_semi"), "apart")
+    x, y = (left.select("bucket", *(F.col(c).alias(p + c) for c in ["node", "n", "root", *sig])) for p in "xy")
+    rest = x.join(y.withColumnRenamed("bucket", "_b"), (F.col("bucket") == F.col("_b")) & (F.col("xnode") < F.col("ynode")) & (F.col("xroot") != F.col("yroot")) & likely("x", "y"))
+    rest = rest.select(F.col("xnode").alias("a"), F.col("ynode").alias("b")).distinct().join(tested.select("a", "b"), ["a", "b"], "left_anti")
+    more = settle(confirmed(rest, sets, num, den).where("linked").select("a", "b"), "links")
+    if more.limit(1).count():
+        root = components(links.unionByName(more))
+    full = sketched.join(root, "node", "left")
+    placed = full.select("_order", "_text_hash", "n_shingles", F.when(F.col("n_shingles") > 0, F.coalesce("root", "node")).alias("_group"))
     least = placed.where(F.col("_group").isNotNull()).groupBy("_group").agg(F.min("_order").alias("_least"))
     decided = placed.join(least, "_group", "left").select("_order", "_text_hash", "n_shingles", F.coalesce("_least", "_order").alias("_least")).distinct()
     real = F.when(F.col("_least") < EOS_ORDER, F.col("_least"))
@@ -230,17 +247,7 @@ def link(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100, bands:
     return out.select(*(F.col(f"_keep{i}").alias(c) for i, c in enumerate(names)), "n_shingles", real.alias("component_id"), (F.col("_order") == F.col("_least")).alias("kept"))
 
 
-def _near(x: str, y: str, num: int, den: int):
-    """Set sizes that a similarity of num / den allows."""
-    return F.least(x, y) * F.lit(den) >= F.greatest(x, y) * F.lit(num)
-
-
 def _mask(step: int) -> int:
     """Another order of nodes for each round."""
     return int(mix(np.array([step + 1], np.uint64)).view(np.int64)[0])
 
-
-def _left(members: DataFrame, nodes: DataFrame, root: DataFrame | None) -> bool:
-    """Whether a band still has members of several components."""
-    placed = nodes.select("node", F.col("node").alias("root")) if root is None else nodes.join(root, "node", "left").select("node", F.coalesce("root", "node").alias("root"))
-    return bool(members.join(placed, "node").groupBy("bucket").agg(F.min("root").alias("_r0"), F.max("root").alias("_r1")).where("_r0 <> _r1").limit(1).count())
