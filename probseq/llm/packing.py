@@ -13,6 +13,7 @@ rows of their own; an empty table gives no rows; other columns are ignored.
 from __future__ import annotations
 
 import json
+import os
 import re
 import unicodedata
 import zlib
@@ -48,10 +49,11 @@ class TokenTable(dict):
     life of the worker; later ones are dropped after the part that brought them.
     """
 
-    def __init__(self, spec: str, limit: int = 150_000):
+    def __init__(self, spec: str, limit: int = 60_000):
         super().__init__()
         from tokenizers import Tokenizer, pre_tokenizers
 
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core, and every thread of the library keeps an arena
         self.tokenizer, self.limit, self.letters = Tokenizer.from_str(spec), limit, byte_letters()
         made = json.loads(spec)
         cut = [x["pattern"]["Regex"] for x in made["pre_tokenizer"].get("pretokenizers", []) if x["type"] == "Split"]
@@ -81,8 +83,12 @@ class TokenTable(dict):
         """Ids of the pending entries, at the end of the flat array."""
         new, self.pending = self.pending, []
         plain = [t for t in new if t[0] != " "]
-        runs = [" ".join(map(self.merged, plain[i : i + 256])) for i in range(0, len(plain), 256)]
-        ids = np.array([x for e in self.merger.encode_batch_fast(runs, add_special_tokens=False) for x in e.ids], np.uint32)
+        # few at a time, as what the library returns for a token takes far more room than its id
+        made = []
+        for i in range(0, len(plain), 4096):
+            runs = [" ".join(map(self.merged, plain[k : k + 256])) for k in range(i, min(i + 4096, len(plain)), 256)]
+            made += [np.array(e.ids, np.uint32) for e in self.merger.encode_batch_fast(runs, add_special_tokens=False)]
+        ids = np.concatenate(made) if made else np.zeros(0, np.uint32)
         last = np.flatnonzero(self.ends[ids])
         per = np.diff(last, prepend=-1).tolist()
         if len(per) != len(plain) or len(plain) < len(new):  # words that the tokenizer takes whole, or pieces that it lacks
@@ -158,7 +164,7 @@ def windows(docs: DataFrame, tokenizer: str, window: int = 2048, end_id: int = 1
         return pa.RecordBatch.from_arrays(cols, names)
 
     schema = f"{id_col} {kind}, start long, length long, ids_crc32 long, doc_tokens long" + ", ids array<int>" * with_ids
-    return map_parts(docs.select(F.col(id_col), F.col(text).alias("_text")), "_text", part, schema)
+    return map_parts(docs.select(F.col(id_col), F.col(text).alias("_text")), "_text", part, schema, 2 << 20)
 
 
 class RoomTree:
