@@ -132,10 +132,10 @@ def _(spark, sf_dir):
     return shown(mine_capped(normal_probability(one), None, MiningParams(0.0), 30.0).result)
 
 
-@query("mine_loose_customer_brand", O.mine("customer_brand", 0.18, 3))
+@query("mine_loose_userday", O.mine("userday_types", 0.01, 3))
 def _(spark, sf_dir):
-    occ = occurrences(spark, sf_dir, "customer_brand")
-    return shown(baselines.mine_loose(occ, item_weights(spark, occ, "customer_brand"), MiningParams(0.18)).result)
+    occ = occurrences(spark, sf_dir, "userday_types")
+    return shown(baselines.mine_loose(occ, item_weights(spark, occ, "userday_types"), MiningParams(0.01)).result)
 
 
 @query("mine_global_weight_userday", O.mine("userday_types", 0.002, 4))
@@ -365,3 +365,8 @@ query("select_patterns", f"{_POST} SELECT pattern, {O.r6('seq_weight')} AS seq_w
 query("rollup_length", f"{_POST} SELECT length, n_events, count(*)::BIGINT AS n, {O.r6('sum(wes)')} AS wes FROM (SELECT *, length AS n_events FROM res) GROUP BY ROLLUP (length, n_events)")(
     _post(lambda r: r.rollup(F.col("length").cast("long").alias("length"), F.col("n_events").cast("long").alias("n_events")).agg(F.count(F.lit(1)).alias("n"), r6(F.sum("wes")).alias("wes")))
 )
+
+
+from probseq import experiments, increments, relational  # noqa: E402  they register more queries
+
+__all__ = ["QUERIES", "ORACLES", "experiments", "increments", "relational"]
