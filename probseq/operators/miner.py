@@ -87,7 +87,7 @@ def mine_capped(occ: DataFrame, weights: DataFrame | None, params: MiningParams,
     if threshold is None:
         threshold = global_threshold(n, wam, params.min_sup, params.wgt_fct)
     stats = {"n_seq": n, "wam": wam, "w_max": w_max, "min_wes": threshold}
-    if threshold <= 0 and params.max_len is None:
+    if n and threshold <= 0 and params.max_len is None:
         raise ValueError("a threshold of 0 keeps everything: give max_len")
     # items that no frequent pattern can hold, as their own cap fails even with the heaviest weight, never leave the scan
     value = F.col("sm") if params.support_cap == "tight" else F.col("mx") * F.col("ct")

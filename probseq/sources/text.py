@@ -15,7 +15,7 @@ from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 def parse_lines(lines: DataFrame, seq_id: str = "seq_id", text: str = "value") -> DataFrame:
     """(seq_id, pos, item, p) of lines with one sequence each."""
     body = F.split_part(text, F.lit("-2"), F.lit(1))
-    events = F.filter(F.transform(F.split(body, r"(?<![^ ])-1(?![^ ])"), F.trim), lambda e: e != "")
+    events = F.filter(F.transform(F.split(body, r"(?<![^ ])-1(?![^ ])"), lambda e: F.trim(e)), lambda e: e != "")
     at = lines.select(F.col(seq_id).cast("long").alias("seq_id"), F.posexplode(events).alias("k", "e"))
     each = at.select("seq_id", (F.col("k") + 1).alias("pos"), F.explode(F.split("e", " +")).alias("x"))
     p = F.when(F.instr("x", ":") > 0, F.element_at(F.split("x", ":"), -1).cast("double")).otherwise(F.lit(1.0))
