@@ -108,4 +108,23 @@ QUERIES = {
     "op10_embeddings": op10_embeddings,
 }
 
-ORACLES: dict[str, str] = {}
+_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+
+ORACLES: dict[str, str] = {
+    # exact prefix join of all sets, then components by recursion
+    "op6_minhash": f"""WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}'), '[^\\x20\\x09-\\x0D]+') AS w FROM documents),
+ s AS MATERIALIZED (SELECT DISTINCT doc_id, CASE WHEN len(w) = 1 THEN w[1] ELSE w[k] || ' ' || w[k + 1] END AS x FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w), 2))) AS k FROM w WHERE len(w) > 0)),
+ n AS MATERIALIZED (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id), f AS (SELECT x, count(*) AS f FROM s GROUP BY x),
+ p AS MATERIALIZED (SELECT doc_id, x, n FROM (SELECT s.doc_id, s.x, n.n, row_number() OVER (PARTITION BY s.doc_id ORDER BY f.f, s.x) AS r FROM s JOIN f USING (x) JOIN n USING (doc_id)) WHERE r <= n - ceil(n * 0.8) + 1),
+ c AS MATERIALIZED (SELECT DISTINCT a.doc_id AS a, b.doc_id AS b, a.n AS na, b.n AS nb FROM p a JOIN p b ON a.x = b.x AND a.doc_id < b.doc_id AND least(a.n, b.n) * 100 >= greatest(a.n, b.n) * 80),
+ l AS MATERIALIZED (SELECT c.a, c.b FROM c JOIN s x ON x.doc_id = c.a JOIN s y ON y.doc_id = c.b AND y.x = x.x GROUP BY c.a, c.b, c.na, c.nb HAVING 100 * count(*) >= 80 * (c.na + c.nb - count(*))),
+ e AS MATERIALIZED (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
+ r(id, c) AS (SELECT doc_id, doc_id FROM documents UNION SELECT e.b, r.c FROM r JOIN e ON e.a = r.id)
+ SELECT d.doc_id, coalesce(any_value(n.n), 0)::BIGINT AS n_shingles, min(r.c) AS component_id, min(r.c) = d.doc_id AS kept FROM documents d JOIN r ON r.id = d.doc_id LEFT JOIN n ON n.doc_id = d.doc_id GROUP BY d.doc_id""",
+    "op7_warc": """WITH d AS (SELECT page_id, strlen(coalesce(html, '')) AS n, sha256(coalesce(html, '')) AS h FROM pages), g AS (SELECT h, min(page_id) AS f FROM d WHERE n >= 100 GROUP BY h)
+ SELECT page_id, n::BIGINT AS payload_bytes, h AS payload_digest, CASE WHEN page_id > f THEN 'revisit' ELSE 'response' END AS record_type, CASE WHEN page_id > f THEN f END AS refers_to FROM d LEFT JOIN g USING (h)""",
+    "op10_embeddings": """WITH RECURSIVE v AS MATERIALIZED (SELECT vec_id, label, embedding::DOUBLE[] AS e FROM embeddings),
+ l AS MATERIALIZED (SELECT a.vec_id AS a, b.vec_id AS b FROM v a JOIN v b ON a.label = b.label AND a.vec_id <> b.vec_id WHERE list_dot_product(a.e, b.e) / sqrt(list_dot_product(a.e, a.e) * list_dot_product(b.e, b.e)) >= 0.98),
+ r(id, c) AS (SELECT vec_id, vec_id FROM v UNION SELECT l.b, r.c FROM r JOIN l ON l.a = r.id), k AS (SELECT a, count(*) AS n FROM l GROUP BY a)
+ SELECT v.vec_id, coalesce(any_value(k.n), 0)::BIGINT AS n_links, min(r.c) AS component_id, min(r.c) = v.vec_id AS kept FROM v JOIN r ON r.id = v.vec_id LEFT JOIN k ON k.a = v.vec_id GROUP BY v.vec_id""",
+}
