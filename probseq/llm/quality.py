@@ -107,8 +107,14 @@ def _gradients(w: list[np.ndarray], x: np.ndarray, first: np.ndarray, y: np.ndar
 def train(texts: list[bytes], labels: np.ndarray, weights: np.ndarray, epochs: int = 40, batch: int = 128, seed: int = 7) -> Model:
     """Adam on the logistic loss; deterministic for equal input."""
     rng = np.random.default_rng(seed)
-    off = np.concatenate([[0], np.cumsum([len(t) for t in texts])]).astype(np.int64)
-    x, first = passages(np.frombuffer(b"".join(texts), np.uint8), off)
+    parts = []
+    for k in range(0, len(texts), 64):  # features of a few documents at a time: the driver is small
+        own = texts[k : k + 64]
+        parts.append(passages(np.frombuffer(b"".join(own), np.uint8), np.concatenate([[0], np.cumsum([len(t) for t in own])]).astype(np.int64)))
+    x = np.concatenate([p[0] for p in parts])
+    begin = np.cumsum([0] + [len(p[0]) for p in parts])
+    first = np.concatenate([p[1] + b for p, b in zip(parts, begin, strict=False)])
+    del parts
     shift, scale = x.mean(axis=0), x.std(axis=0) + 1e-3
     x = (x - shift) / scale
     many = np.diff(np.append(first, len(x)))
@@ -130,7 +136,7 @@ def train(texts: list[bytes], labels: np.ndarray, weights: np.ndarray, epochs: i
     return Model(shift, scale, [p.astype(np.float32) for p in w])
 
 
-def fit(docs: DataFrame, labels: DataFrame, usable: Column, target: str = "quality", per_label: int = 1200, byte_limit: int = 20_000, id_col: str = "doc_id", text: str = "text") -> Model | None:
+def fit(docs: DataFrame, labels: DataFrame, usable: Column, target: str = "quality", per_label: int = 800, byte_limit: int = 20_000, id_col: str = "doc_id", text: str = "text") -> Model | None:
     """`usable` says, by columns of `docs`, which rows may teach."""
     taught = labels.where(F.col(target).isNotNull()).groupBy(F.col(id_col).alias("_id")).agg(F.min(target).alias("_low"), F.max(target).alias("_high")).where("_low = _high")
     rows = docs.where(usable).select(F.col(id_col).alias("_id"), F.col(text).alias("_body")).join(taught.select("_id", F.col("_low").alias("_y")), "_id")
