@@ -9,8 +9,8 @@ code wins.
 As statistics are frozen, a byte's cost is a function of it and the three before it: the trees are unrolled once into a
 table of rows by context, and a text is scored by two gathers per byte for all languages at once.
 
-Fitting reads a bounded sample of labelled documents (`per_language` documents at most, those with the smallest hashes,
-of at most `byte_limit` bytes each); everything else is scored whole. Defined results: null texts and texts without a
+Fitting reads a bounded sample of labelled documents (about `per_language` of each language, chosen by hash, of at most
+`byte_limit` bytes each); everything else is scored whole. Defined results: null texts and texts without a
 letter are `und` with score 0; with nothing to learn from, all texts are `und`; equal texts have equal results.
 """
 
@@ -20,7 +20,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from probseq.llm.common import map_parts, utf8
@@ -110,14 +110,27 @@ def code_lengths(trees: Trees, body: np.ndarray, off: np.ndarray) -> np.ndarray:
     return out
 
 
+def share_of(label: str, counts: dict, per_label: int) -> Column:
+    """Whether a row's hash falls in the share of its label that makes about `per_label` rows."""
+    out = F.lit(False)
+    for value, n in counts.items():
+        out = out | ((F.col(label) == value) & (F.pmod("_hash", F.lit(1_000_000)) < min(1_000_000, -(-per_label * 1_000_000 // n))))
+    return out
+
+
+def row_hash(id_col: str, text: str) -> Column:
+    return F.xxhash64(F.col(id_col).cast("string"), F.col(text)).alias("_hash")
+
+
+def teachable(text: str, byte_limit: int) -> Column:
+    return F.col(text).isNotNull() & (F.octet_length(text) <= byte_limit)
+
+
 def sample(docs: DataFrame, usable: Column, label: str, per_label: int, byte_limit: int, id_col: str = "doc_id", text: str = "text") -> DataFrame:
-    """(label, text) of at most `per_label` usable rows of each label, by the smallest hash of id and text."""
-    rows = docs.where(usable & F.col(label).isNotNull() & F.col(text).isNotNull() & (F.octet_length(text) <= byte_limit))
-    keyed = rows.select(F.col(label).alias("_label"), F.col(id_col).alias("_id"), F.xxhash64(F.col(id_col).cast("string"), F.col(text)).alias("_hash"))
-    ranked = keyed.withColumn("_rank", F.row_number().over(Window.partitionBy("_label").orderBy("_hash"))).where(F.col("_rank") <= per_label)
-    chosen = ranked.select("_label", "_hash").distinct()  # at most per_label rows a label
-    own = rows.select(F.col(label).alias("_label"), F.xxhash64(F.col(id_col).cast("string"), F.col(text)).alias("_hash"), F.col(text).alias("_text"))
-    return own.join(F.broadcast(chosen), ["_label", "_hash"]).dropDuplicates(["_label", "_hash"]).select("_label", "_text")
+    """(label, text) of about `per_label` usable rows of each label, by a hash of id and text; no shuffle but of counts."""
+    rows = docs.where(usable & F.col(label).isNotNull() & teachable(text, byte_limit))
+    counts = {r["_label"]: r["count"] for r in rows.groupBy(F.col(label).alias("_label")).count().collect()}
+    return rows.select(F.col(label).alias("_label"), row_hash(id_col, text), F.col(text).alias("_text")).where(share_of("_label", counts, per_label)).select("_label", "_text")
 
 
 def fit(docs: DataFrame, usable: Column, lang: str = "lang", per_language: int = 300, byte_limit: int = 20_000, id_col: str = "doc_id", text: str = "text") -> Trees | None:

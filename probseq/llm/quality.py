@@ -5,7 +5,7 @@ histogram of byte pairs and its share of distinct byte quadruples. A hidden laye
 (tanh times sigmoid) weighs the passages of a document, and a logistic output scores their weighted mean. Labels stand at
 documents only; the attention learns which passages give a document away.
 
-Fitting reads a bounded sample (`per_label` labelled documents of each value, smallest hashes first, of at most
+Fitting reads a bounded sample (about `per_label` labelled documents of each value, chosen by hash, of at most
 `byte_limit` bytes); scoring reads every whole text. Each class counts by its share among all labelled rows.
 Defined results: null and empty texts are one blank passage; with no usable labels the score is 0.5; labels that
 are null or disagree for one document do not teach; equal texts have equal scores.
@@ -21,7 +21,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from probseq.llm.common import map_parts, utf8
-from probseq.llm.langid import sample
+from probseq.llm.langid import row_hash, share_of, teachable
 
 PASSAGE = 256
 PAIRS = 128
@@ -139,11 +139,15 @@ def train(texts: list[bytes], labels: np.ndarray, weights: np.ndarray, epochs: i
 def fit(docs: DataFrame, labels: DataFrame, usable: Column, target: str = "quality", per_label: int = 800, byte_limit: int = 20_000, id_col: str = "doc_id", text: str = "text") -> Model | None:
     """`usable` says, by columns of `docs`, which rows may teach."""
     taught = labels.where(F.col(target).isNotNull()).groupBy(F.col(id_col).alias("_id")).agg(F.min(target).alias("_low"), F.max(target).alias("_high")).where("_low = _high")
-    rows = docs.where(usable).select(F.col(id_col).alias("_id"), F.col(text).alias("_body")).join(taught.select("_id", F.col("_low").alias("_y")), "_id")
-    shares = {r["_y"]: r["count"] for r in rows.groupBy("_y").count().collect()}
+    # ids and hashes alone meet the labels; the texts of the few chosen ones are read in a second scan
+    keyed = docs.where(usable & teachable(text, byte_limit)).select(F.col(id_col).alias("_id"), row_hash(id_col, text))
+    rows = keyed.join(taught.select("_id", F.col("_low").alias("_label")), "_id").select("_label", "_hash")
+    shares = {r["_label"]: r["count"] for r in rows.groupBy("_label").count().collect()}
     if len(shares) < 2:
         return None
-    got = sorted((r["_text"].encode(), int(r["_label"])) for r in sample(rows, F.lit(True), "_y", per_label, byte_limit, "_id", "_body").collect())
+    chosen = rows.where(share_of("_label", shares, per_label)).distinct()  # about per_label rows of each label
+    texts = docs.where(usable & teachable(text, byte_limit)).select(row_hash(id_col, text), F.col(text).alias("_text"))
+    got = sorted({(r["_text"].encode(), int(r["_label"])) for r in texts.join(F.broadcast(chosen), "_hash").select("_text", "_label").collect()})
     y = np.array([k for _, k in got], np.float32)
     weights = np.array([shares[k] / max(1, (y == k).sum()) for _, k in got], np.float32)
     return train([t for t, _ in got], y, weights) if len(set(y.tolist())) > 1 else None
