@@ -147,11 +147,12 @@ def predict(docs: DataFrame, trees: Trees | None, id_col: str = "doc_id", text:
     """
     own = keep if keep is not None else [id_col]
     shared = docs.sparkSession.sparkContext.broadcast(trees)
-    rows = docs.select(*own, F.col(text).alias("_text"), F.coalesce(F.col(text).rlike(r"\p{L}"), F.lit(False)).alias("_letter"))
+    more = [] if text in own else [F.col(text)]  # the text travels once
+    rows = docs.select(*own, *more, F.coalesce(F.col(text).rlike(r"\p{L}"), F.lit(False)).alias("_letter"))
 
     def part(batch: pa.RecordBatch) -> pa.RecordBatch:
         t = shared.value
-        body, off = utf8(batch, "_text")
+        body, off = utf8(batch, text)
         letter = batch.column(batch.num_columns - 1).to_numpy(zero_copy_only=False)
         names, score = np.full(batch.num_rows, UNKNOWN, object), np.zeros(batch.num_rows)
         if t is not None and letter.any():
@@ -165,7 +166,7 @@ def predict(docs: DataFrame, trees: Trees | None, id_col: str = "doc_id", text:
         return pa.RecordBatch.from_arrays([*cols, pa.array(names.tolist(), pa.string()), pa.array(score)], [*own, "lang_pred", "score"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*own).schema)
-    return map_parts(rows, "_text", part, f"{schema}, lang_pred string, score double", 1 << 20)
+    return map_parts(rows, text, part, f"{schema}, lang_pred string, score double", 1 << 19)
 
 
 def remainder(id_col: str, by: int) -> Column:

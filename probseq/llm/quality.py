@@ -160,7 +160,7 @@ def score(docs: DataFrame, model: Model | None, id_col: str = "doc_id", text: st
 
     def part(batch: pa.RecordBatch) -> pa.RecordBatch:
         m = shared.value
-        body, off = utf8(batch, "_text")
+        body, off = utf8(batch, text)
         p = np.full(batch.num_rows, 0.5)
         if m is not None:
             x, first = passages(body, off)
@@ -168,7 +168,8 @@ def score(docs: DataFrame, model: Model | None, id_col: str = "doc_id", text: st
         return pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(own))), pa.array(p)], [*own, "score"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*own).schema)
-    return map_parts(docs.select(*own, F.col(text).alias("_text")), "_text", part, f"{schema}, score double", 1 << 20)
+    more = [] if text in own else [F.col(text)]  # the text travels once
+    return map_parts(docs.select(*own, *more), text, part, f"{schema}, score double", 1 << 19)
 
 
 def attention(model: Model, text: bytes) -> np.ndarray:
