@@ -6,9 +6,10 @@ permutations, and a band agrees with probability J^rows for either kind. With 40
 missed with probability 5e-6.
 
 Equal shingle sets are one node (a 64-bit hash of the set). Nodes that share a band are candidates, but pairs within a
-band are not enumerated: every band compares its members with PIVOTS of them, confirmed links make components, and only
-what is left apart is compared pair by pair. So a group of copies costs a few comparisons a member, and no candidate
-link between components goes untested. A pair is looked at only if sizes and one-bit signatures allow the similarity
+band are not enumerated: every band compares its members with PIVOTS of them, then those still apart with MORE_PIVOTS
+of the largest part that confirmed links made, and only what is left apart goes through an exact prefix join of full sets. So a group of copies costs a few comparisons a
+member, a group of texts just under the similarity costs hardly any, and no candidate link between components goes
+untested. A pair of the first kind is looked at only if sizes and one-bit signatures allow the similarity
 (missed with a chance below 3e-7), and links are confirmed on full sets.
 
 Laws: words are runs of bytes other than 0x20 and 0x09-0x0D, with A-Z lower-cased. A document's set has its distinct
@@ -30,7 +31,9 @@ from probseq.llm.common import EOS_ORDER, gather, list_array, map_parts, order_k
 from probseq.llm.components import components
 
 BANDS, ROWS = 40, 6
-PIVOTS = 2  # members of a band that all others are compared with first
+SAMPLE = 6000  # sets that order items for the prefix join
+MORE_PIVOTS = 8  # members of a band's largest part that the others are compared with next
+PIVOTS = 1  # members of a band that all others are compared with first
 _A, _B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 _inverse = pow(int(_B), -1, 1 << 64)
 _lower = np.arange(256, dtype=np.uint8)
@@ -191,6 +194,60 @@ def confirmed(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFram
     return j.select("a", "b", "_x", "_y").mapInArrow(run, "a long, b long, linked boolean")
 
 
+def spread(links: DataFrame, steps: int = 3) -> DataFrame:
+    """(node, root): the smallest node within `steps` links. Equal roots are connected; others may be, too."""
+    both = links.select(F.col("a").alias("v"), F.col("b").alias("u")).union(links.select(F.col("b").alias("v"), F.col("a").alias("u")))
+    root = both.groupBy("v").agg(F.least(F.min("u"), F.col("v")).alias("r"))
+    for _ in range(steps - 1):
+        beyond = both.join(root.select(F.col("v").alias("u"), "r"), "u").groupBy("v").agg(F.min("r").alias("r2"))
+        root = root.join(beyond, "v").select("v", F.least("r", "r2").alias("r"))
+    return root.select(F.col("v").alias("node"), F.col("r").alias("root"))
+
+
+def frequent_items(sets: DataFrame, most: int = SAMPLE) -> tuple[np.ndarray, np.ndarray]:
+    """(sorted items, counts) of the items that occur twice or more in a sample of at most about `most` sets."""
+    n = sets.count()
+    part = sets if n <= most else sets.where(F.pmod(F.xxhash64("node", F.lit(5)), F.lit(n)) < most)
+    items, counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    found = [np.frombuffer(r["items"], np.uint64) for r in part.select("items").collect()]
+    if found:
+        items, counts = np.unique(np.concatenate(found), return_counts=True)
+    return items[counts > 1], counts[counts > 1]
+
+
+def prefix_pairs(sets: DataFrame, num: int, den: int) -> DataFrame:
+    """Distinct pairs (a, b) of nodes with different roots that may reach the similarity; none that does is left out.
+
+    Items are put in one order, rare ones first. Sets that reach the similarity share an item among the first
+    n - ceil(n num / den) + 1 of each, and from the first shared one on there is room for the overlap that they need.
+    The order comes from a bounded sample: it decides how many pairs are looked at, not which are found.
+    """
+    common = sets.sparkSession.sparkContext.broadcast(frequent_items(sets))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known, counts = common.value
+        for batch in batches:
+            out: list[list[np.ndarray]] = [[], [], [], [], []]
+            for node, root, x in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
+                s = np.frombuffer(x.as_buffer(), np.uint64)
+                at = np.minimum(np.searchsorted(known, s), max(len(known) - 1, 0))
+                often = np.where(known[at] == s, counts[at], 0) if len(known) else np.zeros(len(s), np.int64)
+                first = s[np.lexsort((s, often))][: len(s) - -(-len(s) * num // den) + 1]
+                k = len(first)
+                for c, v in zip(out, (first.view(np.int64), np.full(k, node), np.full(k, root), np.full(k, len(s)), np.arange(k)), strict=True):
+                    c.append(v)
+            if out[0]:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in out], ["item", "node", "root", "n", "place"])
+
+    rows = sets.select("node", "root", "items").mapInArrow(run, "item long, node long, root long, n long, place long")
+    x, y = (rows.select("item", *(F.col(c).alias(p + c) for c in ["node", "root", "n", "place"])) for p in "xy")
+    room = F.least(F.col("xn") - F.col("xplace"), F.col("yn") - F.col("yplace"))
+    sizes = F.least("xn", "yn") * F.lit(den) >= F.greatest("xn", "yn") * F.lit(num)
+    enough = room * F.lit(num + den) >= (F.col("xn") + F.col("yn")) * F.lit(num)
+    met = x.join(y.withColumnRenamed("item", "_i"), (F.col("item") == F.col("_i")) & (F.col("xnode") < F.col("ynode")) & (F.col("xroot") != F.col("yroot")) & sizes & enough)
+    return met.select(F.col("xnode").alias("a"), F.col("ynode").alias("b")).distinct()
+
+
 def link(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100, bands: int = BANDS, rows: int = ROWS, id_col: str = "doc_id", text: str = "text", keep: list[str] | None = None) -> DataFrame:
     """Every row with n_shingles, component_id (smallest id reachable by links of similarity >= num / den) and kept."""
     names = keep if keep is not None else [id_col]
@@ -224,17 +281,29 @@ def link(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100, bands:
     pairs = star.join(x, F.col("a") == F.col("xnode")).join(y, F.col("b") == F.col("ynode")).where(likely("x", "y")).select("a", "b")
     tested = settle(confirmed(pairs, sets, num, den), "pairs")
     links = tested.where("linked").select("a", "b")
-    root = settle(components(links), "roots")
-    # what shares a band but not a component, pair by pair
-    inside = members.drop(*(f"_p{k}" for k in range(PIVOTS))).join(root, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    root = settle(spread(links), "roots")
+    # those apart from most of a band: against several members of its largest part
+    inside = members.select("bucket", "node").join(root, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    far = [_mask(PIVOTS + k) for k in range(MORE_PIVOTS)]
+    parts = inside.groupBy("bucket", "root").agg(F.count(F.lit(1)).alias("_many"), *(F.min(F.col("node").bitwiseXOR(F.lit(m))).bitwiseXOR(F.lit(m)).alias(f"_p{k}") for k, m in enumerate(far)))
+    chosen_part = F.max_by(F.struct("root", *(f"_p{k}" for k in range(MORE_PIVOTS))), F.struct("_many", "root")).alias("_top")
+    top = parts.groupBy("bucket").agg(F.count(F.lit(1)).alias("_parts"), chosen_part).where("_parts > 1").select("bucket", F.col("_top.root").alias("_to"), *(F.col(f"_top._p{k}").alias(f"_p{k}") for k in range(MORE_PIVOTS)))
+    asked = inside.join(top, "bucket").where("root <> _to").groupBy("node", "_to").agg(*(F.min(f"_p{k}").alias(f"_p{k}") for k in range(MORE_PIVOTS)))
+    near = asked.select("node", F.explode(F.array_distinct(F.array(*(F.col(f"_p{k}") for k in range(MORE_PIVOTS))))).alias("pivot"))
+    near = near.select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b")).distinct().join(tested.select("a", "b"), ["a", "b"], "left_anti")
+    x, y = nodes.select(*(F.col(c).alias("x" + c) for c in ["node", "n", *sig])), nodes.select(*(F.col(c).alias("y" + c) for c in ["node", "n", *sig]))
+    second = near.join(x, F.col("a") == F.col("xnode")).join(y, F.col("b") == F.col("ynode")).where(likely("x", "y")).select("a", "b")
+    tested = tested.unionByName(settle(confirmed(second, sets, num, den), "pairs"))
+    links = tested.where("linked").select("a", "b")
+    root = settle(spread(links), "roots")
+    # what shares a band but not a part: an exact prefix join of these nodes' full sets
+    inside = members.select("bucket", "node").join(root, "node", "left").withColumn("root", F.coalesce("root", "node"))
     apart = inside.groupBy("bucket").agg(F.min("root").alias("_r0"), F.max("root").alias("_r1")).where("_r0 <> _r1").select("bucket")
-    left = settle(inside.join(apart, "bucket", "left_semi"), "apart")
-    x, y = (left.select("bucket", *(F.col(c).alias(p + c) for c in ["node", "n", "root", *sig])) for p in "xy")
-    rest = x.join(y.withColumnRenamed("bucket", "_b"), (F.col("bucket") == F.col("_b")) & (F.col("xnode") < F.col("ynode")) & (F.col("xroot") != F.col("yroot")) & likely("x", "y"))
-    rest = rest.select(F.col("xnode").alias("a"), F.col("ynode").alias("b")).distinct().join(tested.select("a", "b"), ["a", "b"], "left_anti")
+    left = inside.join(apart, "bucket", "left_semi").groupBy("node").agg(F.first("root").alias("root"))
+    loose = settle(sets.join(left, "node").select("node", "root", "items"), "apart")
+    rest = prefix_pairs(loose, num, den).join(tested.select("a", "b"), ["a", "b"], "left_anti")
     more = settle(confirmed(rest, sets, num, den).where("linked").select("a", "b"), "links")
-    if more.limit(1).count():
-        root = components(links.unionByName(more))
+    root = components(links.unionByName(more))
     full = sketched.join(root, "node", "left")
     placed = full.select("_order", "_text_hash", "n_shingles", F.when(F.col("n_shingles") > 0, F.coalesce("root", "node")).alias("_group"))
     least = placed.where(F.col("_group").isNotNull()).groupBy("_group").agg(F.min("_order").alias("_least"))
