@@ -65,7 +65,7 @@ def mined(spark: SparkSession, sf_dir: str, work: str, min_sup: float, weighted:
 # Long dense sequences keep caps loose at every depth: there the exact support prunes, and a length limit ends the search.
 EXACT = {"prune": "exact"}
 MINERS = [
-    ("mine_weighted_customer_brand", "customer_brand", 0.12, True, 3, {}),
+    ("mine_weighted_customer_brand", "customer_brand", 0.12, True, 3, EXACT),
     ("mine_unweighted_customer_brand", "customer_brand", 0.15, False, 3, EXACT),
     ("mine_weighted_userday", "userday_types", 0.002, True, 4, {}),
     ("mine_unweighted_userday", "userday_types", 0.002, False, 4, {}),
