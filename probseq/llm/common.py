@@ -76,10 +76,38 @@ def slices(batch: pa.RecordBatch, column: str, most: int) -> Iterator[pa.RecordB
         at = to
 
 
-def map_parts(df: DataFrame, column: str, fn: Callable[[pa.RecordBatch], pa.RecordBatch | None], schema: str, most: int = 4 << 20) -> DataFrame:
+_resident: dict[str, object] = {}
+
+
+def resident(owner: str, make: Callable[[], object]) -> object:
+    """An object that a worker keeps from task to task, as long as no task of another operator comes between."""
+    release(owner)
+    if owner not in _resident:
+        _resident[owner] = make()
+    return _resident[owner]
+
+
+def release(but: str | None = None) -> None:
+    """Lets go what a worker keeps for other operators, and gives the memory back."""
+    others = [k for k in _resident if k != but]
+    for k in others:
+        del _resident[k]
+    if others:
+        import ctypes
+        import gc
+
+        gc.collect()
+        try:
+            ctypes.CDLL(None).malloc_trim(0)
+        except (AttributeError, OSError):  # not glibc
+            pass
+
+
+def map_parts(df: DataFrame, column: str, fn: Callable[[pa.RecordBatch], pa.RecordBatch | None], schema: str, most: int = 4 << 20, owner: str | None = None) -> DataFrame:
     """mapInArrow over parts of bounded size, so that Python memory does not follow the row count of a batch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release(owner)
         for batch in batches:
             for part in slices(batch, column, most):
                 if (out := fn(part)) is not None and out.num_rows:

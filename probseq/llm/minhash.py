@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probseq.llm.common import EOS_ORDER, gather, list_array, map_parts, order_key, settle, utf8
+from probseq.llm.common import EOS_ORDER, gather, list_array, map_parts, order_key, release, settle, utf8
 from probseq.llm.components import components
 
 BANDS, ROWS = 40, 6
@@ -181,6 +181,7 @@ def confirmed(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFram
     j = pairs.join(sets.select(F.col("node").alias("a"), F.col("items").alias("_x")), "a").join(sets.select(F.col("node").alias("b"), F.col("items").alias("_y")), "b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release()
         for batch in batches:
             ok = []
             for x, y in zip(batch.column(2), batch.column(3), strict=True):

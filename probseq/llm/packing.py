@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probseq.llm.common import gather, list_array, map_parts, numbered, settle
+from probseq.llm.common import gather, list_array, map_parts, numbered, resident, settle
 
 _split = re.compile(r"[^ \t\n\r\f\v]+")
 
@@ -138,18 +138,15 @@ class TokenTable(dict):
         return np.insert(ids, np.cumsum(per), end_id), per + 1
 
 
-_tables: dict[tuple, TokenTable] = {}
-
-
 def windows(docs: DataFrame, tokenizer: str, window: int = 2048, end_id: int = 1, id_col: str = "doc_id", text: str = "text", with_ids: bool = True) -> DataFrame:
     """Pieces (id, start, length, ids_crc32, doc_tokens[, ids]) of all documents; every piece but a last one is full."""
     spec = docs.sparkSession.sparkContext.broadcast(Path(tokenizer).read_text(encoding="utf-8"))
+    owner = f"tokens of {tokenizer} {end_id}"
     kind = docs.schema[id_col].dataType.simpleString()
     names = [id_col, "start", "length", "ids_crc32", "doc_tokens"] + ["ids"] * with_ids
 
     def part(batch: pa.RecordBatch) -> pa.RecordBatch:
-        key = (hash(spec.value), end_id)
-        table = _tables.get(key) or _tables.setdefault(key, TokenTable(spec.value))
+        table = resident(owner, lambda: TokenTable(spec.value))
         flat, counts = table.encode(batch.column(1).to_pylist(), end_id)
         pieces = -(-counts // window)
         doc = np.repeat(np.arange(len(counts)), pieces)
@@ -164,7 +161,7 @@ def windows(docs: DataFrame, tokenizer: str, window: int = 2048, end_id: int = 1
         return pa.RecordBatch.from_arrays(cols, names)
 
     schema = f"{id_col} {kind}, start long, length long, ids_crc32 long, doc_tokens long" + ", ids array<int>" * with_ids
-    return map_parts(docs.select(F.col(id_col), F.col(text).alias("_text")), "_text", part, schema, 2 << 20)
+    return map_parts(docs.select(F.col(id_col), F.col(text).alias("_text")), "_text", part, schema, 2 << 20, owner)
 
 
 class RoomTree:

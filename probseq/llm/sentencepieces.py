@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probseq.llm.common import gather, list_array, map_parts
+from probseq.llm.common import gather, list_array, map_parts, resident
 
 MARK = "▁"
 _chunks = re.compile(f"{MARK}+[^{MARK}]*")
@@ -96,21 +96,17 @@ class ChunkTable(dict):
         return out
 
 
-_tables: dict[int, ChunkTable] = {}
-
-
 def encode(docs: DataFrame, model: str, text: str = "text", ids: str = "ids", decoded: str = "decoded", id_col: str = "doc_id") -> DataFrame:
     """(id, ids array<int>, decoded string) of every row; `model` is the path of a SentencePiece model on the driver."""
-    proto = docs.sparkSession.sparkContext.broadcast(Path(model).read_bytes())
+    proto, owner = docs.sparkSession.sparkContext.broadcast(Path(model).read_bytes()), f"chunks of {model}"
     kind = docs.schema[id_col].dataType.simpleString()
 
     def part(batch: pa.RecordBatch) -> pa.RecordBatch:
-        key = hash(proto.value)
-        table = _tables.get(key) or _tables.setdefault(key, ChunkTable(proto.value))
+        table = resident(owner, lambda: ChunkTable(proto.value))
         flat, lengths, back = table.encode(batch.column(1).to_pylist())
         return pa.RecordBatch.from_arrays([batch.column(0), list_array(flat, lengths, pa.int32()), pa.array(back, pa.string())], [id_col, ids, decoded])
 
-    return map_parts(docs.select(F.col(id_col), F.col(text).alias("_text")), "_text", part, f"{id_col} {kind}, {ids} array<int>, {decoded} string")
+    return map_parts(docs.select(F.col(id_col), F.col(text).alias("_text")), "_text", part, f"{id_col} {kind}, {ids} array<int>, {decoded} string", owner=owner)
 
 
 def decode(rows: DataFrame, model: str, ids: str = "ids", decoded: str = "decoded", id_col: str = "doc_id") -> DataFrame:
