@@ -160,7 +160,7 @@ def sketch(rows: DataFrame, names: list[str], words: int, bands: int, n_rows: in
         return pa.RecordBatch.from_arrays([*own, pa.array(set_ids(sets, sizes)), pa.array(sizes), list_array(keys.view(np.int64).ravel(), np.where(sizes > 0, bands, 0), pa.int64()), list_array(bits.view(np.int64).ravel(), np.where(sizes > 0, bits.shape[1], 0), pa.int64())], [*names, "node", "n_shingles", "keys", "bits"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.select(*names).schema)
-    return map_parts(rows.select(*names, "_body"), "_body", part, f"{schema}, node long, n_shingles long, keys array<long>, bits array<long>", 2 << 20)
+    return map_parts(rows.select(*names, "_body"), "_body", part, f"{schema}, node long, n_shingles long, keys array<long>, bits array<long>", 1 << 20)
 
 
 def full_sets(rows: DataFrame, words: int) -> DataFrame:
@@ -173,7 +173,7 @@ def full_sets(rows: DataFrame, words: int) -> DataFrame:
         items = [sets[a:b].tobytes() for a, b in zip(stop[:-1].tolist(), stop[1:].tolist(), strict=True)]
         return pa.RecordBatch.from_arrays([pa.array(set_ids(sets, sizes)), pa.array(items, pa.binary())], ["node", "items"])
 
-    return map_parts(rows.select("_body"), "_body", part, "node long, items binary", 2 << 20)
+    return map_parts(rows.select("_body"), "_body", part, "node long, items binary", 1 << 20)
 
 
 def confirmed(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:

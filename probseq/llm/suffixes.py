@@ -239,7 +239,7 @@ def anchored(docs: DataFrame, deals: int, span: int, gram: int) -> DataFrame:
         used, blobs = _by_deal(deal, rows, deals)
         return pa.RecordBatch.from_arrays([pa.array(used, pa.int32()), pa.array(blobs, pa.binary())], ["deal", "blob"])
 
-    return map_parts(docs.select("_order", "_text_hash", "_body"), "_body", part, "deal int, blob binary", 8 << 20)
+    return map_parts(docs.select("_order", "_text_hash", "_body"), "_body", part, "deal int, blob binary", 2 << 20)
 
 
 def met(dealt: DataFrame) -> DataFrame:
@@ -315,7 +315,7 @@ def fetched(rows: DataFrame, deals: int, span: int, gram: int) -> DataFrame:
                 blobs.append(len(mine).to_bytes(8, "little") + head.tobytes() + body[gather(start[mine], length[mine])].tobytes())
         return pa.RecordBatch.from_arrays([pa.array(used, pa.int32()), pa.array(blobs, pa.binary())], ["deal", "blob"])
 
-    return map_parts(rows.select("_order", "_text_hash", "_body", "wishes"), "_body", part, "deal int, blob binary", 8 << 20)
+    return map_parts(rows.select("_order", "_text_hash", "_body", "wishes"), "_body", part, "deal int, blob binary", 2 << 20)
 
 
 HEAD = np.dtype([("order", "<i8"), ("text", "<i8"), ("first", "<u4"), ("wide", "u1")])
@@ -401,7 +401,7 @@ def cut_out(rows: DataFrame, span: int, names: list[str], as_text: bool = False)
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.select(*names).schema)
     schema += f", kept {'string' if as_text else 'binary'}, n_bytes long, n_removed long, n_spans long, removed array<struct<start:long,stop:long>>"
-    return map_parts(rows.select(*names, "_body", "spots"), "_body", part, schema, 8 << 20)
+    return map_parts(rows.select(*names, "_body", "spots"), "_body", part, schema, 2 << 20)
 
 
 def dedup(docs: DataFrame, span: int = SPAN, id_col: str = "doc_id", text: str = "text", keep: list[str] | None = None, gram: int = GRAM, as_text: bool = False) -> DataFrame:
