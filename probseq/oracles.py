@@ -46,7 +46,7 @@ BASE = {
     "user_buckets": "SELECT DISTINCT user_id AS seq_id, day(ts) * 4 + hour(ts) // 6 AS pos, event_type AS item FROM events",
     "sentence_words": _sentences("SELECT doc_id, text FROM documents WHERE lang = 'en'"),
     "curated_words": _sentences(CURATED),
-    "dialogue": """SELECT DISTINCT seq_id, pos, unnest(list_prepend('@' || role, w)) AS item FROM (SELECT conv_id AS seq_id, turn AS pos, role, list_filter(regexp_split_to_array(lower(text), '[^a-z]+'), lambda x: x <> '')[1:3] AS w FROM conversations)""",
+    "dialogue": """SELECT DISTINCT seq_id, pos, unnest(list_prepend('@' || role, w)) AS item FROM (SELECT conv_id AS seq_id, turn AS pos, role, list_filter(regexp_split_to_array(lower(text), '[^a-z]+'), lambda x: x <> '') AS w FROM conversations)""",
     "page_tags": """SELECT seq_id, k AS pos, lower(t[k]) AS item FROM (SELECT seq_id, t, unnest(range(1, least(len(t), 60) + 1)) AS k FROM (SELECT page_id AS seq_id, regexp_extract_all(html, '<([a-zA-Z][a-zA-Z0-9]*)', 1) AS t FROM pages))""",
 }
 

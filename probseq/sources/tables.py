@@ -116,8 +116,8 @@ def curated_words(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def dialogue(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Conversation / turn / role and the first three words."""
-    c = table(spark, sf_dir, "conversations").select(F.col("conv_id").alias("seq_id"), F.col("turn").alias("pos"), "role", F.slice(F.filter(F.split(F.lower("text"), r"[^a-z]+"), lambda x: x != ""), 1, 3).alias("w"))
+    """Conversation / turn / role and the distinct words."""
+    c = table(spark, sf_dir, "conversations").select(F.col("conv_id").alias("seq_id"), F.col("turn").alias("pos"), "role", F.filter(F.split(F.lower("text"), r"[^a-z]+"), lambda x: x != "").alias("w"))
     words = F.array_distinct(F.concat(F.array(F.concat(F.lit("@"), "role")), "w"))
     return c.select("seq_id", "pos", F.explode(words).alias("item"))
 

@@ -29,3 +29,16 @@ def test_late_rows_covers_all_events(spark):
     rows = check(spark, "late_rows", "/root/testdata/sf0.01")
     events = spark.read.parquet("/root/testdata/sf0.01/events.parquet").count()
     assert sum(rows.values()) == events - 1 and any(r[0] >= 2000 and r[1] for r in rows)  # the first to arrive has none before it
+
+
+def test_dialogue_takes_whole_turns(spark):
+    import re
+
+    from probseq.sources import tables
+
+    sf_dir = "/root/testdata/sf0.001"
+    want = set()
+    for r in tables.table(spark, sf_dir, "conversations").collect():
+        want |= {(r["conv_id"], r["turn"], x) for x in ["@" + r["role"], *re.findall("[a-z]+", r["text"].lower())]}
+    got = [tuple(r) for r in tables.dialogue(spark, sf_dir).collect()]
+    assert len(got) == len(set(got)) and set(got) == want
