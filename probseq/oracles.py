@@ -26,7 +26,7 @@ def _lines(item: str) -> str:
 
 def _sentences(docs: str) -> str:
     return f"""SELECT seq_id, k AS pos, words[k] AS item FROM (
-      SELECT seq_id, words, unnest(range(1, least(len(words), 40) + 1)) AS k FROM (
+      SELECT seq_id, words, unnest(range(1, len(words) + 1)) AS k FROM (
         SELECT doc_id * 10000 + s - 1 AS seq_id, list_filter(regexp_split_to_array(parts[s], '[^a-z]+'), lambda x: x <> '') AS words FROM (
           SELECT doc_id, parts, unnest(range(1, len(parts) + 1)) AS s FROM (SELECT doc_id, regexp_split_to_array(lower(text), '[.!?\\n]') AS parts FROM ({docs})))))"""
 
@@ -47,7 +47,7 @@ BASE = {
     "sentence_words": _sentences("SELECT doc_id, text FROM documents WHERE lang = 'en'"),
     "curated_words": _sentences(CURATED),
     "dialogue": """SELECT DISTINCT seq_id, pos, unnest(list_prepend('@' || role, w)) AS item FROM (SELECT conv_id AS seq_id, turn AS pos, role, list_filter(regexp_split_to_array(lower(text), '[^a-z]+'), lambda x: x <> '') AS w FROM conversations)""",
-    "page_tags": """SELECT seq_id, k AS pos, lower(t[k]) AS item FROM (SELECT seq_id, t, unnest(range(1, least(len(t), 60) + 1)) AS k FROM (SELECT page_id AS seq_id, regexp_extract_all(html, '<([a-zA-Z][a-zA-Z0-9]*)', 1) AS t FROM pages))""",
+    "page_tags": """SELECT seq_id, k AS pos, lower(t[k]) AS item FROM (SELECT seq_id, t, unnest(range(1, len(t) + 1)) AS k FROM (SELECT page_id AS seq_id, regexp_extract_all(html, '<([a-zA-Z][a-zA-Z0-9]*)', 1) AS t FROM pages))""",
 }
 
 # The example database, one row per occurrence, and its weights.

@@ -92,10 +92,10 @@ def user_buckets(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _sentences(docs: DataFrame) -> DataFrame:
-    """(seq_id, pos, item) of English documents: words 1 to 40 of each sentence, lower-cased."""
+    """(seq_id, pos, item) of English documents: the words of each sentence, lower-cased."""
     s = docs.select("doc_id", F.posexplode(F.split(F.lower("text"), r"[.!?\n]")).alias("sentence", "body"))
     w = s.select((F.col("doc_id") * 10000 + F.col("sentence")).alias("seq_id"), F.filter(F.split("body", r"[^a-z]+"), lambda x: x != "").alias("words"))
-    return w.select("seq_id", F.posexplode(F.slice("words", 1, 40)).alias("k", "item")).select("seq_id", (F.col("k") + 1).alias("pos"), "item")
+    return w.select("seq_id", F.posexplode("words").alias("k", "item")).select("seq_id", (F.col("k") + 1).alias("pos"), "item")
 
 
 def sentence_words(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -122,9 +122,9 @@ def dialogue(spark: SparkSession, sf_dir: str) -> DataFrame:
     return c.select("seq_id", "pos", F.explode(words).alias("item"))
 
 
-def page_tags(spark: SparkSession, sf_dir: str, most: int = 60) -> DataFrame:
-    """Page / place / tag name of the first `most` opening tags."""
-    p = table(spark, sf_dir, "pages").select(F.col("page_id").alias("seq_id"), F.slice(F.regexp_extract_all("html", F.lit(r"<([a-zA-Z][a-zA-Z0-9]*)"), F.lit(1)), 1, most).alias("t"))
+def page_tags(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Page / place / tag name of the opening tags."""
+    p = table(spark, sf_dir, "pages").select(F.col("page_id").alias("seq_id"), F.regexp_extract_all("html", F.lit(r"<([a-zA-Z][a-zA-Z0-9]*)"), F.lit(1)).alias("t"))
     return p.select("seq_id", F.posexplode("t").alias("k", "tag")).select("seq_id", (F.col("k") + 1).alias("pos"), F.lower("tag").alias("item"))
 
 

@@ -42,3 +42,25 @@ def test_dialogue_takes_whole_turns(spark):
         want |= {(r["conv_id"], r["turn"], x) for x in ["@" + r["role"], *re.findall("[a-z]+", r["text"].lower())]}
     got = [tuple(r) for r in tables.dialogue(spark, sf_dir).collect()]
     assert len(got) == len(set(got)) and set(got) == want
+
+
+def test_sentences_and_pages_are_whole(spark):
+    import re
+
+    from probseq.sources import tables
+
+    sf_dir = "/root/testdata/sf0.01"
+    docs = {r["doc_id"]: r["text"].lower() for r in tables.table(spark, sf_dir, "documents").where("lang = 'en'").collect()}
+    want = Counter()
+    for d, text in docs.items():
+        want.update((d * 10000 + k, n) for k, s in enumerate(re.split("[.!?\n]", text)) if (n := len(re.findall("[a-z]+", s))))
+    got = Counter((r["seq_id"], r["n"]) for r in tables.sentence_words(spark, sf_dir).groupBy("seq_id").agg({"pos": "max"}).toDF("seq_id", "n").collect())
+    assert got == want and max(n for _, n in want) > 40
+    pages = {r["page_id"]: len(re.findall("<([a-zA-Z][a-zA-Z0-9]*)", r["html"])) for r in tables.table(spark, sf_dir, "pages").collect()}
+    tags = {r["seq_id"]: r["n"] for r in tables.page_tags(spark, sf_dir).groupBy("seq_id").count().toDF("seq_id", "n").collect()}
+    assert tags == {k: n for k, n in pages.items() if n} and max(tags.values()) > 60
+
+
+@pytest.mark.parametrize("name", ["mine_sentence_words", "mine_curated_words", "mine_page_tags"])
+def test_miners_of_whole_texts(spark, name):
+    check(spark, name, "/root/testdata/sf0.01")
