@@ -24,7 +24,7 @@ class MiningParams:
     i_ext: str = "suffix"  # or cooccurring
     freq: str = "occurrences"  # or sequences
     max_len: int | None = None
-    max_candidates: int = 1_000_000
+    max_candidates: int = 1_000_000  # live nodes of one pass; a larger level takes several
     engine: str = "arrow"  # or relational
 
     def __post_init__(self):

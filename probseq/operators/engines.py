@@ -8,6 +8,7 @@ best (suffix-maximum) probability with which `item` extends `node`; for kind E t
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -48,8 +49,12 @@ class ArrowEngine:
     def close(self) -> None:
         self.packed.unpersist()
 
-    def level(self, tree: Tree, live: np.ndarray) -> DataFrame:
-        """Statistics of the nodes `live` of `tree` (an empty tree: of the root)."""
+    def level(self, tree: Tree, groups: list[np.ndarray]) -> Iterator[DataFrame]:
+        """Statistics of the live nodes of `tree` (an empty tree: of the root), one frame for each group of them."""
+        for live in groups:
+            yield self._group(tree, live)
+
+    def _group(self, tree: Tree, live: np.ndarray) -> DataFrame:
         wanted, cooccurring = set(live.tolist()), self.cooccurring
         needed, at = set(), live[live >= 0]
         while len(at):  # only branches that lead to a live node
@@ -125,25 +130,35 @@ class RelationalEngine:
     def __init__(self, occ: DataFrame, ids: DataFrame, cooccurring: bool = False):
         known = suffix_max(occ.join(ids, "item").select("seq_id", F.col("pos").cast("long").alias("pos"), F.col("id").alias("item"), "p"))
         self.occ = known.repartition("seq_id").persist(StorageLevel.MEMORY_AND_DISK)
-        self.cooccurring, self.frontier, self.names = cooccurring, None, {}
+        self.cooccurring, self.frontiers, self.fresh = cooccurring, [], []
 
     def close(self) -> None:
         self.occ.unpersist()
-        if self.frontier is not None:
-            self.frontier.unpersist()
+        for f in self.frontiers + self.fresh:
+            f.unpersist()
 
-    def level(self, tree: Tree, live: np.ndarray) -> DataFrame:
-        spark = self.occ.sparkSession
+    def level(self, tree: Tree, groups: list[np.ndarray]) -> Iterator[DataFrame]:
+        """As ArrowEngine.level; the frontiers of all groups become the next level's parents once the level is done."""
         o = self.occ
-        if live.tolist() == [ROOT]:
+        if groups[0].tolist() == [ROOT]:
             per = o.groupBy("seq_id", "item").agg(F.max("p_sfx").alias("best")).withColumn("node", F.lit(ROOT).cast("long"))
-            return _stats(per, "S")
+            yield _stats(per, "S")
+            return
+        old, self.fresh = self.frontiers, []
+        for live in groups:
+            yield self._group(tree, live)
+        self.frontiers, self.fresh = self.fresh, []
+        for f in old:
+            f.unpersist()
+
+    def _group(self, tree: Tree, live: np.ndarray) -> DataFrame:
+        o, spark = self.occ, self.occ.sparkSession
         kids = spark.createDataFrame([(int(k), int(tree.parent[k]), "S" if tree.kind[k] == b"S" else "I", int(tree.item[k])) for k in live], "node long, parent long, kind string, item int")
         small = F.broadcast(kids)
-        if self.frontier is None:
+        if not self.frontiers:
             now = o.join(small, "item").select("node", "seq_id", "pos", F.col("p").alias("pr"))
         else:
-            parent = self.frontier.select(F.col("node").alias("parent"), "seq_id", "pos", "pr")
+            parent = reduce(DataFrame.unionByName, self.frontiers).select(F.col("node").alias("parent"), "seq_id", "pos", "pr")
             i = parent.join(small.where("kind = 'I'"), "parent").join(o, ["seq_id", "pos", "item"]).select("node", "seq_id", "pos", (F.col("pr") * F.col("p")).alias("pr"))
             s_kids = small.where("kind = 'S'")
             ends = parent.join(s_kids, "parent").select("seq_id", "node", "item", "pos", "pr", F.lit(None).cast("double").alias("p"))
@@ -152,16 +167,14 @@ class RelationalEngine:
             s = ends.unionByName(items).withColumn("best", F.max("pr").over(before)).where("p is not null and best > 0").select("node", "seq_id", "pos", (F.col("best") * F.col("p")).alias("pr"))
             now = i.unionByName(s)
         now = now.repartition("seq_id").persist(StorageLevel.MEMORY_AND_DISK)
-        old, self.frontier = self.frontier, now
+        self.fresh.append(now)
         own = now.groupBy("node", "seq_id").agg(F.max("pr").alias("best")).withColumn("item", F.lit(-1))
         first = now.groupBy("seq_id", "node").agg(F.min("pos").alias("e0"))
         s = first.join(o, "seq_id").where(F.col("pos") > F.col("e0")).groupBy("node", "seq_id", "item").agg(F.max("p_sfx").alias("best"))
         last = F.broadcast(kids.select("node", F.col("item").alias("last")))
         p = "p" if self.cooccurring else "p_sfx"
         i = now.select("node", "seq_id", "pos").join(last, "node").join(o, ["seq_id", "pos"]).where(F.col("item") > F.col("last")).groupBy("node", "seq_id", "item").agg(F.max(p).alias("best"))
-        out = _stats(own, "E").unionByName(_stats(s, "S")).unionByName(_stats(i, "I"))
-        self.stale = old
-        return out
+        return _stats(own, "E").unionByName(_stats(s, "S")).unionByName(_stats(i, "I"))
 
 
 def _stats(per: DataFrame, kind: str) -> DataFrame:

@@ -5,8 +5,8 @@ probability. From these come the tight and the loose support cap at once. With a
 expected support of everything below, so what stays under the threshold is cut with all its descendants. Exact
 supports follow in one scan for all candidates, or with verify="fused" from the next level's pass.
 
-The driver holds the candidates (bounded by `max_candidates`) and never a sequence. A run takes one pass per pattern
-length and at most one more.
+The driver holds the candidates and never a sequence. A run takes one pass per pattern length and at most one more; a
+level of more than `max_candidates` nodes takes a pass for every so many of them.
 """
 
 from __future__ import annotations
@@ -38,7 +38,6 @@ class MiningRun:
     stats: dict
     threshold: float
     seconds: float
-    truncated: bool = False
     rows: list[tuple] = field(default_factory=list)  # of `candidates`
 
     @property
@@ -100,52 +99,52 @@ def mine_capped(occ: DataFrame, weights: DataFrame | None, params: MiningParams,
     ids = spark.createDataFrame([(name, k) for k, name in enumerate(names)], "item string, id int")
     engine = (ArrowEngine if params.engine == "arrow" else RelationalEngine)(occ, ids, params.i_ext == "cooccurring")
     nodes: list[_Node] = []
-    counters, truncated, depth, live = [], False, 0, np.array([ROOT])
+    counters, depth, live = [], 0, np.array([ROOT])
     w_global = w_max
     try:
-        while len(live) and not truncated:
+        while len(live):
             level_began = time.time()
             tree = _tree(nodes, names)
-            seen = Observation()
-            passed = engine.level(tree, live)
-            heads = [(ROOT, 1.0)] if depth == 0 else [(int(k), nodes[k].max_pr) for k in live]
-            pr = spark.createDataFrame(heads, "node long, max_pr double")
-            cap = F.col("max_pr") * (F.col("sm") if params.support_cap == "tight" else F.col("mx") * F.col("ct"))
             grows = params.max_len is None or depth < params.max_len
-            kept = passed.join(F.broadcast(pr), "node").observe(seen, F.sum((F.col("kind") != "E").cast("long")).alias("tested"))
-            kept = kept.where((F.col("kind") == "E") | (F.lit(grows) & (cap * w_global >= threshold * (1 - SLACK))))
-            found = kept.select("node", "kind", "item", "mx", "sm", "ct").collect()  # candidates at most
-            tested = (seen.get.get("tested") or 0) if grows else 0
-            by_node: dict[int, list] = {}
-            for r in found:
-                if r["kind"] == "E":
-                    nodes[r["node"]].es, nodes[r["node"]].support = r["sm"], r["ct"]
-                else:
-                    by_node.setdefault(r["node"], []).append(r)
-            before = len(nodes)
-            for k in live.tolist():
-                own = sorted(by_node.get(k, []), key=lambda r: (r["kind"] == "I", r["item"]))
-                node = nodes[k] if k != ROOT else _Node((), -1, 1.0, 0, 0, 0, 0.0, 0.0)
-                mx, sm, ct = (np.array([r[c] for r in own], float) for c in ("mx", "sm", "ct"))
-                w = weight_of[[r["item"] for r in own]] if own else np.zeros(0)
-                tight, loose = node.max_pr * sm, node.max_pr * mx * ct
-                bound = tight if params.support_cap == "tight" else loose
-                if params.weight_cap == "global":
-                    keep, top = bound * w_global >= threshold * (1 - SLACK), w_global
-                else:
-                    keep, top = live_extensions(bound, w, node.max_w, threshold)
-                if k != ROOT and params.prune == "exact" and (node.es or 0.0) * max(top, node.max_w) < threshold * (1 - SLACK):
-                    keep = np.zeros(len(own), bool)
-                for i in np.flatnonzero(keep):
-                    r = own[i]
-                    steps = (*node.steps, (r["kind"], names[r["item"]]))
-                    heavy = max(node.max_w, float(w[i]))
-                    w_cap = w_global if params.weight_cap == "global" else max(heavy, top)
-                    nodes.append(_Node(steps, k, float(node.max_pr * mx[i]), float(tight[i]), float(loose[i]), w_cap, node.sum_w + float(w[i]), heavy))
+            before, tested = len(nodes), 0
+            groups = [live[k : k + params.max_candidates] for k in range(0, len(live), params.max_candidates)]
+            for group, passed in zip(groups, engine.level(tree, groups), strict=True):
+                seen = Observation()
+                heads = [(ROOT, 1.0)] if depth == 0 else [(int(k), nodes[k].max_pr) for k in group]
+                pr = spark.createDataFrame(heads, "node long, max_pr double")
+                cap = F.col("max_pr") * (F.col("sm") if params.support_cap == "tight" else F.col("mx") * F.col("ct"))
+                kept = passed.join(F.broadcast(pr), "node").observe(seen, F.sum((F.col("kind") != "E").cast("long")).alias("tested"))
+                kept = kept.where((F.col("kind") == "E") | (F.lit(grows) & (cap * w_global >= threshold * (1 - SLACK))))
+                found = kept.select("node", "kind", "item", "mx", "sm", "ct").collect()  # candidates at most
+                tested += (seen.get.get("tested") or 0) if grows else 0
+                by_node: dict[int, list] = {}
+                for r in found:
+                    if r["kind"] == "E":
+                        nodes[r["node"]].es, nodes[r["node"]].support = r["sm"], r["ct"]
+                    else:
+                        by_node.setdefault(r["node"], []).append(r)
+                for k in group.tolist():
+                    own = sorted(by_node.get(k, []), key=lambda r: (r["kind"] == "I", r["item"]))
+                    node = nodes[k] if k != ROOT else _Node((), -1, 1.0, 0, 0, 0, 0.0, 0.0)
+                    mx, sm, ct = (np.array([r[c] for r in own], float) for c in ("mx", "sm", "ct"))
+                    w = weight_of[[r["item"] for r in own]] if own else np.zeros(0)
+                    tight, loose = node.max_pr * sm, node.max_pr * mx * ct
+                    bound = tight if params.support_cap == "tight" else loose
+                    if params.weight_cap == "global":
+                        keep, top = bound * w_global >= threshold * (1 - SLACK), w_global
+                    else:
+                        keep, top = live_extensions(bound, w, node.max_w, threshold)
+                    if k != ROOT and params.prune == "exact" and (node.es or 0.0) * max(top, node.max_w) < threshold * (1 - SLACK):
+                        keep = np.zeros(len(own), bool)
+                    for i in np.flatnonzero(keep):
+                        r = own[i]
+                        steps = (*node.steps, (r["kind"], names[r["item"]]))
+                        heavy = max(node.max_w, float(w[i]))
+                        w_cap = w_global if params.weight_cap == "global" else max(heavy, top)
+                        nodes.append(_Node(steps, k, float(node.max_pr * mx[i]), float(tight[i]), float(loose[i]), w_cap, node.sum_w + float(w[i]), heavy))
             live = np.arange(before, len(nodes))
             depth += 1
             counters.append({"level": depth, "tested": int(tested), "candidates": len(live), "seconds": time.time() - level_began})
-            truncated = len(nodes) > params.max_candidates
         if params.verify == "final_scan" and nodes:
             texts = spark.createDataFrame([(P.to_text(x.steps),) for x in nodes], "pattern string")
             exact = {r["pattern"]: r for r in expected_support(occ, texts, None, params.engine).collect()}
@@ -164,7 +163,7 @@ def mine_capped(occ: DataFrame, weights: DataFrame | None, params: MiningParams,
         c["frequent"] = sum(r[-1] for r in rows if r[2] == c["level"])
     good = [(r[0], r[2], r[0].count("("), r[10], r[11], r[12], r[13]) for r in rows if r[-1]]
     result = spark.createDataFrame(good, RESULT)
-    return MiningRun(result, spark.createDataFrame(rows, NODES), counters, stats, threshold, time.time() - began, truncated, rows)
+    return MiningRun(result, spark.createDataFrame(rows, NODES), counters, stats, threshold, time.time() - began, rows)
 
 
 def _tree(nodes: list[_Node], names: list[str]) -> Tree:

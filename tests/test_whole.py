@@ -64,3 +64,16 @@ def test_sentences_and_pages_are_whole(spark):
 @pytest.mark.parametrize("name", ["mine_sentence_words", "mine_curated_words", "mine_page_tags"])
 def test_miners_of_whole_texts(spark, name):
     check(spark, name, "/root/testdata/sf0.01")
+
+
+@pytest.mark.parametrize("kw", [{}, {"engine": "relational"}, {"verify": "final_scan"}, {"prune": "exact"}])
+def test_a_small_candidate_bound_loses_nothing(spark, kw):
+    from probseq.config import MiningParams
+    from probseq.operators.miner import mine_capped
+    from probseq.sources import toy
+
+    db = toy.toy_occurrences(spark).persist(), toy.toy_weights(spark)
+    whole, parts = (mine_capped(*db, MiningParams(0.1, max_candidates=n, **kw)) for n in (1_000_000, 2))
+    values = lambda run: {r[0]: (r[10], *(round(x, 9) for x in (r[6], r[7], r[8], r[11], r[13])), r[-1]) for r in run.rows}
+    assert values(parts) == values(whole) and whole.n_frequent == 8 and max(c["candidates"] for c in whole.counters) > 2
+    assert [(c["tested"], c["candidates"]) for c in parts.counters] == [(c["tested"], c["candidates"]) for c in whole.counters]
