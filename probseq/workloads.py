@@ -75,7 +75,7 @@ MINERS = [
     ("mine_order_brand", "order_brand", 0.004, True, 3, {}),
     ("mine_customer_type_size", "customer_type_size", 0.12, False, 3, EXACT),
     ("mine_segment_brand_type", "segment_brand_type", 0.02, False, 3, EXACT),
-    ("mine_supplier_brand", "supplier_brand", 0.9, True, 2, EXACT | {"max_len": 2}),
+    ("mine_supplier_brand", "supplier_brand", 0.9, True, 4, EXACT),
     ("mine_curated_words", "curated_words", 0.01, True, 4, EXACT),
     ("mine_dialogue", "dialogue", 0.2, True, 4, EXACT),
     ("mine_page_tags", "page_tags", 0.6, False, 3, EXACT | {"max_len": 3}),

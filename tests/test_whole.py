@@ -77,3 +77,20 @@ def test_a_small_candidate_bound_loses_nothing(spark, kw):
     values = lambda run: {r[0]: (r[10], *(round(x, 9) for x in (r[6], r[7], r[8], r[11], r[13])), r[-1]) for r in run.rows}
     assert values(parts) == values(whole) and whole.n_frequent == 8 and max(c["candidates"] for c in whole.counters) > 2
     assert [(c["tested"], c["candidates"]) for c in parts.counters] == [(c["tested"], c["candidates"]) for c in whole.counters]
+
+
+def test_supplier_brand_has_no_length_limit(spark):
+    from pyspark.sql import functions as F
+
+    from probseq.config import MiningParams
+    from probseq.operators.miner import mine_capped
+    from probseq.workloads import MINERS, item_weights, occurrences
+
+    kw = next(m[-1] for m in MINERS if m[0] == "mine_supplier_brand")
+    occ = occurrences(spark, "/root/testdata/sf0.01", "supplier_brand").persist()
+    w = item_weights(spark, occ, "supplier_brand")
+    heavy = [r["item"] for r in w.orderBy(F.desc("weight"), "item").limit(6).collect()]
+    run = mine_capped(occ.where(F.col("item").isin(heavy)), w, MiningParams(0.0, **kw), 48.01)  # the query's threshold
+    found = {r[0]: r[-2] for r in run.rows if r[-1]}
+    assert found["<(Brand#15)(Brand#17)(Brand#15)>"] == pytest.approx(51.62, abs=0.01)
+    assert [c["frequent"] for c in run.counters] == [6, 35, 31, 0, 0] and run.counters[-1]["candidates"] == 0
