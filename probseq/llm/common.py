@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import gc
 import shutil
 import tempfile
 import uuid
@@ -33,14 +35,56 @@ def shared_folder(spark: SparkSession) -> str:
     return named.rstrip("/")
 
 
-def settle(df: DataFrame, tag: str) -> DataFrame:
-    """Writes `df` to the shared folder and reads it back, which cuts its lineage and survives lost executors."""
+def settle(df: DataFrame, tag: str, last: bool = False) -> DataFrame:
+    """Writes `df` to the shared folder and reads it back, which cuts its lineage and survives lost executors.
+
+    `last`: a large step ends here, and what it held is swept.
+    """
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/{tag}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
+    if last:
+        sweep(spark)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def trim() -> None:
+    """Gives freed memory of this Python process back to the system."""
+    gc.collect()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # not glibc
+        pass
+
+
+def sweep(spark: SparkSession) -> None:
+    """Frees what steps that are written need no more.
+
+    Spark drops shuffle files and broadcasts of a finished plan only when the driver's JVM has collected the plan. A driver
+    that allocates little collects rarely, so between two large steps it is asked to.
+    """
+    trim()
+    spark.sparkContext._jvm.System.gc()
+
+
+def in_one_task(rows: DataFrame, make: Callable[[Iterator[pa.RecordBatch]], bytes | None]) -> bytes | None:
+    """What `make` returns for all `rows` together, made in one task: for samples of bounded size only."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release()
+        if (out := make(batches)) is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([out], pa.binary())], ["made"])
+        trim()
+
+    got = rows.repartition(1).mapInArrow(run, "made binary").collect()
+    return bytes(got[0]["made"]) if got else None
+
+
+def by_sort(a: DataFrame, b: DataFrame, on, how: str = "inner") -> DataFrame:
+    """A join of two sides that both grow with the input: sorted and merged, never sent through the driver."""
+    return a.join(b.hint("merge"), on, how)
+
+
 def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
@@ -93,14 +137,7 @@ def release(but: str | None = None) -> None:
     for k in others:
         del _resident[k]
     if others:
-        import ctypes
-        import gc
-
-        gc.collect()
-        try:
-            ctypes.CDLL(None).malloc_trim(0)
-        except (AttributeError, OSError):  # not glibc
-            pass
+        trim()
 
 
 def map_parts(df: DataFrame, column: str, fn: Callable[[pa.RecordBatch], pa.RecordBatch | None], schema: str, most: int = 4 << 20, owner: str | None = None) -> DataFrame:

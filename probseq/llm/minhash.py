@@ -27,11 +27,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probseq.llm.common import EOS_ORDER, gather, list_array, map_parts, order_key, release, settle, utf8
+from probseq.llm.common import EOS_ORDER, by_sort, gather, list_array, map_parts, order_key, release, settle, utf8
 from probseq.llm.components import components
 
 BANDS, ROWS = 40, 6
-SAMPLE = 6000  # sets that order items for the prefix join
+COUNTERS = 18  # bits of an item that choose its counter, for the order of the prefix join
+SALTS = 16  # parts of a component's nodes that meet its smallest id
+STRETCH = 4 << 20  # bytes that are split into words at once
 MORE_PIVOTS = 8  # members of a band's largest part that the others are compared with next
 PIVOTS = 1  # members of a band that all others are compared with first
 _A, _B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
@@ -57,9 +59,25 @@ def powers(base: int, n: int) -> np.ndarray:
 
 
 def word_hashes(body: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(hash of every word in order, words of each document)."""
+    """(hash of every word in order, words of each document); a long text is split at white space into stretches."""
     if not len(body):
         return np.zeros(0, np.uint64), np.zeros(len(off) - 1, np.int64)
+    if len(off) == 2 and len(body) > STRETCH:
+        found, at = [], 0
+        while at < len(body):
+            to = at + STRETCH
+            while to < len(body) and not _white[body[to]]:
+                ahead = np.flatnonzero(_white[body[to : to + STRETCH]])
+                to += int(ahead[0]) if len(ahead) else STRETCH
+            to = min(to, len(body))
+            found.append(_words(body[at:to], np.array([0, to - at]))[0])
+            at = to
+        h = np.concatenate(found)
+        return h, np.array([len(h)])
+    return _words(body, off)
+
+
+def _words(body: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     edge = np.zeros(len(body) + 1, bool)
     edge[off] = True
     word = ~_white[body]
@@ -178,7 +196,7 @@ def full_sets(rows: DataFrame, words: int) -> DataFrame:
 
 def confirmed(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
     """Pairs (a, b) with whether den * intersection >= num * union on their full sets."""
-    j = pairs.join(sets.select(F.col("node").alias("a"), F.col("items").alias("_x")), "a").join(sets.select(F.col("node").alias("b"), F.col("items").alias("_y")), "b")
+    j = by_sort(by_sort(pairs, sets.select(F.col("node").alias("a"), F.col("items").alias("_x")), "a"), sets.select(F.col("node").alias("b"), F.col("items").alias("_y")), "b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         release()
@@ -200,20 +218,30 @@ def spread(links: DataFrame, steps: int = 3) -> DataFrame:
     both = links.select(F.col("a").alias("v"), F.col("b").alias("u")).union(links.select(F.col("b").alias("v"), F.col("a").alias("u")))
     root = both.groupBy("v").agg(F.least(F.min("u"), F.col("v")).alias("r"))
     for _ in range(steps - 1):
-        beyond = both.join(root.select(F.col("v").alias("u"), "r"), "u").groupBy("v").agg(F.min("r").alias("r2"))
-        root = root.join(beyond, "v").select("v", F.least("r", "r2").alias("r"))
+        beyond = by_sort(both, root.select(F.col("v").alias("u"), "r"), "u").groupBy("v").agg(F.min("r").alias("r2"))
+        root = by_sort(root, beyond, "v").select("v", F.least("r", "r2").alias("r"))
     return root.select(F.col("v").alias("node"), F.col("r").alias("root"))
 
 
-def frequent_items(sets: DataFrame, most: int = SAMPLE) -> tuple[np.ndarray, np.ndarray]:
-    """(sorted items, counts) of the items that occur twice or more in a sample of at most about `most` sets."""
-    n = sets.count()
-    part = sets if n <= most else sets.where(F.pmod(F.xxhash64("node", F.lit(5)), F.lit(n)) < most)
-    items, counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
-    found = [np.frombuffer(r["items"], np.uint64) for r in part.select("items").collect()]
-    if found:
-        items, counts = np.unique(np.concatenate(found), return_counts=True)
-    return items[counts > 1], counts[counts > 1]
+def _counter(items: np.ndarray) -> np.ndarray:
+    return (mix(items) >> np.uint64(64 - COUNTERS)).astype(np.int64)
+
+
+def item_counts(sets: DataFrame) -> np.ndarray:
+    """How often the items of each counter occur in all sets: 2^COUNTERS numbers whatever the size of the input."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        counts = np.zeros(1 << COUNTERS, np.int64)
+        for batch in batches:
+            body, _ = utf8(batch, "items")
+            counts += np.bincount(_counter(np.frombuffer(body.tobytes(), np.uint64)), minlength=1 << COUNTERS)
+        used = np.flatnonzero(counts)
+        yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), pa.array(counts[used])], ["counter", "n"])
+
+    sums = sets.select("items").mapInArrow(run, "counter int, n long").groupBy("counter").agg(F.sum("n").alias("n")).toArrow()
+    out = np.zeros(1 << COUNTERS, np.int64)
+    out[sums.column("counter").to_numpy()] = sums.column("n").to_numpy()
+    return out
 
 
 def prefix_pairs(sets: DataFrame, num: int, den: int) -> DataFrame:
@@ -221,19 +249,17 @@ def prefix_pairs(sets: DataFrame, num: int, den: int) -> DataFrame:
 
     Items are put in one order, rare ones first. Sets that reach the similarity share an item among the first
     n - ceil(n num / den) + 1 of each, and from the first shared one on there is room for the overlap that they need.
-    The order comes from a bounded sample: it decides how many pairs are looked at, not which are found.
+    The order comes from counts over all sets; it decides how many pairs are looked at, not which are found.
     """
-    common = sets.sparkSession.sparkContext.broadcast(frequent_items(sets))
+    common = sets.sparkSession.sparkContext.broadcast(item_counts(sets))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, counts = common.value
+        counts = common.value
         for batch in batches:
             out: list[list[np.ndarray]] = [[], [], [], [], []]
             for node, root, x in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
                 s = np.frombuffer(x.as_buffer(), np.uint64)
-                at = np.minimum(np.searchsorted(known, s), max(len(known) - 1, 0))
-                often = np.where(known[at] == s, counts[at], 0) if len(known) else np.zeros(len(s), np.int64)
-                first = s[np.lexsort((s, often))][: len(s) - -(-len(s) * num // den) + 1]
+                first = s[np.lexsort((s, counts[_counter(s)]))][: len(s) - -(-len(s) * num // den) + 1]
                 k = len(first)
                 for c, v in zip(out, (first.view(np.int64), np.full(k, node), np.full(k, root), np.full(k, len(s)), np.arange(k)), strict=True):
                     c.append(v)
@@ -245,7 +271,7 @@ def prefix_pairs(sets: DataFrame, num: int, den: int) -> DataFrame:
     room = F.least(F.col("xn") - F.col("xplace"), F.col("yn") - F.col("yplace"))
     sizes = F.least("xn", "yn") * F.lit(den) >= F.greatest("xn", "yn") * F.lit(num)
     enough = room * F.lit(num + den) >= (F.col("xn") + F.col("yn")) * F.lit(num)
-    met = x.join(y.withColumnRenamed("item", "_i"), (F.col("item") == F.col("_i")) & (F.col("xnode") < F.col("ynode")) & (F.col("xroot") != F.col("yroot")) & sizes & enough)
+    met = by_sort(x, y.withColumnRenamed("item", "_i"), (F.col("item") == F.col("_i")) & (F.col("xnode") < F.col("ynode")) & (F.col("xroot") != F.col("yroot")) & sizes & enough)
     return met.select(F.col("xnode").alias("a"), F.col("ynode").alias("b")).distinct()
 
 
@@ -254,7 +280,7 @@ def link(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100, bands:
     names = keep if keep is not None else [id_col]
     body = F.coalesce(F.col(text), F.lit("")).cast("binary")
     base = docs.select(*(F.col(c).alias(f"_keep{i}") for i, c in enumerate(names)), order_key(id_col).alias("_order"), F.xxhash64(body).alias("_text_hash"), body.alias("_body"))
-    sketched = settle(sketch(base, ["_order", "_text_hash"], words, bands, rows), "sketches")
+    sketched = settle(sketch(base, ["_order", "_text_hash"], words, bands, rows), "sketches", last=True)
     filled = sketched.where("n_shingles > 0")
     many_words, agree = words_of(bands, rows), least_agreement(num, den, bands, rows)
     sig = [f"s{k}" for k in range(many_words)]
@@ -262,12 +288,12 @@ def link(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100, bands:
     masks = [_mask(k) for k in range(PIVOTS)]
     pivots = [F.min(F.col("node").bitwiseXOR(F.lit(m))).bitwiseXOR(F.lit(m)).alias(f"_p{k}") for k, m in enumerate(masks)]
     shared = banded.groupBy("bucket").agg(F.min("node").alias("_low"), F.max("node").alias("_high"), *pivots).where("_low <> _high").drop("_low", "_high")
-    members = settle(banded.join(shared, "bucket").groupBy("bucket", "node").agg(*(F.first(c).alias(c) for c in ["n", *sig, *(f"_p{k}" for k in range(PIVOTS))])), "bands")
+    members = settle(by_sort(banded, shared, "bucket").groupBy("bucket", "node").agg(*(F.first(c).alias(c) for c in ["n", *sig, *(f"_p{k}" for k in range(PIVOTS))])), "bands")
     nodes = settle(members.groupBy("node").agg(*(F.first(c).alias(c) for c in ["n", *sig])), "nodes")
     # one text per node with a candidate
-    chosen = filled.join(nodes.select("node"), "node", "left_semi").groupBy("node").agg(F.min(F.struct("_order", "_text_hash")).alias("_one")).select("_one.*").distinct()
-    texts = base.select("_order", "_text_hash", "_body").join(chosen, ["_order", "_text_hash"], "left_semi")
-    sets = settle(full_sets(texts, words).dropDuplicates(["node"]), "sets")
+    chosen = by_sort(filled, nodes.select("node"), "node", "left_semi").groupBy("node").agg(F.min(F.struct("_order", "_text_hash")).alias("_one")).select("_one.*").distinct()
+    texts = by_sort(base.select("_order", "_text_hash", "_body"), chosen, ["_order", "_text_hash"], "left_semi")
+    sets = settle(full_sets(texts, words).dropDuplicates(["node"]), "sets", last=True)
 
     def likely(x: str, y: str):
         """Sizes and signature bits that a similarity of num / den allows."""
@@ -279,42 +305,46 @@ def link(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100, bands:
     star = members.select("node", F.explode(F.array(*(F.col(f"_p{k}") for k in range(PIVOTS)))).alias("pivot")).where("node <> pivot")
     star = star.select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b")).distinct()
     x, y = nodes.select(*(F.col(c).alias("x" + c) for c in ["node", "n", *sig])), nodes.select(*(F.col(c).alias("y" + c) for c in ["node", "n", *sig]))
-    pairs = star.join(x, F.col("a") == F.col("xnode")).join(y, F.col("b") == F.col("ynode")).where(likely("x", "y")).select("a", "b")
-    tested = settle(confirmed(pairs, sets, num, den), "pairs")
+    pairs = by_sort(by_sort(star, x, F.col("a") == F.col("xnode")), y, F.col("b") == F.col("ynode")).where(likely("x", "y")).select("a", "b")
+    tested = settle(confirmed(pairs, sets, num, den), "pairs", last=True)
     links = tested.where("linked").select("a", "b")
     root = settle(spread(links), "roots")
     # those apart from most of a band: against several members of its largest part
-    inside = members.select("bucket", "node").join(root, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    inside = by_sort(members.select("bucket", "node"), root, "node", "left").withColumn("root", F.coalesce("root", "node"))
     far = [_mask(PIVOTS + k) for k in range(MORE_PIVOTS)]
     parts = inside.groupBy("bucket", "root").agg(F.count(F.lit(1)).alias("_many"), *(F.min(F.col("node").bitwiseXOR(F.lit(m))).bitwiseXOR(F.lit(m)).alias(f"_p{k}") for k, m in enumerate(far)))
     chosen_part = F.max_by(F.struct("root", *(f"_p{k}" for k in range(MORE_PIVOTS))), F.struct("_many", "root")).alias("_top")
     top = parts.groupBy("bucket").agg(F.count(F.lit(1)).alias("_parts"), chosen_part).where("_parts > 1").select("bucket", F.col("_top.root").alias("_to"), *(F.col(f"_top._p{k}").alias(f"_p{k}") for k in range(MORE_PIVOTS)))
-    asked = inside.join(top, "bucket").where("root <> _to").groupBy("node", "_to").agg(*(F.min(f"_p{k}").alias(f"_p{k}") for k in range(MORE_PIVOTS)))
+    asked = by_sort(inside, top, "bucket").where("root <> _to").groupBy("node", "_to").agg(*(F.min(f"_p{k}").alias(f"_p{k}") for k in range(MORE_PIVOTS)))
     near = asked.select("node", F.explode(F.array_distinct(F.array(*(F.col(f"_p{k}") for k in range(MORE_PIVOTS))))).alias("pivot"))
-    near = near.select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b")).distinct().join(tested.select("a", "b"), ["a", "b"], "left_anti")
+    near = near.select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b")).distinct()
+    near = by_sort(near, tested.select("a", "b"), ["a", "b"], "left_anti")
     x, y = nodes.select(*(F.col(c).alias("x" + c) for c in ["node", "n", *sig])), nodes.select(*(F.col(c).alias("y" + c) for c in ["node", "n", *sig]))
-    second = near.join(x, F.col("a") == F.col("xnode")).join(y, F.col("b") == F.col("ynode")).where(likely("x", "y")).select("a", "b")
+    second = by_sort(by_sort(near, x, F.col("a") == F.col("xnode")), y, F.col("b") == F.col("ynode")).where(likely("x", "y")).select("a", "b")
     tested = tested.unionByName(settle(confirmed(second, sets, num, den), "pairs"))
     links = tested.where("linked").select("a", "b")
     root = settle(spread(links), "roots")
     # what shares a band but not a part: an exact prefix join of these nodes' full sets
-    inside = members.select("bucket", "node").join(root, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    inside = by_sort(members.select("bucket", "node"), root, "node", "left").withColumn("root", F.coalesce("root", "node"))
     apart = inside.groupBy("bucket").agg(F.min("root").alias("_r0"), F.max("root").alias("_r1")).where("_r0 <> _r1").select("bucket")
-    left = inside.join(apart, "bucket", "left_semi").groupBy("node").agg(F.first("root").alias("root"))
-    loose = settle(sets.join(left, "node").select("node", "root", "items"), "apart")
-    rest = prefix_pairs(loose, num, den).join(tested.select("a", "b"), ["a", "b"], "left_anti")
-    more = settle(confirmed(rest, sets, num, den).where("linked").select("a", "b"), "links")
+    left = by_sort(inside, apart, "bucket", "left_semi").groupBy("node").agg(F.first("root").alias("root"))
+    loose = settle(by_sort(sets, left, "node").select("node", "root", "items"), "apart", last=True)
+    rest = by_sort(prefix_pairs(loose, num, den), tested.select("a", "b"), ["a", "b"], "left_anti")
+    more = settle(confirmed(rest, sets, num, den).where("linked").select("a", "b"), "links", last=True)
     root = components(links.unionByName(more))
-    full = sketched.join(root, "node", "left")
-    placed = full.select("_order", "_text_hash", "n_shingles", F.when(F.col("n_shingles") > 0, F.coalesce("root", "node")).alias("_group"))
-    least = placed.where(F.col("_group").isNotNull()).groupBy("_group").agg(F.min("_order").alias("_least"))
-    decided = placed.join(least, "_group", "left").select("_order", "_text_hash", "n_shingles", F.coalesce("_least", "_order").alias("_least")).distinct()
-    real = F.when(F.col("_least") < EOS_ORDER, F.col("_least"))
-    out = decided if keep is None else base.drop("_body").join(decided, ["_order", "_text_hash"])
+    # copies are one node with their smallest id; nodes of a component meet its smallest id in salted parts
+    firsts = filled.groupBy("node").agg(F.min("_order").alias("_first"))
+    linked = by_sort(root, firsts, "node").withColumn("_salt", F.pmod("node", F.lit(SALTS)))
+    low = linked.groupBy("root").agg(F.min("_first").alias("_least")).withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)).cast("array<bigint>")))
+    known = by_sort(linked, low, ["root", "_salt"]).select("node", "_least")
+    own = by_sort(firsts, known, "node", "left").select("node", F.coalesce("_least", "_first").alias("_least"))
+    placed = by_sort(sketched, own, "node", "left").select("_order", "_text_hash", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("_least")).otherwise(F.col("_order")).alias("_least"))
+    real = F.when(F.col("_least") < EOS_ORDER, F.col("_least")).alias("component_id")
+    kept = (F.col("_order") == F.col("_least")).alias("kept")
     if keep is None:
-        again = sketched.select("_order", "_text_hash").join(decided, ["_order", "_text_hash"])
-        return again.select(F.when(F.col("_order") < EOS_ORDER, F.col("_order")).alias(id_col), "n_shingles", real.alias("component_id"), (F.col("_order") == F.col("_least")).alias("kept"))
-    return out.select(*(F.col(f"_keep{i}").alias(c) for i, c in enumerate(names)), "n_shingles", real.alias("component_id"), (F.col("_order") == F.col("_least")).alias("kept"))
+        return placed.select(F.when(F.col("_order") < EOS_ORDER, F.col("_order")).alias(id_col), "n_shingles", real, kept)
+    out = by_sort(base.drop("_body"), placed.distinct(), ["_order", "_text_hash"])
+    return out.select(*(F.col(f"_keep{i}").alias(c) for i, c in enumerate(names)), "n_shingles", real, kept)
 
 
 def _mask(step: int) -> int:

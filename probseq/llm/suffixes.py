@@ -413,7 +413,7 @@ def dedup(docs: DataFrame, span: int = SPAN, id_col: str = "doc_id", text: str =
     body = F.coalesce(F.col(text), F.lit("")).cast("binary")
     base = docs.select(*(F.col(c).alias(f"_keep{i}") for i, c in enumerate(names)), order_key(id_col).alias("_order"), F.xxhash64(body).alias("_text_hash"), body.alias("_body"))
     dealt = anchored(base, deals, span, gram).repartition(deals, "deal").sortWithinPartitions("deal")
-    found = settle(met(dealt), "anchors")
+    found = settle(met(dealt), "anchors", last=True)
     # texts are dealt by id once; both joins read that deal
     texts = base.repartition(deals, "_order", "_text_hash")
     wishes = found.where("not mark").groupBy("_order", "_text_hash").agg(F.collect_list("spots").alias("wishes")).hint("shuffle_hash")

@@ -187,10 +187,53 @@ def test_language_id(spark):
     got = {r["doc_id"]: (r["lang_pred"], r["score"]) for r in langid.predict(odd, trees).collect()}
     assert [got[k][0] for k in (1, 2, 3)] == ["und"] * 3 and got[4][0] == got[5][0] == "en" and 0 < got[4][1] <= 1
     assert langid.predict(odd, None).where("lang_pred = 'und'").count() == 5
-    # code lengths against a plain walk down the contexts
-    tree = langid.grow({"x": [b"abracadabra"], "y": [b"banana"]}, least=1)
-    bits = langid.code_lengths(tree, np.frombuffer(b"abra" + b"zz", np.uint8), np.array([0, 4, 4, 6]))
-    assert bits[0, 0] < bits[0, 1] and bits[1].tolist() == [0, 0] and bits[2, 0] > 10
+
+
+def test_code_lengths_equal_a_plain_coder():
+    """Counts in dictionaries, one byte after another, against the tables; in whole texts and in blocks."""
+    from math import log2
+
+    from probseq.llm import langid
+
+    r = np.random.default_rng(3)
+    samples = {name: [bytes(r.choice(letters, n)) for n in (40, 7, 0, 90)] for name, letters in (("x", [97, 98, 99]), ("y", [98, 100]), ("z", [97, 200]))}
+    for order in (0, 2, 5):
+        trees = langid.grow(samples, order)
+        seen = {name: {} for name in samples}
+        for name, texts in samples.items():
+            for t in texts:
+                led = b"\n" * order + t
+                for i in range(order, len(led)):
+                    for k in range(order + 1):
+                        own = seen[name].setdefault(led[i - k : i], {})
+                        own[led[i]] = own.get(led[i], 0) + 1
+
+        def cost(name, text):
+            led, bits = b"\n" * order + text, 0.0
+            for i in range(order, len(led)):
+                for k in range(order, -1, -1):
+                    own = seen[name].get(led[i - k : i])
+                    if own is None:
+                        continue
+                    n, q = sum(own.values()), len(own)
+                    if led[i] in own:
+                        bits += log2((n + q) / own[led[i]])
+                        break
+                    bits += log2((n + q) / q)
+                else:
+                    bits += 8
+            return bits
+
+        texts = [b"abcab", b"", b"dbdbq", bytes([200, 97] * 9), b"\n", bytes(r.integers(0, 256, 3000).astype(np.uint8))]
+        off = np.concatenate([[0], np.cumsum([len(t) for t in texts])])
+        body = np.frombuffer(b"".join(texts), np.uint8)
+        want = [[cost(name, t) for name in trees.languages] for t in texts]
+        for block in (1 << 18, 64):
+            langid.BLOCK = block
+            assert langid.code_lengths(trees, body, off) == pytest.approx(np.array(want), rel=1e-5)
+        langid.BLOCK = 1 << 18
+        again = langid.Trees.unpack(trees.pack())
+        assert again.languages == trees.languages and np.array_equal(langid.code_lengths(again, body, off), langid.code_lengths(trees, body, off))
 
 
 def test_quality(spark):
