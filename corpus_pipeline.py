@@ -11,15 +11,17 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from probseq.llm import langid, minhash, packing, quality, suffixes
-from probseq.llm.common import read, settle
+from probseq.llm.common import read, settle, sweep
 from probseq.llm.queries import WINDOW, vocabulary
 
+FOREIGN, EVIDENCE = 1.75, 100  # times the usual bits a byte, over so many bytes
 QUALITY = 0.3
 WORDS, NUM, DEN = 5, 80, 100
 
 
 def _plain(docs: DataFrame) -> tuple[DataFrame, list[str], dict[str, str]]:
-    """docs under names that no operator uses, those names, and where each column went."""
+    """docs under names that no operator uses, those names, and where each column went. What earlier stages held is swept."""
+    sweep(docs.sparkSession)
     names = [f"_d{i}" for i in range(len(docs.columns))]
     return docs.toDF(*names), names, dict(zip(docs.columns, names, strict=True))
 
@@ -29,11 +31,12 @@ def _back(rows: DataFrame, docs: DataFrame) -> DataFrame:
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents with a language; those without a letter go."""
+    """Documents in a language of the corpus; those without a letter go, and those that no language's tree explains."""
     plain, names, at = _plain(docs)
     trees = langid.fit(plain, F.lit(True), lang=at["lang"], id_col=at["doc_id"], text=at["text"])
     found = langid.predict(plain, trees, text=at["text"], keep=names)
-    return _back(found.where(F.col("lang_pred") != langid.UNKNOWN), docs)
+    foreign = (F.col("excess") > FOREIGN) & (F.octet_length(at["text"]) >= EVIDENCE)
+    return _back(found.where((F.col("lang_pred") != langid.UNKNOWN) & ~foreign), docs)
 
 
 def good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
