@@ -45,7 +45,16 @@ def settle(df: DataFrame, tag: str, last: bool = False) -> DataFrame:
     df.write.option("compression", "zstd").parquet(path)
     if last:
         sweep(spark)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._settled = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Deletes settled tables that nothing reads any more; the caller has settled all that came of them."""
+    for df in tables:
+        at = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df._settled)
+        at.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(at, True)
 
 
 def trim() -> None:

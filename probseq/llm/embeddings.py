@@ -4,8 +4,8 @@ A unit vector x is kept as s * q + e with int8 q; |x.y - s_x s_y q_x.q_y| <= |s_
 so a tile of integer products decides almost all pairs, and only those whose interval contains the threshold are
 computed again in double precision. Integer products up to 2^24 are exact in float32, whose matrix product is fast.
 
-Equal vectors of a label are one class first. Classes are cut into blocks by their nearest of a few pivots; two blocks meet only if the angle between their centres leaves room for a link (triangle inequality,
-exact). A tile yields, per vector, how many it links with and one edge to the least member of its part of the tile:
+Equal vectors of a label are one class first. Classes are cut into blocks by their nearest of a few
+pivots; two blocks meet only if the angle between their centres leaves room for a link (triangle inequality, exact). A tile yields, per vector, how many it links with and one edge to the least member of its part of the tile:
 rows grow with vectors, not with pairs. Vectors that are null, zero, or hold null or non-finite values, and those with a
 null label, link with nothing. Vectors of different lengths link with nothing. Repeated (vec_id, label, vector) rows are one vector.
 """
@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probseq.llm.common import numbered, settle
+from probseq.llm.common import by_sort, discard, numbered, settle
 from probseq.llm.components import components
 
 BLOCK = 1024
@@ -83,7 +83,7 @@ def link(vectors: DataFrame, least: float = 0.98, id_col: str = "vec_id", vector
     # the direction alone counts, so classes are of equal stored vectors
     classed = sane.select("id", "label", "v", F.xxhash64("label", "v").alias("h"))
     classes = classed.groupBy("h", "label", "v").agg(F.min("id").alias("rep"), F.count(F.lit(1)).alias("many"))
-    members = classed.select("id", "label", "v").join(classes, ["label", "v"]).select("id", "rep", "many")
+    members = by_sort(classed.select("id", "label", "v"), classes, ["label", "v"]).select("id", "rep", "many")
     # a bounded sample of vectors serves as pivots
     picked = [np.array(r["v"]) for r in sane.select("v").orderBy(F.xxhash64("v"), "v").limit(PIVOTS).collect()]
 
@@ -111,6 +111,7 @@ def link(vectors: DataFrame, least: float = 0.98, id_col: str = "vec_id", vector
         blocked.groupBy("label", "dim", "pivot", "part").agg(F.sort_array(F.collect_list(F.struct("rep", "many", F.col("v").cast(stored).alias("v")))).alias("rows")).withColumn("block", F.xxhash64("label", "dim", "pivot", "part")),
         "vector-tiles",
     )
+    discard(blocked)
 
     def summary(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -132,7 +133,7 @@ def link(vectors: DataFrame, least: float = 0.98, id_col: str = "vec_id", vector
     tiles = x.join(y, meet).where(apart <= F.col("x.wide") + F.col("y.wide") + F.lit(reach + 1e-6)).select(F.col("x.block").alias("p"), F.col("y.block").alias("q"))
     left = packed.select(F.col("block").alias("p"), F.col("rows").alias("left"))
     right = packed.select(F.col("block").alias("q"), F.col("rows").alias("right"))
-    work = tiles.join(left, "p").join(right, "q").select("p", "q", "left", "right").repartition("p", "q")
+    work = by_sort(by_sort(tiles, left, "p"), right, "q").select("p", "q", "left", "right").repartition("p", "q")
 
     def products(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def columns(a: pa.ListArray):
@@ -159,9 +160,10 @@ def link(vectors: DataFrame, least: float = 0.98, id_col: str = "vec_id", vector
                 yield pa.RecordBatch.from_arrays([pa.array(ids[hit]), pa.array(n[hit].astype(np.int64)), pa.array(ids[root[hit]])], ["rep", "n", "to"])
 
     found = settle(work.mapInArrow(products, "rep long, n long, to long"), "vector-links")
+    discard(heads, packed)
     counts = found.groupBy("rep").agg(F.sum("n").alias("n"))
     whole = components(found.select(F.col("rep").alias("a"), F.col("to").alias("b")))
-    out = members.join(counts, "rep", "left").join(whole, F.col("rep") == F.col("node"), "left")
+    out = by_sort(by_sort(members, counts, "rep", "left"), whole, F.col("rep") == F.col("node"), "left")
     linked = out.select(F.col("id"), (F.coalesce("n", F.lit(0)) + F.col("many") - 1).cast("long").alias("n_links"), F.coalesce("root", "rep").alias("component_id"))
     # every id once: an id with several vectors has all their links
     merged = linked.groupBy(F.col("id").alias("own")).agg(F.sum("n_links").alias("n_links"), F.min("component_id").alias("least"))

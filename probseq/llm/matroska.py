@@ -4,8 +4,12 @@ The writer makes an EBML header and a segment of seek head, info, one audio trac
 The parser reads variable-length elements of known or unknown size, all four lacings, block groups and cues, and
 yields packets (track, timestamp, offset, size), so a reader can fetch byte ranges alone.
 
-Defined results: a null text is stored like the empty one (64 zero bytes); equal texts give equal bytes; a damaged
-file raises ValueError in `demux` and gives a row with an `error` in `packets`.
+A media column is written first (`store`), then parsed into packet lists (`indexed`, or exploded by `packets`), and a
+payload is read back by the byte ranges of those lists alone (`ranges`).
+
+Defined results: a null text is stored like the empty one (64 zero bytes); equal texts give equal bytes; repeated rows
+repeat; an empty table gives no rows; a damaged file raises ValueError in `demux`, gives an `error` and no packets in
+`indexed` and a row with that `error` in `packets`. A null media value has no packets.
 """
 
 from __future__ import annotations
@@ -20,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probseq.llm.common import map_parts, utf8
+from probseq.llm.common import map_parts, settle, utf8
 
 # Fixed values of the format (RFC 8794, RFC 9559): element ids.
 EBML, SEGMENT, SEEK_HEAD, SEEK, SEEK_ID, SEEK_POSITION = 0x1A45DFA3, 0x18538067, 0x114D9B74, 0x4DBB, 0x53AB, 0x53AC
@@ -289,11 +293,15 @@ def payload_of(data: bytes, media: Media, track: int = 1) -> bytes:
     return b"".join([data[p.offset : p.offset + p.size] for p in media.packets if p.track == track])
 
 
-def feature_of(media: Media, payload: bytes) -> str:
+def feature_of(packets: int, clusters: int, cues: int, duration: float, payload: bytes) -> str:
     """Packets, clusters, cues, duration in ms, and mean, deviation and mean absolute step of the samples."""
-    x = np.frombuffer(payload, np.uint8).astype(np.int16)
-    step = float(np.abs(np.diff(x)).mean()) if len(x) > 1 else 0.0
-    return f"packets={len(media.packets)};clusters={media.clusters};cues={len(media.cues)};ms={media.duration:.0f};mean={x.mean():.4f};sd={x.std():.4f};step={step:.4f}"
+    x = np.frombuffer(payload, np.uint8)
+    counts = np.bincount(x, minlength=256)  # sums by value: exact, and no wider copy of a long payload
+    value = np.arange(256)
+    mean = float((counts * value).sum() / max(1, len(x)))
+    sd = float(np.sqrt((counts * (value - mean) ** 2).sum() / max(1, len(x))))
+    step = float((np.maximum(x[1:], x[:-1]) - np.minimum(x[1:], x[:-1])).mean()) if len(x) > 1 else 0.0
+    return f"packets={packets};clusters={clusters};cues={cues};ms={duration:.0f};mean={mean:.4f};sd={sd:.4f};step={step:.4f}"
 
 
 def store(docs: DataFrame, id_col: str = "doc_id", text: str = "text", lacing: str = "auto") -> DataFrame:
@@ -333,22 +341,60 @@ def packets(media: DataFrame, id_col: str = "doc_id", column: str = "media") ->
     return map_parts(media.select(id_col, column), column, part, f"{id_col} {kind}, track int, timestamp long, offset long, size long, key boolean, cluster long, cued boolean, error string")
 
 
-def roundtrip(docs: DataFrame, id_col: str = "doc_id", text: str = "text", lacing: str = "auto") -> DataFrame:
-    """Stores every text, parses the stored bytes again and describes what was read back."""
-    kind = docs.schema[id_col].dataType.simpleString()
+_found = pa.struct([("track", pa.int32()), ("timestamp", pa.int64()), ("offset", pa.int64()), ("size", pa.int64()), ("key", pa.bool_()), ("cluster", pa.int64()), ("cued", pa.bool_())])
+
+
+def indexed(media: DataFrame, column: str = "media") -> DataFrame:
+    """All columns of `media` with packets (a list in file order), clusters, cues, duration (ms) and error."""
+    names = media.columns
+
+    def part(batch: pa.RecordBatch) -> pa.RecordBatch:
+        lists, clusters, cues, durations, errors = [], [], [], [], []
+        for data in batch.column(names.index(column)).to_pylist():
+            m, error = Media(), None
+            if data is not None:
+                try:
+                    m = demux(data)
+                except (ValueError, IndexError, struct.error) as e:
+                    m, error = Media(), str(e)
+            cued = {(t, c) for _, t, c in m.cues}
+            lists.append([{"track": p.track, "timestamp": p.timestamp, "offset": p.offset, "size": p.size, "key": p.key, "cluster": p.cluster, "cued": (p.track, p.cluster) in cued} for p in m.packets])
+            clusters.append(m.clusters)
+            cues.append(len(m.cues))
+            durations.append(m.duration)
+            errors.append(error)
+        made = [pa.array(lists, pa.list_(_found)), pa.array(clusters, pa.int64()), pa.array(cues, pa.int64()), pa.array(durations, pa.float64()), pa.array(errors, pa.string())]
+        return pa.RecordBatch.from_arrays([*batch.columns, *made], [*names, "packets", "clusters", "cues", "duration", "error"])
+
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in media.schema)
+    schema += ", packets array<struct<track:int,timestamp:bigint,offset:bigint,size:bigint,key:boolean,cluster:bigint,cued:boolean>>, clusters long, cues long, duration double, error string"
+    return map_parts(media, column, part, schema)
+
+
+def ranges(found: DataFrame, id_col: str = "doc_id", track: int = 1, column: str = "media") -> DataFrame:
+    """Reads the byte ranges of a track's packets from `indexed` media: digests and features of the payload."""
+    kind = found.schema[id_col].dataType.simpleString()
     names = ["n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"]
 
     def part(batch: pa.RecordBatch) -> pa.RecordBatch:
-        body, off = utf8(batch, "_text")
-        raw, rows = body.tobytes(), []
-        for a, b in zip(off[:-1].tolist(), off[1:].tolist(), strict=True):
-            stored = mux(padded(raw[a:b]), lacing)
-            m = demux(stored)
-            back = payload_of(stored, m)
-            rows.append((b - a, len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-PAD:]), len(stored), hashlib.sha256(stored).hexdigest(), feature_of(m, back)))
+        rows = []
+        ids, n_bytes, data, lists, clusters, cues, durations = batch.columns
+        off, flat = lists.offsets.to_numpy(), lists.values
+        tracks, offset, size = (flat.field(k).to_numpy(zero_copy_only=False) for k in ("track", "offset", "size"))
+        for k in range(batch.num_rows):
+            stored = data[k].as_buffer()
+            body, own = memoryview(stored), slice(off[k], off[k + 1])
+            back = b"".join([body[a : a + n] for a, n, t in zip(offset[own].tolist(), size[own].tolist(), tracks[own].tolist(), strict=True) if t == track])
+            feature = feature_of(int(off[k + 1] - off[k]), clusters[k].as_py(), cues[k].as_py(), durations[k].as_py(), back)
+            rows.append((n_bytes[k].as_py(), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-PAD:]), len(body), hashlib.sha256(body).hexdigest(), feature))
         cols = list(zip(*rows, strict=True))
         types = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
-        return pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(list(c), t) for c, t in zip(cols, types, strict=True))], [id_col, *names])
+        return pa.RecordBatch.from_arrays([ids, *(pa.array(list(c), t) for c, t in zip(cols, types, strict=True))], [id_col, *names])
 
     schema = f"{id_col} {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
-    return map_parts(docs.select(F.col(id_col), F.col(text).alias("_text")), "_text", part, schema)
+    return map_parts(found.select(id_col, "n_bytes", column, "packets", "clusters", "cues", "duration"), column, part, schema)
+
+
+def roundtrip(docs: DataFrame, id_col: str = "doc_id", text: str = "text", lacing: str = "auto") -> DataFrame:
+    """Writes every text as a media column to a table, parses that table into packets and reads their byte ranges back."""
+    return ranges(indexed(settle(store(docs, id_col, text, lacing), "media")), id_col)

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probseq.llm.common import EOS_ORDER, by_sort, gather, list_array, map_parts, order_key, release, settle, utf8
+from probseq.llm.common import EOS_ORDER, by_sort, discard, gather, list_array, map_parts, order_key, release, settle, utf8
 from probseq.llm.components import components
 
 BANDS, ROWS = 40, 6
@@ -321,17 +321,20 @@ def link(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100, bands:
     near = by_sort(near, tested.select("a", "b"), ["a", "b"], "left_anti")
     x, y = nodes.select(*(F.col(c).alias("x" + c) for c in ["node", "n", *sig])), nodes.select(*(F.col(c).alias("y" + c) for c in ["node", "n", *sig]))
     second = by_sort(by_sort(near, x, F.col("a") == F.col("xnode")), y, F.col("b") == F.col("ynode")).where(likely("x", "y")).select("a", "b")
-    tested = tested.unionByName(settle(confirmed(second, sets, num, den), "pairs"))
-    links = tested.where("linked").select("a", "b")
-    root = settle(spread(links), "roots")
+    late = settle(confirmed(second, sets, num, den), "pairs")
+    both = tested.unionByName(late)
+    links = both.where("linked").select("a", "b")
+    coarse, root = root, settle(spread(links), "roots")
     # what shares a band but not a part: an exact prefix join of these nodes' full sets
     inside = by_sort(members.select("bucket", "node"), root, "node", "left").withColumn("root", F.coalesce("root", "node"))
     apart = inside.groupBy("bucket").agg(F.min("root").alias("_r0"), F.max("root").alias("_r1")).where("_r0 <> _r1").select("bucket")
     left = by_sort(inside, apart, "bucket", "left_semi").groupBy("node").agg(F.first("root").alias("root"))
     loose = settle(by_sort(sets, left, "node").select("node", "root", "items"), "apart", last=True)
-    rest = by_sort(prefix_pairs(loose, num, den), tested.select("a", "b"), ["a", "b"], "left_anti")
+    rest = by_sort(prefix_pairs(loose, num, den), both.select("a", "b"), ["a", "b"], "left_anti")
     more = settle(confirmed(rest, sets, num, den).where("linked").select("a", "b"), "links", last=True)
+    discard(members, nodes, sets, coarse, root, loose)
     root = components(links.unionByName(more))
+    discard(tested, late, more)
     # copies are one node with their smallest id; nodes of a component meet its smallest id in salted parts
     firsts = filled.groupBy("node").agg(F.min("_order").alias("_first"))
     linked = by_sort(root, firsts, "node").withColumn("_salt", F.pmod("node", F.lit(SALTS)))
@@ -339,6 +342,8 @@ def link(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100, bands:
     known = by_sort(linked, low, ["root", "_salt"]).select("node", "_least")
     own = by_sort(firsts, known, "node", "left").select("node", F.coalesce("_least", "_first").alias("_least"))
     placed = by_sort(sketched, own, "node", "left").select("_order", "_text_hash", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("_least")).otherwise(F.col("_order")).alias("_least"))
+    placed = settle(placed, "groups", last=True)
+    discard(sketched, root)
     real = F.when(F.col("_least") < EOS_ORDER, F.col("_least")).alias("component_id")
     kept = (F.col("_order") == F.col("_least")).alias("kept")
     if keep is None:

@@ -19,6 +19,7 @@ def vocabulary(name: str) -> str:
 
 
 def op1_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Ids and decoded texts of all documents. A null text is the empty one: the end id alone."""
     from probseq.llm.sentencepieces import encode
 
     out = encode(read(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model"))
@@ -31,6 +32,7 @@ def op1_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents in 24 shards, sizes near equal, equal texts together. Null texts have size 8; null ids are rows like others."""
     from probseq.llm.sharding import shard
 
     out = shard(read(spark, sf_dir, "documents"), SHARDS)
@@ -38,18 +40,21 @@ def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_media(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents as a stored Matroska column, parsed and read back by byte ranges. A null text is 64 zero bytes."""
     from probseq.llm.matroska import roundtrip
 
     return roundtrip(read(spark, sf_dir, "documents"))
 
 
 def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What is left of all documents once 50-byte strings of smaller ids are cut out. Null texts are empty; null ids come last."""
     from probseq.llm.suffixes import dedup
 
     return dedup(read(spark, sf_dir, "documents")).select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
 
 
 def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents in sequences of 2048 tokens. A null text is the end id alone."""
     from probseq.llm.packing import pack_documents
 
     out = pack_documents(read(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"), WINDOW, 1)
@@ -57,12 +62,14 @@ def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Groups of documents with similar 2-word shingles. Texts without words link with nothing; null ids come last."""
     from probseq.llm.minhash import link
 
     return link(read(spark, sf_dir, "documents"), words=2, num=80, den=100)
 
 
 def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All pages as WARC records, read back through the index. A null payload is empty; null ids come last."""
     from probseq.llm import warc
 
     index = warc.write(read(spark, sf_dir, "pages"))
@@ -70,6 +77,7 @@ def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A quality score for all documents. Empty and null texts are one blank passage; null ids are not held out."""
     from probseq.llm import quality
     from probseq.llm.langid import remainder
 
@@ -81,6 +89,7 @@ def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The language of all documents; `und` for null texts and those without a letter. Null ids are not held out."""
     from probseq.llm import langid
 
     docs = read(spark, sf_dir, "documents")
@@ -90,6 +99,7 @@ def op9_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Links between all vectors of a label. Null, zero and non-finite vectors link with nothing."""
     from probseq.llm.embeddings import link
 
     return link(read(spark, sf_dir, "embeddings"))
@@ -111,6 +121,17 @@ QUERIES = {
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 ORACLES: dict[str, str] = {
+    # every 50-byte string in hexadecimal, the smallest id of each, then runs of covered bytes and what lies between them
+    "op4_suffix_dedup": """WITH d AS MATERIALIZED (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+ w AS MATERIALIZED (SELECT doc_id, i, substring(h, 2 * i + 1, 100) AS s FROM (SELECT doc_id, h, unnest(range(0, length(h) // 2 - 49)) AS i FROM d)),
+ f AS MATERIALIZED (SELECT s, min(doc_id) AS first FROM w GROUP BY s),
+ hit AS (SELECT doc_id, i FROM w JOIN f USING (s) WHERE doc_id > first),
+ run AS MATERIALIZED (SELECT doc_id, min(i) AS a, max(i) + 50 AS b FROM (SELECT doc_id, i, sum(fresh) OVER (PARTITION BY doc_id ORDER BY i) AS g FROM (SELECT doc_id, i, CASE WHEN i > lag(i) OVER (PARTITION BY doc_id ORDER BY i) + 50 THEN 1 ELSE 0 END AS fresh FROM hit)) GROUP BY doc_id, g),
+ cut AS (SELECT doc_id, a, b FROM run UNION ALL SELECT doc_id, length(h) // 2, 0 FROM d),
+ gap AS (SELECT doc_id, coalesce(max(b) OVER (PARTITION BY doc_id ORDER BY a, b DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS p, a AS q FROM cut),
+ kept AS (SELECT g.doc_id, string_agg(substring(h, 2 * p + 1, 2 * greatest(q - p, 0)), '' ORDER BY q) AS k FROM gap g JOIN d USING (doc_id) GROUP BY g.doc_id),
+ n AS (SELECT doc_id, sum(b - a) AS gone, count(*) AS spans FROM run GROUP BY doc_id)
+ SELECT d.doc_id, (length(h) // 2)::BIGINT AS n_bytes, coalesce(gone, 0)::BIGINT AS n_removed, coalesce(spans, 0)::BIGINT AS n_spans, sha256(unhex(k)) AS kept_sha256 FROM d JOIN kept USING (doc_id) LEFT JOIN n USING (doc_id)""",
     # exact prefix join of all sets, then components by recursion
     "op6_minhash": f"""WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}'), '[^\\x20\\x09-\\x0D]+') AS w FROM documents),
  s AS MATERIALIZED (SELECT DISTINCT doc_id, CASE WHEN len(w) = 1 THEN w[1] ELSE w[k] || ' ' || w[k + 1] END AS x FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w), 2))) AS k FROM w WHERE len(w) > 0)),

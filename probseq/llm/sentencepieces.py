@@ -1,12 +1,17 @@
 """SentencePiece encoding and decoding through a table of distinct chunks.
 
 No piece of the models that this serves has a white space marker after another character, so merges never cross the
-start of a run of markers. A text is cut there, each distinct chunk is segmented once per task, and ids are joined
-back by position with one gather. The table lives in the worker: a corpus-wide table would need one shuffled row per
-word of the corpus, far more than the text itself. Beyond its bound, chunks are dropped after the part that brought them.
+start of a run of markers. A text is cut there, the distinct chunks of a part are looked up in a table of chunks, those
+that are new are segmented once, and ids are joined back by position with one gather. The table lives in the worker and
+grows from part to part: one for the corpus would need one shuffled row for each word of the corpus, far more than the
+text itself, or a second scan of all texts. `segmented` counts what went through the model: as many chunks as are
+distinct, as long as these fit the bound. Beyond it chunks are dropped after the part that brought them.
+
+A model that crosses markers, folds characters, squeezes white space or adds no marker in front is refused.
 
 Defined results: a null text is encoded as the empty one; the empty text has the end id only; very long words are
-segmented but not kept in the table; repeated rows give repeated results; other columns are left alone.
+segmented but not kept in the table; repeated rows give repeated results; an empty table gives no rows; other columns are
+left alone.
 """
 
 from __future__ import annotations
@@ -37,6 +42,12 @@ class ChunkTable(dict):
         pieces = [self.sp.id_to_piece(i) for i in range(self.sp.get_piece_size())]
         if any(MARK in p.lstrip(MARK) for p in pieces):
             raise ValueError("this model has pieces that cross white space markers")
+        # what a chunk by itself and a chunk within its text must have in common
+        for probe in ("a", "a  b", " a", "a ", "\ufb01 \u2460 \uff21", "e\u0301 \u00e9", "a\tb\nc\u00a0d\u3000e\u200bf"):
+            ids = self.sp.encode(probe)
+            if self.sp.decode(ids) != probe or not self.sp.id_to_piece(ids[0]).startswith(MARK):
+                raise ValueError("this model rewrites texts before it segments them")
+        self.segmented = 0
         self.anchor = next(i for i, p in enumerate(pieces) if len(p) == 1 and p.isalpha() and p.isascii())
         self.chunk_limit, self.byte_limit = chunk_limit, byte_limit
         self.pieces = [p.replace(MARK, " ") for p in pieces]
@@ -53,6 +64,7 @@ class ChunkTable(dict):
         new, self.pending = self.pending, []
         if not new:
             return
+        self.segmented += len(new)
         lone, pieces = self.sp.piece_to_id(MARK), self.pieces
         made = self.sp.encode([c[1:].replace(MARK, " ") for c in new], num_threads=1)
         parts = [ids if ids else [lone] for ids in made]

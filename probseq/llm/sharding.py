@@ -17,7 +17,7 @@ import heapq
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probseq.llm.common import numbered, partitions
+from probseq.llm.common import by_sort, numbered, partitions
 
 RESOLUTION = 1024  # a group above 1 / (shards * RESOLUTION) of all bytes is scheduled by itself
 MANTISSA = 8  # classes keep so many leading bits of a size
@@ -79,6 +79,6 @@ def shard(docs: DataFrame, shards: int = 24, id_col: str = "doc_id", text: str =
     placed = spark.createDataFrame(plan or [("", 0, 0, 0)], "class string, shard int, low long, high long")
     ranked = numbered(classed, ["class"], F.col("group"), [F.col("group")], "rank")
     homes = ranked.join(F.broadcast(placed), (ranked["class"] == placed["class"]) & (F.col("rank") >= F.col("low")) & (F.col("rank") < F.col("high"))).select("group", "shard")
-    dealt = rows.join(homes, "group")
+    dealt = by_sort(rows, homes, "group")
     parts = max(1, partitions(spark) // shards + 1)
     return numbered(dealt, ["shard"], F.struct("group", id_col), [F.col(id_col), F.col("group")], "slot", parts).select(id_col, "size", "text_crc32", "group", "shard", "slot")

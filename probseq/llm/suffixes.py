@@ -5,42 +5,56 @@ on the input, by bytes, within documents.
 
 1. Anchors. Every window of `span` bytes picks its least-hashed k-gram; consecutive windows with the same pick form
    one anchored context of span to 2 span - k bytes. Equal windows pick equal anchors, so only contexts with the same
-   anchor hash can share a window, and one context stands for about 18 windows. Contexts repeated within a task's
-   batch meet there already, so a passage that everyone copies leaves a batch once.
-2. Anchors meet by hash. A context that an earlier document has in full is marked whole. Of the others only those
-   whose anchor stands in several documents go on (a few percent); the rest can share nothing.
-3. Suffix arrays. These contexts come with their bytes, dealt by anchor, in order of document. In each deal, a batch
-   gets a suffix array of its window starts (sorted to depth `span`), is merge-scanned against the levels of earlier
-   batches for strings that an earlier document has, and becomes a level; two levels of like size merge into one, so
-   there are logarithmically many.
+   anchor can share a window, and one context stands for about 18 windows. A context that an earlier document of the
+   same part has byte for byte is marked there, so a passage that everyone copies leaves a part once.
+2. Meeting. Anchors are dealt by hash. Contexts whose anchor stands in one document only can share nothing and stop here;
+   this is all that a hash decides.
+3. Suffix arrays. All other contexts come with their bytes, dealt by anchor, in order of document. Equal contexts become
+   one; of the rest, a batch gets a suffix array of its window starts (sorted to depth `span`), is merge-scanned against
+   the levels of earlier batches for strings that an earlier document has, and becomes a level; two levels of like size
+   merge into one, so there are logarithmically many.
 4. Marks return to their documents, and what they cover is cut out.
 
-Texts are dealt by id once and read twice. Tasks hold one deal of anchors; deals grow in number with
-spark.sql.shuffle.partitions. Defined results: null texts are empty; texts shorter than the span keep everything; null
-ids come after all others; rows with the same id do not erase each other; identical rows have identical results.
+`SuffixIndex` keeps the family from call to call: a batch of documents is judged against the levels of the batches before
+it, then becomes a level itself, and levels of like size are merged geometrically. A level is a Parquet table of sorted
+anchors by deal; bytes are fetched from stored texts only for anchors that meet.
+
+Memory. Deals grow in number with the bytes of the input, and a task holds one of them at a time; of a deal that outgrows
+BLOCK all the same (one anchor in a great share of all documents) the windows go on one by one, dealt by their own bytes.
+Long texts are cut into stretches. Texts are dealt by id for fetching, and again for cutting. Defined results: null texts are empty; texts
+shorter than the span keep everything; null ids come after all others; rows with the same id do not erase each other;
+identical rows have identical results; an empty table gives no rows; other columns, whatever their names, are left alone.
 """
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from probseq.llm.common import gather, map_parts, order_key, partitions, settle, utf8
+from probseq.llm.common import discard, gather, map_parts, order_key, partitions, release, settle, slices, utf8
 
 SPAN = 50
 GRAM = 16
+DEAL = 16 << 20  # bytes of text for each deal of anchors
+BLOCK = 4 << 20  # contexts of one deal that are held at once
+BATCH = 16384  # contexts that get a suffix array together
+CHUNK = 1 << 17  # contexts whose bytes are fetched together
 _P = np.uint64(0xD6E8FEB86659FD93)
 _Q = np.uint64(0x9E3779B97F4A7C15)
 LOW = np.uint64(0xFFFFFF)
 
-# An anchored context: where its windows start (first, last), and its anchor's and its own hash.
-ENTRY = np.dtype([("anchor", "<u8"), ("context", "<u8"), ("order", "<i8"), ("text", "<i8"), ("first", "<u4"), ("wide", "u1"), ("known", "?")])
-# A mark or a wish for bytes: windows first..first + wide of a text.
-SPOT = np.dtype([("first", "<u4"), ("wide", "u1"), ("at", "u1")])
+# An anchored context: where its windows start (first, last), and its anchor.
+NEW, KNOWN, OLD = 0, 1, 2  # to be judged; judged within its part; of an earlier batch
+ENTRY = np.dtype([("anchor", "<u8"), ("order", "<i8"), ("text", "<i8"), ("first", "<u4"), ("wide", "u1"), ("state", "u1")])
+# A mark or a wish for bytes: windows first..first + wide of a text, and which part of a deal its anchor falls in.
+SPOT = np.dtype([("first", "<u4"), ("wide", "u1"), ("sub", "u1")])
+HEAD = np.dtype([("order", "<i8"), ("text", "<i8"), ("first", "<u4"), ("wide", "u1"), ("sub", "u1")])
+_spots_schema = "_order long, _text_hash long, mark boolean, deal int, spots binary"
 
 
 def gram_hashes(body: np.ndarray, k: int) -> np.ndarray:
@@ -64,15 +78,18 @@ def least_in(x: np.ndarray, w: int) -> np.ndarray:
     return np.minimum(x[: len(x) - (w - n)], x[w - n :]) if n < w else x
 
 
+STRETCH = 4 << 20  # bytes whose grams are held at once; places within fit LOW
+
+
 def contexts(body: np.ndarray, off: np.ndarray, span: int = SPAN, gram: int = GRAM) -> tuple[np.ndarray, ...]:
-    """(document, first window, windows - 1, anchor - first window, anchor hash, context hash) of every context.
+    """(document, first window, windows - 1, anchor hash, context hash) of every context.
 
-    Places count from the start of `body`; at most 2^24 bytes at once.
+    Places count from the start of `body`; at most STRETCH bytes at once.
     """
-    none = tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.int64, np.uint64, np.uint64))
+    none = tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.uint64, np.uint64))
     if len(body) < span:
         return none
-    if len(body) > 1 << 24:  # long texts: overlapping stretches, cut between windows of the same document
+    if len(body) > STRETCH:  # long texts: overlapping stretches, cut between windows of the same document
         return _long_contexts(body, off, span, gram)
     h = gram_hashes(body, gram)
     width = span - gram + 1
@@ -87,10 +104,10 @@ def contexts(body: np.ndarray, off: np.ndarray, span: int = SPAN, gram: int = GR
     cut = np.flatnonzero(np.concatenate([[True], (a[1:] != a[:-1]) | (doc[1:] != doc[:-1])]))
     first, last = s[cut], s[np.append(cut[1:], len(s)) - 1]
     a, doc = a[cut], doc[cut]
-    # the context's own hash: polynomial over its whole length, from prefix sums of powers-of-two blocks
+    # the context's own hash, which groups what is then compared byte by byte
     with np.errstate(over="ignore"):
         own = block_hash(body, first, last + span) * _Q ^ ((a - first).astype(np.uint64) << np.uint64(8)) ^ (last - first).astype(np.uint64)
-    return doc, first, last - first, a - first, h[a], own
+    return doc, first, last - first, h[a], own
 
 
 def block_hash(body: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np.ndarray:
@@ -107,7 +124,7 @@ def block_hash(body: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np.ndar
 
 def _long_contexts(body: np.ndarray, off: np.ndarray, span: int, gram: int) -> tuple[np.ndarray, ...]:
     found = []
-    step = (1 << 24) - span
+    step = STRETCH - span
     for d in range(len(off) - 1):
         for at in range(int(off[d]), max(int(off[d]) + 1, int(off[d + 1]) - span + 1), step):
             part = body[at : min(at + step + span - 1, int(off[d + 1]))]
@@ -190,35 +207,65 @@ def _deal(anchor: np.ndarray, deals: int) -> np.ndarray:
     return ((anchor >> np.uint64(20)) % np.uint64(deals)).astype(np.int64)
 
 
-def _by_deal(deal: np.ndarray, rows: np.ndarray, deals: int) -> tuple[list[int], list[bytes]]:
+def _sub(anchor: np.ndarray) -> np.ndarray:
+    """One of 256 parts of a deal, from bits that deal nothing out."""
+    return ((anchor * _Q) >> np.uint64(56)).astype(np.uint8)
+
+
+def deals_of(rows: DataFrame, column: str = "_body") -> int:
+    """How many deals the bytes of a column need."""
+    size = rows.agg(F.sum(F.octet_length(column).cast("long"))).first()[0] or 0
+    return max(partitions(rows.sparkSession), -(-size // DEAL))
+
+
+def _by_deal(deal: np.ndarray, rows: np.ndarray) -> tuple[list[int], list[bytes]]:
     order = np.argsort(deal, kind="stable")
-    rows, ends = rows[order], np.searchsorted(deal[order], np.arange(deals + 1))
-    used = [k for k in range(deals) if ends[k + 1] > ends[k]]
-    return used, [rows[ends[k] : ends[k + 1]].tobytes() for k in used]
+    rows, used, begin = rows[order], *np.unique(deal[order], return_index=True)
+    ends = np.append(begin[1:], len(rows))
+    return used.tolist(), [rows[a:b].tobytes() for a, b in zip(begin.tolist(), ends.tolist(), strict=True)]
 
 
-def _gathered(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, list[bytes]]]:
-    """(deal, its blobs) of rows sorted by deal."""
-    now, blobs = None, []
+def _blocks(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[tuple[int, list, bool]]:
+    """(deal, (old, blob) of about `most` bytes, whether the deal ends here) of rows sorted by deal."""
+    now, held, size = None, [], 0
     for b in batches:
-        for k, blob in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-            if k != now:
-                if blobs:
-                    yield now, blobs
-                now, blobs = k, []
-            blobs.append(blob)
-    if blobs:
-        yield now, blobs
-
-
-def _spots(order: np.ndarray, text: np.ndarray, spots: np.ndarray, mark: bool) -> pa.RecordBatch:
-    """One row per text with the spots found here."""
+        for k, blob, old in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist() if b.num_columns > 2 else [False] * b.num_rows, strict=True):
+            if held and (k != now or size > most):
+                yield now, held, k != now
+                held, size = [], 0
+            now = k
+            held.append((old, blob))
+            size += len(blob)
+    if held:
+        yield now, held, True
+
+
+def _spots(order: np.ndarray, text: np.ndarray, spots: np.ndarray, mark: bool, deal: int) -> pa.RecordBatch:
+    """One row per text with the spots found here; deal -1 sends windows on by their own bytes."""
     by = np.lexsort((text, order))
     order, text, spots = order[by], text[by], spots[by]
     new = np.flatnonzero(np.concatenate([[True], (order[1:] != order[:-1]) | (text[1:] != text[:-1])])) if len(order) else np.zeros(0, np.int64)
     ends = np.append(new[1:], len(order))
     blobs = [spots[a:b].tobytes() for a, b in zip(new.tolist(), ends.tolist(), strict=True)]
-    return pa.RecordBatch.from_arrays([pa.array(order[new]), pa.array(text[new]), pa.array([mark] * len(new), pa.bool_()), pa.array(blobs, pa.binary())], ["_order", "_text_hash", "mark", "spots"])
+    n = len(new)
+    return pa.RecordBatch.from_arrays([pa.array(order[new]), pa.array(text[new]), pa.array([mark] * n, pa.bool_()), pa.array([deal] * n, pa.int32()), pa.array(blobs, pa.binary())], ["_order", "_text_hash", "mark", "deal", "spots"])
+
+
+def repeats(body: np.ndarray, first: np.ndarray, wide: np.ndarray, span: int, order: np.ndarray, context: np.ndarray, anchor: np.ndarray) -> np.ndarray:
+    """Whether an earlier document of the same part has each context, byte for byte."""
+    out = np.zeros(len(first), bool)
+    by, new = firsts(order, context, anchor)
+    if not len(by):
+        return out
+    least = by[np.flatnonzero(new)][np.cumsum(new) - 1]
+    may = (order[by] > order[least]) & (wide[by] == wide[least])
+    rows, least = by[may], least[may]
+    for k in range(0, len(rows), CHUNK):
+        x, y = rows[k : k + CHUNK], least[k : k + CHUNK]
+        n = wide[x] + span
+        same = body[gather(first[x], n)] == body[gather(first[y], n)]
+        out[x] = np.logical_and.reduceat(same, np.cumsum(n) - n)
+    return out
 
 
 def anchored(docs: DataFrame, deals: int, span: int, gram: int) -> DataFrame:
@@ -227,108 +274,171 @@ def anchored(docs: DataFrame, deals: int, span: int, gram: int) -> DataFrame:
     def part(batch: pa.RecordBatch) -> pa.RecordBatch | None:
         body, off = utf8(batch, "_body")
         order, text = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-        doc, first, wide, _, anchor, context = contexts(body, off, span, gram)
+        doc, first, wide, anchor, context = contexts(body, off, span, gram)
         rows = np.zeros(len(doc), ENTRY)
-        rows["anchor"], rows["context"], rows["order"], rows["text"] = anchor, context, order[doc], text[doc]
+        rows["anchor"], rows["order"], rows["text"] = anchor, order[doc], text[doc]
         rows["first"], rows["wide"] = first - off[doc], wide
-        by, new = firsts(rows["order"], context, anchor)
-        least = rows["order"][by][np.flatnonzero(new)][np.cumsum(new) - 1] if len(by) else np.zeros(0, np.int64)
-        rows["known"][by] = rows["order"][by] > least
+        known = repeats(body, first, wide, span, rows["order"], context, anchor)
+        rows["state"][known] = KNOWN
         # known ones need no meeting: they are spread by text, so that no deal gets a whole group of copies
-        deal = np.where(rows["known"], _deal(rows["text"].view(np.uint64) * _Q, deals), _deal(anchor, deals))
-        used, blobs = _by_deal(deal, rows, deals)
+        deal = np.where(known, _deal(rows["text"].view(np.uint64) * _Q, deals), _deal(anchor, deals))
+        used, blobs = _by_deal(deal, rows)
         return pa.RecordBatch.from_arrays([pa.array(used, pa.int32()), pa.array(blobs, pa.binary())], ["deal", "blob"])
 
     return map_parts(docs.select("_order", "_text_hash", "_body"), "_body", part, "deal int, blob binary", 2 << 20)
 
 
-def met(dealt: DataFrame) -> DataFrame:
-    """Marks (mark = true) of contexts that an earlier document has, and wishes for bytes of those that may share a part."""
+def met(dealt: DataFrame, block: int = BLOCK) -> DataFrame:
+    """Marks (mark = true) of contexts that are known, and wishes for bytes of all whose anchor stands in several documents.
+
+    `dealt` has (deal, blob, old), sorted by deal. Anchors of old documents alone wish for nothing.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, blobs in _gathered(batches):
-            rows = np.concatenate([np.frombuffer(b, ENTRY) for b in blobs])
+        release()
+        alone, shared, whole = np.zeros(0, ENTRY), np.zeros(0, np.uint64), True
+        for deal, blobs, done in _blocks(batches, block * ENTRY.itemsize):
+            whole = whole and done  # of a deal in several blocks, all windows go on one by one
+            rows = np.frombuffer(b"".join(blob for _, blob in blobs), ENTRY).copy()
+            old = np.repeat([o for o, _ in blobs], [len(blob) // ENTRY.itemsize for _, blob in blobs])
             del blobs
-            known, rows = rows[rows["known"]], rows[~rows["known"]]
-            by, new = firsts(rows["order"], rows["context"], rows["anchor"])
-            rows = rows[by]
-            at = np.flatnonzero(new)
-            group = np.cumsum(new) - 1
-            least = rows["order"][at] if len(at) else rows["order"]
-            late = rows["order"] > least[group] if len(rows) else np.zeros(0, bool)
-            # anchors whose contexts begin in several documents
-            a = rows["anchor"][at]
+            known = rows[(rows["state"] == KNOWN) & ~old]
+            rows["state"][old] = OLD
+            rows = np.concatenate([alone, rows[rows["state"] != KNOWN]])
+            rows = rows[np.argsort(rows["anchor"], kind="stable")]
+            a = rows["anchor"]
             begin = np.flatnonzero(np.concatenate([[True], a[1:] != a[:-1]])) if len(a) else np.zeros(0, np.int64)
-            several = np.zeros(len(at), bool)
             if len(begin):
-                spread = np.minimum.reduceat(least, begin) != np.maximum.reduceat(least, begin)
-                several = np.repeat(spread, np.diff(np.append(begin, len(a))))
-            wish = ~late & several[group] if len(rows) else late
-            for chosen, mark in ((np.concatenate([known, rows[late]]), True), (rows[wish], False)):
+                several = np.minimum.reduceat(rows["order"], begin) != np.maximum.reduceat(rows["order"], begin)
+                several &= np.minimum.reduceat(rows["state"], begin) == NEW
+                if len(shared):
+                    several |= np.isin(a[begin], shared)
+                wish = np.repeat(several, np.diff(np.append(begin, len(a))))
+            else:
+                several, wish = np.zeros(0, bool), np.zeros(0, bool)
+            for chosen, mark in ((known, True), (rows[wish], False)):
                 if len(chosen):
                     spots = np.zeros(len(chosen), SPOT)
-                    spots["first"], spots["wide"] = chosen["first"], chosen["wide"]
-                    yield _spots(chosen["order"].copy(), chosen["text"].copy(), spots, mark)
+                    spots["first"], spots["wide"], spots["sub"] = chosen["first"], chosen["wide"], _sub(chosen["anchor"])
+                    yield _spots(chosen["order"].copy(), chosen["text"].copy(), spots, mark, deal if whole else -1)
+            if done:
+                alone, shared, whole = alone[:0], shared[:0], True
+            else:
+                alone, shared = rows[~wish], np.union1d(shared, a[begin[several]])
 
-    return dealt.mapInArrow(run, "_order long, _text_hash long, mark boolean, spots binary")
+    return dealt.mapInArrow(run, _spots_schema)
 
 
-def fetched(rows: DataFrame, deals: int, span: int, gram: int) -> DataFrame:
-    """(deal, blob): the bytes of wished contexts with their documents. A blob is a count, SPOT-like heads, then bytes."""
+def fetched(rows: DataFrame, deals: int, span: int) -> DataFrame:
+    """(deal, blob): the bytes of wished contexts with their documents. A blob is a count, HEADs, then bytes."""
 
-    def part(batch: pa.RecordBatch) -> pa.RecordBatch | None:
-        body, off = utf8(batch, "_body")
-        order, text = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-        lists = batch.column(3).to_pylist()
-        sizes = np.array([sum(map(len, x)) // SPOT.itemsize for x in lists])
-        spots = np.frombuffer(b"".join(b for x in lists for b in x), SPOT)
-        doc = np.repeat(np.arange(len(lists)), sizes)
-        if not len(spots):
-            return None
-        first, wide = spots["first"].astype(np.int64), spots["wide"].astype(np.int64)
-        start = off[doc] + first
-        # the anchor again: it deals equal strings to the same task
-        h = gram_hashes(body, gram)
-        length = wide + span
-        grams = gather(start, length - gram + 1)
-        many = length - gram + 1
-        begin = np.cumsum(many) - many
-        # the pick of the first window is the pick of all
-        inside = np.arange(len(grams)) - np.repeat(begin, many)
-        shared = (inside >= np.repeat(wide, many)) & (inside <= span - gram)
-        key = np.where(shared, h[grams] & ~LOW, np.uint64(0xFFFFFFFFFFFFFFFF))
-        low = np.minimum.reduceat(key, begin)
-        hit = np.flatnonzero(key == np.repeat(low, many))
-        _, one = np.unique(np.repeat(np.arange(len(many)), many)[hit], return_index=True)
-        anchor = h[grams[hit[one]]]
-        deal = _deal(anchor, deals)
+    def made(body: np.ndarray, start: np.ndarray, heads: np.ndarray, deal: np.ndarray) -> pa.RecordBatch:
         by = np.argsort(deal, kind="stable")
-        ends = np.searchsorted(deal[by], np.arange(deals + 1))
-        used, blobs = [], []
-        for k in range(deals):
-            mine = by[ends[k] : ends[k + 1]]
-            if len(mine):
-                head = np.zeros(len(mine), HEAD)
-                head["order"], head["text"] = order[doc[mine]], text[doc[mine]]
-                head["first"], head["wide"] = first[mine], wide[mine]
-                used.append(k)
-                blobs.append(len(mine).to_bytes(8, "little") + head.tobytes() + body[gather(start[mine], length[mine])].tobytes())
+        used, begin = np.unique(deal[by], return_index=True)
+        ends = np.append(begin[1:], len(by))
+        blobs = []
+        for a, b in zip(begin.tolist(), ends.tolist(), strict=True):
+            mine = by[a:b]
+            blobs.append(len(mine).to_bytes(8, "little") + heads[mine].tobytes() + body[gather(start[mine], heads["wide"][mine].astype(np.int64) + span)].tobytes())
         return pa.RecordBatch.from_arrays([pa.array(used, pa.int32()), pa.array(blobs, pa.binary())], ["deal", "blob"])
 
-    return map_parts(rows.select("_order", "_text_hash", "_body", "wishes"), "_body", part, "deal int, blob binary", 2 << 20)
-
-
-HEAD = np.dtype([("order", "<i8"), ("text", "<i8"), ("first", "<u4"), ("wide", "u1")])
-BATCH = 16384  # contexts that get a suffix array together
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release()
+        for whole in batches:
+            for batch in slices(whole, "_body", 2 << 20):
+                body, off = utf8(batch, "_body")
+                order, text = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+                given = [(k, w["deal"], w["spots"]) for k, own in enumerate(batch.column(3).to_pylist()) for w in own]
+                sizes = [len(b) // SPOT.itemsize for _, _, b in given]
+                spots = np.frombuffer(b"".join(b for _, _, b in given), SPOT)
+                doc = np.repeat([k for k, _, _ in given], sizes)
+                deal = np.repeat([d for _, d, _ in given], sizes)
+                for k in range(0, len(spots), CHUNK):
+                    own, at, to = spots[k : k + CHUNK], doc[k : k + CHUNK], deal[k : k + CHUNK]
+                    alone = to < 0
+                    many = np.where(alone, own["wide"].astype(np.int64) + 1, 1)
+                    heads = np.zeros(int(many.sum()), HEAD)
+                    row = np.repeat(np.arange(len(own)), many)
+                    heads["order"], heads["text"] = order[at[row]], text[at[row]]
+                    heads["first"] = own["first"][row] + gather(np.zeros(len(own), np.int64), many)
+                    heads["wide"], heads["sub"] = np.where(alone[row], 0, own["wide"][row]), own["sub"][row]
+                    start, to = off[at[row]] + heads["first"], to[row]
+                    one = np.flatnonzero(alone[row])
+                    if len(one):
+                        h = block_hash_of(body, start[one], span)
+                        to[one], heads["sub"][one] = _deal(h, deals), _sub(h)
+                    yield made(body, start, heads, to)
+
+    return rows.select("_order", "_text_hash", "_body", "wishes").mapInArrow(run, "deal int, blob binary")
+
+
+def block_hash_of(body: np.ndarray, start: np.ndarray, span: int) -> np.ndarray:
+    """A hash of the `span` bytes from each start."""
+    out = np.full(len(start), span, np.uint64)
+    with np.errstate(over="ignore"):
+        for k in range(span):
+            out = (out ^ body[start + k]) * _P
+            out ^= out >> np.uint64(29)
+    return out * _Q
+
+
+def whole_contexts(body: np.ndarray, start: np.ndarray, wide: np.ndarray, span: int) -> np.ndarray:
+    """Each context as one fixed-width string; its first byte holds the length, so that equal strings are equal contexts."""
+    most = int(wide.max()) + span + 1
+    out = np.zeros((len(start), most), np.uint8)
+    out[:, 0] = wide + 1
+    n = wide + span
+    flat = gather(np.arange(len(start)) * most + 1, n)
+    out.ravel()[flat] = body[gather(start, n)]
+    return out.view(f"S{most}").ravel()
+
+
+def judged(body: np.ndarray, start: np.ndarray, head: np.ndarray, span: int, batch: int = BATCH) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """(rows of `head`, first seen window, last seen window): runs of windows that a smaller document has, too."""
+    wide = head["wide"].astype(np.int64)
+    by = np.argsort(head["order"], kind="stable")
+    text = whole_contexts(body, start[by], wide[by], span)
+    own = np.argsort(text, kind="stable")
+    s, by = text[own], by[own]
+    new = np.ones(len(s), bool)
+    new[1:] = s[1:] != s[:-1]
+    lead = by[np.flatnonzero(new)]  # the earliest of equal contexts
+    group = np.cumsum(new) - 1
+    del text, s
+    late = by[head["order"][by] > head["order"][lead][group]]
+    yield late, np.zeros(len(late), np.int64), wide[late]
+    # rows as early as the first of their group share what is found for it
+    level = np.flatnonzero(head["order"][by] == head["order"][lead][group])
+    mates, of = by[level], group[level]
+    begin = np.searchsorted(of, np.arange(len(lead) + 1))
+    order = np.argsort(head["order"][lead], kind="stable")
+    family = SuffixFamily(span)
+    for k in range(0, len(order), batch):
+        g = order[k : k + batch]
+        windows = wide[lead[g]] + 1
+        at = gather(start[lead[g]], windows)
+        row = np.repeat(g, windows)
+        seen = family.add(body, at, head["order"][lead[row]])
+        hit = np.flatnonzero(seen)
+        if not len(hit):
+            continue
+        place = at - start[lead[row]]
+        fresh = np.concatenate([[True], (hit[1:] != hit[:-1] + 1) | (row[hit[1:]] != row[hit[:-1]])])
+        a = hit[fresh]
+        b = hit[np.append(np.flatnonzero(fresh)[1:], len(hit)) - 1]
+        many = begin[row[a] + 1] - begin[row[a]]
+        run = np.repeat(np.arange(len(a)), many)
+        yield mates[gather(begin[row[a]], many)], place[a][run], place[b][run]
 
 
 def scanned(dealt: DataFrame, span: int) -> DataFrame:
-    """Marks of the windows that a smaller document also has, by a family of suffix arrays per deal."""
+    """Marks of the windows that a smaller document also has, by a family of suffix arrays per part of a deal."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, blobs in _gathered(batches):
+        release()
+        for deal, blobs, _ in _blocks(batches, 1 << 62):
             heads, bodies = [], []
-            for blob in blobs:
+            for _, blob in blobs:
                 n = int.from_bytes(blob[:8], "little")
                 heads.append(np.frombuffer(blob, HEAD, n, 8))
                 bodies.append(np.frombuffer(blob, np.uint8, -1, 8 + n * HEAD.itemsize))
@@ -336,28 +446,22 @@ def scanned(dealt: DataFrame, span: int) -> DataFrame:
             del blobs, heads, bodies
             length = head["wide"].astype(np.int64) + span
             start = np.cumsum(length) - length
-            family = SuffixFamily(span)
-            by = np.argsort(head["order"], kind="stable")
-            for k in range(0, len(by), BATCH):
-                own = by[k : k + BATCH]
-                windows = head["wide"][own].astype(np.int64) + 1
-                at = gather(start[own], windows)
-                row = np.repeat(own, windows)
-                seen = family.add(body, at, head["order"][row])
-                if not seen.any():
+            by = np.argsort(head["sub"], kind="stable")
+            cuts = np.searchsorted(head["sub"][by], np.arange(257))
+            k = 0
+            while k < 256:  # parts of a deal that together have a few batches
+                to = max(k + 1, int(np.searchsorted(cuts, cuts[k] + 4 * BATCH, side="right")) - 1)
+                mine = by[cuts[k] : cuts[to]]
+                k = to
+                if not len(mine):
                     continue
-                # runs of seen windows of one context
-                place = at - start[row]
-                hit = np.flatnonzero(seen)
-                new = np.concatenate([[True], (hit[1:] != hit[:-1] + 1) | (row[hit[1:]] != row[hit[:-1]])])
-                a = hit[new]
-                b = hit[np.append(np.flatnonzero(new)[1:], len(hit)) - 1]
-                spots = np.zeros(len(a), SPOT)
-                spots["first"] = head["first"][row[a]] + place[a]
-                spots["wide"] = place[b] - place[a]
-                yield _spots(head["order"][row[a]].copy(), head["text"][row[a]].copy(), spots, True)
+                for row, a, b in judged(body, start[mine], head[mine], span):
+                    if len(row):
+                        spots = np.zeros(len(row), SPOT)
+                        spots["first"], spots["wide"] = head["first"][mine[row]] + a, b - a
+                        yield _spots(head["order"][mine[row]].copy(), head["text"][mine[row]].copy(), spots, True, deal)
 
-    return dealt.mapInArrow(run, "_order long, _text_hash long, mark boolean, spots binary")
+    return dealt.mapInArrow(run, _spots_schema)
 
 
 def cut_out(rows: DataFrame, span: int, names: list[str], as_text: bool = False) -> DataFrame:
@@ -372,57 +476,139 @@ def cut_out(rows: DataFrame, span: int, names: list[str], as_text: bool = False)
         lists = batch.column(n + 1).to_pylist()
         sizes = np.array([sum(map(len, x)) // SPOT.itemsize if x else 0 for x in lists])
         spots = np.frombuffer(b"".join(b for x in lists if x for b in x), SPOT)
-        at = off[np.repeat(np.arange(len(lists)), sizes)] + spots["first"]
-        change = np.bincount(at, minlength=len(body) + 1).astype(np.int64) - np.bincount(at + spots["wide"] + span, minlength=len(body) + 1)
-        gone = np.cumsum(change)[: len(body)] > 0
-        before = np.zeros(len(body), bool)
-        before[1:] = gone[:-1]
-        inner = off[:-1][off[:-1] < len(body)]
-        before[inner] = False
-        begins = np.flatnonzero(gone & ~before)
-        after = np.zeros(len(body), bool)
-        after[:-1] = gone[1:]
-        last = off[1:][off[1:] > 0] - 1
-        after[last] = False
-        stops = np.flatnonzero(gone & ~after) + 1
-        removed = np.concatenate([[0], np.cumsum(gone)])
-        removed = removed[off[1:]] - removed[off[:-1]]
-        first_run = np.searchsorted(begins, off)
-        spans = np.diff(first_run)
+        owner = np.repeat(np.arange(len(lists)), sizes)
+        at = off[owner] + spots["first"]
+        by = np.argsort(at, kind="stable")
+        at, owner, to = at[by], owner[by], (at + spots["wide"] + span)[by]
+        reach = np.maximum.accumulate(to) if len(to) else to
+        new = np.ones(len(at), bool)
+        new[1:] = (at[1:] > reach[:-1]) | (owner[1:] != owner[:-1])
+        cut = np.flatnonzero(new)
+        begins, doc = at[cut], owner[cut]
+        stops = reach[np.append(cut[1:], len(at)) - 1] if len(cut) else begins
+        edge = np.zeros(len(body) + 1, np.int8)
+        edge[begins] += 1
+        edge[stops] -= 1
+        gone = np.cumsum(edge, dtype=np.int8)[: len(body)] > 0
+        removed = np.bincount(doc, stops - begins, minlength=len(lists)).astype(np.int64)
+        spans = np.bincount(doc, minlength=len(lists))
+        first_run = np.concatenate([[0], np.cumsum(spans)])
         kept_off = np.concatenate([[0], np.cumsum(np.diff(off) - removed)])
         kept = pa.BinaryArray.from_buffers(pa.binary(), len(lists), [None, pa.py_buffer(kept_off.astype(np.int32).tobytes()), pa.py_buffer(body[~gone].tobytes())])
         if as_text:
             kept = pa.array([b.decode("utf-8", "ignore") for b in kept.to_pylist()], pa.string())
-        doc = np.repeat(np.arange(len(lists)), spans)
         runs = pa.StructArray.from_arrays([pa.array(begins - off[doc]), pa.array(stops - off[doc])], ["start", "stop"])
         lists_of = pa.ListArray.from_arrays(pa.array(first_run.astype(np.int32)), runs)
         cols = [batch.column(i) for i in range(n)]
-        return pa.RecordBatch.from_arrays([*cols, kept, pa.array(np.diff(off)), pa.array(removed.astype(np.int64)), pa.array(spans.astype(np.int64)), lists_of], [*names, "kept", "n_bytes", "n_removed", "n_spans", "removed"])
+        return pa.RecordBatch.from_arrays([*cols, kept, pa.array(np.diff(off)), pa.array(removed), pa.array(spans.astype(np.int64)), lists_of], [*names, "kept", "n_bytes", "n_removed", "n_spans", "removed"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.select(*names).schema)
     schema += f", kept {'string' if as_text else 'binary'}, n_bytes long, n_removed long, n_spans long, removed array<struct<start:long,stop:long>>"
     return map_parts(rows.select(*names, "_body", "spots"), "_body", part, schema, 2 << 20)
 
 
-def dedup(docs: DataFrame, span: int = SPAN, id_col: str = "doc_id", text: str = "text", keep: list[str] | None = None, gram: int = GRAM, as_text: bool = False) -> DataFrame:
-    """Every row of `docs` with kept (bytes or text), n_bytes, n_removed, n_spans and removed (runs of bytes)."""
-    if span < 2 * gram or span + gram > 240:
-        raise ValueError("the span must be at least two grams and fit one byte with one more")
-    names = keep if keep is not None else [id_col]
-    deals = partitions(docs.sparkSession)
-    body = F.coalesce(F.col(text), F.lit("")).cast("binary")
-    base = docs.select(*(F.col(c).alias(f"_keep{i}") for i, c in enumerate(names)), order_key(id_col).alias("_order"), F.xxhash64(body).alias("_text_hash"), body.alias("_body"))
-    dealt = anchored(base, deals, span, gram).repartition(deals, "deal").sortWithinPartitions("deal")
-    found = settle(met(dealt), "anchors", last=True)
-    # texts are dealt by id once; both joins read that deal
-    texts = base.repartition(deals, "_order", "_text_hash")
-    wishes = found.where("not mark").groupBy("_order", "_text_hash").agg(F.collect_list("spots").alias("wishes")).hint("shuffle_hash")
+def marked(texts: DataFrame, entries: DataFrame, deals: int, span: int, block: int = BLOCK) -> DataFrame:
+    """(_order, _text_hash, spots): what to cut out of each text. `entries` has (deal, blob, old); `texts` all their texts."""
+    found = settle(met(entries.repartition("deal").sortWithinPartitions("deal"), block), "anchors", last=True)
+    wishes = found.where("not mark").groupBy("_order", "_text_hash").agg(F.collect_list(F.struct("deal", "spots")).alias("wishes")).hint("shuffle_hash")
     asked = texts.select("_order", "_text_hash", "_body").join(wishes, ["_order", "_text_hash"])
-    asked = asked.select("_order", "_text_hash", "_body", "wishes")
-    by_anchor = fetched(asked, deals, span, gram).repartition(deals, "deal").sortWithinPartitions("deal")
+    by_anchor = fetched(asked, deals, span).repartition("deal").sortWithinPartitions("deal")
     marks = found.where("mark").unionByName(scanned(by_anchor, span)).groupBy("_order", "_text_hash").agg(F.collect_list("spots").alias("spots"))
+    out = settle(marks, "marks", last=True)
+    discard(found)
+    return out
+
+
+def _base(docs: DataFrame, names: list[str], id_col: str, text: str) -> DataFrame:
+    body = F.coalesce(F.col(text), F.lit("")).cast("binary")
+    return docs.select(*(F.col(c).alias(f"_keep{i}") for i, c in enumerate(names)), order_key(id_col).alias("_order"), F.xxhash64(body).alias("_text_hash"), body.alias("_body"))
+
+
+def _left(texts: DataFrame, marks: DataFrame, span: int, names: list[str], as_text: bool) -> DataFrame:
     rows = texts.join(marks.hint("shuffle_hash"), ["_order", "_text_hash"], "left")
     out = cut_out(rows, span, [f"_keep{i}" for i in range(len(names))], as_text)
     return out.select(*(F.col(f"_keep{i}").alias(c) for i, c in enumerate(names)), "kept", "n_bytes", "n_removed", "n_spans", "removed")
 
 
+def _check(span: int, gram: int) -> None:
+    if span < 2 * gram or span + gram > 240:
+        raise ValueError("the span must be at least two grams and fit one byte with one more")
+
+
+def dedup(docs: DataFrame, span: int = SPAN, id_col: str = "doc_id", text: str = "text", keep: list[str] | None = None, gram: int = GRAM, as_text: bool = False, block: int = BLOCK) -> DataFrame:
+    """Every row of `docs` with kept (bytes or text), n_bytes, n_removed, n_spans and removed (runs of bytes)."""
+    _check(span, gram)
+    names = keep if keep is not None else [id_col]
+    base = _base(docs, names, id_col, text)
+    deals = deals_of(base)
+    entries = anchored(base, deals, span, gram).withColumn("old", F.lit(False))
+    return _left(base, marked(base, entries, deals, span, block), span, names, as_text)
+
+
+class SuffixIndex:
+    """The family as tables under `path`, for a corpus that arrives in batches whose ids exceed all earlier ones.
+
+    texts/batch=b   (_order, _text_hash, _body) of a batch
+    levels/<name>   (deal, blob): sorted anchored contexts of the batches that were merged into the level
+    manifest/<b>    (place, name, contexts) of the levels after batch b, the largest first
+    """
+
+    def __init__(self, spark: SparkSession, path: str, deals: int = 64, span: int = SPAN, gram: int = GRAM):
+        _check(span, gram)
+        self.spark, self.path, self.deals, self.span, self.gram = spark, path.rstrip("/"), deals, span, gram
+
+    def levels(self, batch: int) -> list[tuple[str, int]]:
+        """(name, contexts) of the levels after a batch; before the first there are none."""
+        if batch < 0:
+            return []
+        rows = self.spark.read.schema("place int, name string, contexts long").parquet(f"{self.path}/manifest/{batch}").collect()
+        return [(r["name"], r["contexts"]) for r in sorted(rows, key=lambda r: r["place"])]
+
+    def _level(self, name: str) -> DataFrame:
+        return self.spark.read.schema("deal int, blob binary").parquet(f"{self.path}/levels/{name}")
+
+    def _write(self, rows: DataFrame, name: str) -> int:
+        """Writes a level, one sorted array for each deal, and tells its size."""
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for deal, blobs, _ in _blocks(batches, 1 << 30):
+                own = np.frombuffer(b"".join(b for _, b in blobs), ENTRY)
+                own = own[own["state"] != KNOWN]  # an earlier context of the same part stands for it
+                own = own[np.lexsort((own["order"], own["anchor"]))]
+                yield pa.RecordBatch.from_arrays([pa.array([deal], pa.int32()), pa.array([own.tobytes()], pa.binary())], ["deal", "blob"])
+
+        sorted_rows = rows.select("deal", "blob").repartition("deal").sortWithinPartitions("deal").mapInArrow(run, "deal int, blob binary")
+        sorted_rows.write.mode("overwrite").parquet(f"{self.path}/levels/{name}")
+        size = self._level(name).agg(F.sum(F.octet_length("blob").cast("long"))).first()[0] or 0
+        return size // ENTRY.itemsize
+
+    def add(self, docs: DataFrame, batch: int, id_col: str = "doc_id", text: str = "text", keep: list[str] | None = None, as_text: bool = False) -> DataFrame:
+        """Judges batch number `batch` (from 0) against all before it, as `dedup` would judge them together, and indexes it.
+
+        Adding a batch again overwrites what it wrote.
+        """
+        names = keep if keep is not None else [id_col]
+        base = _base(docs, names, id_col, text)
+        before = self.levels(batch - 1)
+        base.select("_order", "_text_hash", "_body").write.mode("overwrite").parquet(f"{self.path}/texts/batch={batch}")
+        entries = settle(anchored(base, self.deals, self.span, self.gram), "entries")
+        known = entries.withColumn("old", F.lit(False))
+        texts = base.select("_order", "_text_hash", "_body")
+        for name, _ in before:
+            known = known.unionByName(self._level(name).withColumn("old", F.lit(True)))
+        for b in range(batch):
+            texts = texts.unionByName(self.spark.read.schema("_order long, _text_hash long, _body binary").parquet(f"{self.path}/texts/batch={b}"))
+        marks = marked(texts, known, self.deals, self.span)
+        out = settle(_left(base, marks, self.span, names, as_text), "kept", last=True)
+        discard(marks)
+        # the batch becomes a level; levels of like size become one
+        own = f"b{batch}-{uuid.uuid4().hex[:8]}"
+        levels = [*before, (own, self._write(entries, own))]
+        while len(levels) > 1 and levels[-2][1] < 2 * levels[-1][1]:
+            (x, _), (y, _) = levels.pop(), levels.pop()
+            name = f"m{batch}-{uuid.uuid4().hex[:8]}"
+            levels.append((name, self._write(self._level(x).unionByName(self._level(y)), name)))
+        discard(entries)
+        rows = [(k, name, n) for k, (name, n) in enumerate(levels)]
+        self.spark.createDataFrame(rows, "place int, name string, contexts long").coalesce(1).write.mode("overwrite").parquet(f"{self.path}/manifest/{batch}")
+        return out

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from probseq.llm.common import order_key, settle, shared_folder
+from probseq.llm.common import by_sort, discard, order_key, settle, shared_folder
 
 CRLF = b"\r\n"
 DATE = "2024-01-01T00:00:00Z"  # pages carry no time of their own
@@ -78,7 +78,7 @@ def originals(pages: DataFrame, id_col: str, payload: str, least: int) -> DataFr
     body = F.coalesce(F.col(payload), F.lit("")).cast("binary")
     sums = pages.select(F.col(id_col).alias("_id"), F.sha2(body, 256).alias("_digest"), F.octet_length(body).alias("_n")).where(F.col("_n") >= least)
     first = sums.groupBy("_digest").agg(F.min("_id").alias("_first"), F.count(F.lit(1)).alias("_many")).where((F.col("_many") > 1) & F.col("_first").isNotNull())
-    found = sums.join(first, "_digest").where(order_key("_id") > F.col("_first"))
+    found = by_sort(sums, first, "_digest").where(order_key("_id") > F.col("_first"))
     return settle(found.select("_id", "_digest", "_first").distinct(), "revisits")
 
 
@@ -126,7 +126,9 @@ def write(pages: DataFrame, id_col: str = "page_id", url: str = "url", payload:
             yield close()
 
     index = rows.mapInArrow(run, f"{id_col} {kind}, url string, digest string, record_type string, {INDEX}")
-    return settle(index, "warc-index")
+    out = settle(index, "warc-index")
+    discard(revisits)
+    return out
 
 
 def _has_repeats(pages: DataFrame, id_col: str) -> bool:
