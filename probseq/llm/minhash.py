@@ -284,15 +284,18 @@ def link(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100, bands:
     filled = sketched.where("n_shingles > 0")
     many_words, agree = words_of(bands, rows), least_agreement(num, den, bands, rows)
     sig = [f"s{k}" for k in range(many_words)]
-    banded = filled.select("node", F.col("n_shingles").alias("n"), *(F.get("bits", F.lit(k)).alias(c) for k, c in enumerate(sig)), F.posexplode("keys").alias("_band", "_key")).withColumn("bucket", F.xxhash64("_band", "_key")).drop("_band", "_key")
+    # copies are one node from here on; bands carry nothing but it
+    ones = [F.first(c).alias(c) for c in ("n_shingles", "keys", "bits")]
+    uniq = settle(filled.groupBy("node").agg(*ones, F.min("_order").alias("_first"), F.min(F.struct("_order", "_text_hash")).alias("_one")), "sets-once", last=True)
+    banded = uniq.select("node", F.explode(F.transform("keys", lambda k, i: F.xxhash64(i, k))).alias("bucket"))
     masks = [_mask(k) for k in range(PIVOTS)]
     pivots = [F.min(F.col("node").bitwiseXOR(F.lit(m))).bitwiseXOR(F.lit(m)).alias(f"_p{k}") for k, m in enumerate(masks)]
     shared = banded.groupBy("bucket").agg(F.min("node").alias("_low"), F.max("node").alias("_high"), *pivots).where("_low <> _high").drop("_low", "_high")
-    members = settle(by_sort(banded, shared, "bucket").groupBy("bucket", "node").agg(*(F.first(c).alias(c) for c in ["n", *sig, *(f"_p{k}" for k in range(PIVOTS))])), "bands")
-    nodes = settle(members.groupBy("node").agg(*(F.first(c).alias(c) for c in ["n", *sig])), "nodes")
+    members = settle(by_sort(banded, shared, "bucket").select("bucket", "node", *(f"_p{k}" for k in range(PIVOTS))), "bands", last=True)
+    wanted = by_sort(uniq, members.select("node").distinct(), "node", "left_semi")
+    nodes = settle(wanted.select("node", F.col("n_shingles").alias("n"), *(F.get("bits", F.lit(k)).alias(c) for k, c in enumerate(sig)), "_one"), "nodes")
     # one text per node with a candidate
-    chosen = by_sort(filled, nodes.select("node"), "node", "left_semi").groupBy("node").agg(F.min(F.struct("_order", "_text_hash")).alias("_one")).select("_one.*").distinct()
-    texts = by_sort(base.select("_order", "_text_hash", "_body"), chosen, ["_order", "_text_hash"], "left_semi")
+    texts = by_sort(base.select("_order", "_text_hash", "_body"), nodes.select("_one.*"), ["_order", "_text_hash"], "left_semi")
     sets = settle(full_sets(texts, words).dropDuplicates(["node"]), "sets", last=True)
 
     def likely(x: str, y: str):
@@ -336,14 +339,14 @@ def link(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100, bands:
     root = components(links.unionByName(more))
     discard(tested, late, more)
     # copies are one node with their smallest id; nodes of a component meet its smallest id in salted parts
-    firsts = filled.groupBy("node").agg(F.min("_order").alias("_first"))
+    firsts = uniq.select("node", "_first")
     linked = by_sort(root, firsts, "node").withColumn("_salt", F.pmod("node", F.lit(SALTS)))
     low = linked.groupBy("root").agg(F.min("_first").alias("_least")).withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)).cast("array<bigint>")))
     known = by_sort(linked, low, ["root", "_salt"]).select("node", "_least")
     own = by_sort(firsts, known, "node", "left").select("node", F.coalesce("_least", "_first").alias("_least"))
     placed = by_sort(sketched, own, "node", "left").select("_order", "_text_hash", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("_least")).otherwise(F.col("_order")).alias("_least"))
     placed = settle(placed, "groups", last=True)
-    discard(sketched, root)
+    discard(sketched, uniq, root)
     real = F.when(F.col("_least") < EOS_ORDER, F.col("_least")).alias("component_id")
     kept = (F.col("_order") == F.col("_least")).alias("kept")
     if keep is None:

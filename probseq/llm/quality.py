@@ -51,7 +51,8 @@ def passages(body: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]
         doc = np.repeat(np.arange(len(length)), length)
         place = np.arange(len(body)) - off[:-1][doc]
         own = first[doc] + place // PASSAGE
-        n = np.maximum(np.bincount(own, minlength=total), 1).astype(np.float32)[:, None]
+        size = np.bincount(own, minlength=total)
+        n = np.maximum(size, 1).astype(np.float32)[:, None]
         x[:, :CLASSES] = np.bincount(own * CLASSES + _classes[body], minlength=total * CLASSES).reshape(total, CLASSES) / n
         b = body.astype(np.uint32)
         pair = (((b[:-1] << 8) | b[1:]) * np.uint32(2654435761)) >> np.uint32(25)
@@ -64,7 +65,7 @@ def passages(body: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]
             new = np.concatenate([[True], key[1:] != key[:-1]])
             at = (key >> np.uint64(32)).astype(np.int64)
             x[:, -2] = np.bincount(at[new], minlength=total) / np.maximum(np.bincount(at, minlength=total), 1)
-        x[:, -1] = n[:, 0] / PASSAGE
+        x[:, -1] = size / PASSAGE
     return x, first
 
 

@@ -40,7 +40,7 @@ from probseq.llm.common import discard, gather, map_parts, order_key, partitions
 
 SPAN = 50
 GRAM = 16
-DEAL = 16 << 20  # bytes of text for each deal of anchors
+DEAL = 4 << 20  # bytes of text for each deal of anchors
 BLOCK = 4 << 20  # contexts of one deal that are held at once
 BATCH = 16384  # contexts that get a suffix array together
 CHUNK = 1 << 17  # contexts whose bytes are fetched together
@@ -212,6 +212,11 @@ def _sub(anchor: np.ndarray) -> np.ndarray:
     return ((anchor * _Q) >> np.uint64(56)).astype(np.uint8)
 
 
+def dealt_out(rows: DataFrame, deals: int) -> DataFrame:
+    """Rows by deal, a few deals in each partition."""
+    return rows.repartition(max(partitions(rows.sparkSession), deals // 4), "deal").sortWithinPartitions("deal")
+
+
 def deals_of(rows: DataFrame, column: str = "_body") -> int:
     """How many deals the bytes of a column need."""
     size = rows.agg(F.sum(F.octet_length(column).cast("long"))).first()[0] or 0
@@ -229,13 +234,14 @@ def _blocks(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[tuple[int,
     """(deal, (old, blob) of about `most` bytes, whether the deal ends here) of rows sorted by deal."""
     now, held, size = None, [], 0
     for b in batches:
-        for k, blob, old in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist() if b.num_columns > 2 else [False] * b.num_rows, strict=True):
+        # blobs are views of the batch, never copies
+        for k, blob, old in zip(b.column(0).to_pylist(), (x.as_buffer() for x in b.column(1)), b.column(2).to_pylist() if b.num_columns > 2 else [False] * b.num_rows, strict=True):
             if held and (k != now or size > most):
                 yield now, held, k != now
                 held, size = [], 0
             now = k
             held.append((old, blob))
-            size += len(blob)
+            size += blob.size
     if held:
         yield now, held, True
 
@@ -299,8 +305,8 @@ def met(dealt: DataFrame, block: int = BLOCK) -> DataFrame:
         alone, shared, whole = np.zeros(0, ENTRY), np.zeros(0, np.uint64), True
         for deal, blobs, done in _blocks(batches, block * ENTRY.itemsize):
             whole = whole and done  # of a deal in several blocks, all windows go on one by one
-            rows = np.frombuffer(b"".join(blob for _, blob in blobs), ENTRY).copy()
-            old = np.repeat([o for o, _ in blobs], [len(blob) // ENTRY.itemsize for _, blob in blobs])
+            rows = np.concatenate([np.frombuffer(blob, ENTRY) for _, blob in blobs])
+            old = np.repeat([o for o, _ in blobs], [blob.size // ENTRY.itemsize for _, blob in blobs])
             del blobs
             known = rows[(rows["state"] == KNOWN) & ~old]
             rows["state"][old] = OLD
@@ -439,7 +445,7 @@ def scanned(dealt: DataFrame, span: int) -> DataFrame:
         for deal, blobs, _ in _blocks(batches, 1 << 62):
             heads, bodies = [], []
             for _, blob in blobs:
-                n = int.from_bytes(blob[:8], "little")
+                n = int(np.frombuffer(blob, np.int64, 1)[0])
                 heads.append(np.frombuffer(blob, HEAD, n, 8))
                 bodies.append(np.frombuffer(blob, np.uint8, -1, 8 + n * HEAD.itemsize))
             head, body = np.concatenate(heads), np.concatenate(bodies)
@@ -509,10 +515,10 @@ def cut_out(rows: DataFrame, span: int, names: list[str], as_text: bool = False)
 
 def marked(texts: DataFrame, entries: DataFrame, deals: int, span: int, block: int = BLOCK) -> DataFrame:
     """(_order, _text_hash, spots): what to cut out of each text. `entries` has (deal, blob, old); `texts` all their texts."""
-    found = settle(met(entries.repartition("deal").sortWithinPartitions("deal"), block), "anchors", last=True)
+    found = settle(met(dealt_out(entries, deals), block), "anchors", last=True)
     wishes = found.where("not mark").groupBy("_order", "_text_hash").agg(F.collect_list(F.struct("deal", "spots")).alias("wishes")).hint("shuffle_hash")
     asked = texts.select("_order", "_text_hash", "_body").join(wishes, ["_order", "_text_hash"])
-    by_anchor = fetched(asked, deals, span).repartition("deal").sortWithinPartitions("deal")
+    by_anchor = dealt_out(fetched(asked, deals, span), deals)
     marks = found.where("mark").unionByName(scanned(by_anchor, span)).groupBy("_order", "_text_hash").agg(F.collect_list("spots").alias("spots"))
     out = settle(marks, "marks", last=True)
     discard(found)
@@ -572,12 +578,12 @@ class SuffixIndex:
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for deal, blobs, _ in _blocks(batches, 1 << 30):
-                own = np.frombuffer(b"".join(b for _, b in blobs), ENTRY)
+                own = np.concatenate([np.frombuffer(blob, ENTRY) for _, blob in blobs])
                 own = own[own["state"] != KNOWN]  # an earlier context of the same part stands for it
                 own = own[np.lexsort((own["order"], own["anchor"]))]
                 yield pa.RecordBatch.from_arrays([pa.array([deal], pa.int32()), pa.array([own.tobytes()], pa.binary())], ["deal", "blob"])
 
-        sorted_rows = rows.select("deal", "blob").repartition("deal").sortWithinPartitions("deal").mapInArrow(run, "deal int, blob binary")
+        sorted_rows = dealt_out(rows.select("deal", "blob"), self.deals).mapInArrow(run, "deal int, blob binary")
         sorted_rows.write.mode("overwrite").parquet(f"{self.path}/levels/{name}")
         size = self._level(name).agg(F.sum(F.octet_length("blob").cast("long"))).first()[0] or 0
         return size // ENTRY.itemsize
