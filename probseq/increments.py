@@ -1,10 +1,15 @@
-"""Queries of incremental maintenance: splits, tiers after each batch, transitions, completeness."""
+"""Queries of incremental maintenance: splits, tiers after each batch, transitions, a sliding database, completeness.
+
+Their oracles compute the supports of all patterns by batch with plain joins and then apply the rules of the tiers. Counts
+and completeness have oracles; times stand in queries of their own.
+"""
 
 from __future__ import annotations
 
 import shutil
 import tempfile
 import uuid
+from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -14,12 +19,12 @@ from probseq.config import IncrementParams, MiningParams
 from probseq.operators import evaluate
 from probseq.operators.baselines import remine_all
 from probseq.operators.incremental import Maintainer, ThreeTierMaintainer, TwoTierMaintainer
-from probseq.operators.splits import bounds, growing_bounds, split_increments
+from probseq.operators.splits import bounds, split_increments
 from probseq.sources import tables
 from probseq.workloads import item_weights, occurrences, query, r6
 
 ENDS = [0.5, 0.75, 1.0]
-SUP, MU, GAMMA, LONGEST = 0.01, 0.7, 0.8, 2
+WORK, SUP, MU, GAMMA = "order_brand", 0.004, 0.7, 0.8
 
 
 def state_folder(spark: SparkSession) -> str:
@@ -33,15 +38,22 @@ def drop_folder(path: str) -> None:
         shutil.rmtree(path.removeprefix("file://"), ignore_errors=True)
 
 
-def parts_of(spark: SparkSession, sf_dir: str, work: str, ends: list[float]) -> tuple[list[DataFrame], DataFrame]:
+def parts_of(spark: SparkSession, sf_dir: str, work: str, ends: list[float], by: str = "hash") -> tuple[list[DataFrame], DataFrame]:
+    """The occurrences of each batch, dealt by the hash of a sequence or (sequences being orders) by order date; and weights."""
     occ = occurrences(spark, sf_dir, work).persist()
-    split = split_increments(occ, ends)
+    if by == "hash":
+        split = split_increments(occ, ends)
+    else:
+        dates = tables.table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("seq_id"), F.col("o_orderdate").alias("t"))
+        split = occ.join(split_increments(dates, ends, "time", "t").drop("t"), "seq_id")
+    split = split.persist()
     return [split.where(F.col("batch_id") == k).drop("batch_id") for k in range(len(ends))], item_weights(spark, occ, work)
 
 
-def maintained(spark: SparkSession, sf_dir: str, kind: type[Maintainer], work: str = "userday_types", ends: list[float] | None = None, mu: float = MU, sup: float = SUP, longest: int | None = LONGEST, upto: int | None = None) -> tuple[Maintainer, int]:
-    parts, w = parts_of(spark, sf_dir, work, ends or ENDS)
-    m = kind(MiningParams(sup, max_len=longest, prune="exact"), IncrementParams(mu, GAMMA), w, state_folder(spark))
+def maintained(spark: SparkSession, sf_dir: str, kind: type[Maintainer], upto: int | None = None, weighted: bool = True, local: float | None = None) -> tuple[Maintainer, int]:
+    """Orders by month: half of the time span, then two increments of a quarter."""
+    parts, w = parts_of(spark, sf_dir, WORK, ENDS, "time")
+    m = kind(MiningParams(SUP, prune="exact"), IncrementParams(MU, GAMMA, local), w if weighted else None, state_folder(spark))
     m.initialize(parts[0])
     last = len(parts) - 1 if upto is None else upto
     for b in range(1, last + 1):
@@ -79,60 +91,99 @@ def _(spark, sf_dir):
     return split_increments(o, _FIFTH, "time", "t").groupBy(F.col("batch_id").cast("long").alias("batch_id")).agg(F.count(F.lit(1)).alias("n_seq"))
 
 
-# --- tiers: patterns up to length 2, all supports by batch, then the rules of the tiers
+# --- oracles: all supports by batch, then the rules of the tiers
+
+_TIME_SHARE = "SELECT o_orderkey AS seq_id, (epoch_us(o_orderdate) - (SELECT min(epoch_us(o_orderdate)) FROM orders)) / ((SELECT max(epoch_us(o_orderdate)) FROM orders) - (SELECT min(epoch_us(o_orderdate)) FROM orders) + 1) AS x FROM orders"
+_HASH_SHARE = f"SELECT seq_id, {_SHARE} AS x FROM (SELECT DISTINCT seq_id FROM occ)"
+
+
+@dataclass(frozen=True)
+class Config:
+    """One run of a maintainer: a split of the sequences, thresholds, and whether there are three tiers."""
+
+    split: int
+    sup: float
+    mu: float
+    three: bool
+    local: str | None = None
+
+
+def supports_sql(work: str, splits: list[list[float]], configs: list[Config], depth: int, by: str = "hash", weighted: bool = True) -> str:
+    """CTEs up to wes (pat, m, w<split>_<batch>) and th (m<config>_<batch>, g<config>_<batch>), of all patterns that any
+    run can track: what stays under every run's lowest threshold in all batches together is cut off."""
+    share = _TIME_SHARE if by == "time" else _HASH_SHARE
+    cols = ", ".join(f"{_case('x', ends)} AS b{s}" for s, ends in enumerate(splits))
+    stats = ", ".join(f"count(DISTINCT seq_id) FILTER (b{s} = {k}) AS n{s}_{k}, sum(weight) FILTER (b{s} = {k}) AS f{s}_{k}, count(*) FILTER (b{s} = {k}) AS c{s}_{k}" for s, ends in enumerate(splits) for k in range(len(ends)))
+    limits = []
+    for i, c in enumerate(configs):
+        for k in range(len(splits[c.split])):
+            n, f, o = (" + ".join(f"{x}{c.split}_{j}" for j in range(k + 1)) for x in "nfc")
+            limits.append(f"{c.sup} * ({n}) * ({f}) / ({o}) AS m{i}_{k}")
+            limits.append(f"{c.local or f'{GAMMA} * {c.mu} * {c.sup} * n{c.split}_{k} * ({f}) / ({o})'} AS g{i}_{k}")
+    low = ", ".join(f"{c.mu} * m{i}_0" for i, c in enumerate(configs))
+    low += "".join(f", g{i}_{k}" for i, c in enumerate(configs) if c.three for k in range(1, len(splits[c.split])))
+    best = " UNION ALL ".join(f"SELECT pat, seq_id, max(pr) AS best, any_value(sw) / {d} AS m FROM l{d} GROUP BY pat, seq_id" for d in range(1, depth + 1))
+    sums = ", ".join(f"coalesce(sum(best) FILTER (b{s} = {k}), 0) * any_value(m) AS w{s}_{k}" for s, ends in enumerate(splits) for k in range(len(ends)))
+    return f"""{O.head(work, weighted)}, part AS MATERIALIZED (SELECT seq_id, {cols} FROM ({share})),
+ st AS MATERIALIZED (SELECT {stats} FROM occ JOIN part USING (seq_id)), th AS MATERIALIZED (SELECT {", ".join(limits)} FROM st),
+ thr AS MATERIALIZED (SELECT least({low}) AS t, (SELECT max(weight) FROM occ) AS mw FROM th), {O.levels(depth)},
+ best AS (SELECT * FROM ({best})), wes AS MATERIALIZED (SELECT pat, any_value(m) AS m, {sums} FROM best JOIN part USING (seq_id) GROUP BY pat)"""
+
+
+def _rule(value: str, i: int, k: int, c: Config) -> str:
+    last = f" WHEN {value} >= g{i}_{k} * (1 - 1e-9) THEN 'PROMISING'" if c.three and k else ""
+    return f"CASE WHEN {value} >= m{i}_{k} * (1 - 1e-9) THEN 'FREQ' WHEN {value} >= {c.mu} * m{i}_{k} * (1 - 1e-9) THEN 'SEMI'{last} END"
+
+
+def tiers_sql(configs: list[Config], batches: list[int]) -> str:
+    """CTEs t<config>_<batch> (pat, m, w, tier, since, exact)."""
+    out = ""
+    for i, c in enumerate(configs):
+        s = c.split
+        out += f", t{i}_0 AS MATERIALIZED (SELECT pat, m, w{s}_0 AS w, {_rule(f'w{s}_0', i, 0, c)} AS tier, 0 AS since, TRUE AS exact FROM wes, th WHERE w{s}_0 >= {c.mu} * m{i}_0 * (1 - 1e-9))"
+        for k in range(1, batches[s]):
+            limit = f"g{i}_{k}" if c.three else f"{c.mu} * m{i}_{k}"
+            old = f"SELECT t.pat, t.m, t.w + w{s}_{k} AS w, since, exact FROM t{i}_{k - 1} t JOIN wes USING (pat), th WHERE t.w + w{s}_{k} >= {limit} * (1 - 1e-9)"
+            new = f" UNION ALL SELECT pat, m, w{s}_{k}, {k}, FALSE FROM wes, th WHERE w{s}_{k} >= g{i}_{k} * (1 - 1e-9) AND pat NOT IN (SELECT pat FROM t{i}_{k - 1})" if c.three else ""
+            out += f", t{i}_{k} AS MATERIALIZED (SELECT * FROM (SELECT pat, m, w, {_rule('w', i, k, c)} AS tier, since, exact FROM ({old}{new}), th) WHERE tier IS NOT NULL)"
+    return out
 
-_B = f"{O.head('userday_types')}, part AS (SELECT seq_id, {_case(_SHARE, ENDS)} AS b FROM (SELECT DISTINCT seq_id FROM occ)), {O.levels(2, prune=False)}"
-_ES = """, best AS (SELECT pat, seq_id, max(pr) AS best, any_value(sw) AS sw, 1 AS n FROM l1 GROUP BY pat, seq_id UNION ALL SELECT pat, seq_id, max(pr), any_value(sw), 2 FROM l2 GROUP BY pat, seq_id),
- wes AS MATERIALIZED (SELECT pat, any_value(sw / n) AS m, sum(best) FILTER (b = 0) * any_value(sw / n) AS w0, coalesce(sum(best) FILTER (b = 1), 0) * any_value(sw / n) AS w1, coalesce(sum(best) FILTER (b = 2), 0) * any_value(sw / n) AS w2 FROM best JOIN part USING (seq_id) GROUP BY pat),
- st AS (SELECT count(DISTINCT seq_id) FILTER (b = 0) AS n0, count(DISTINCT seq_id) FILTER (b = 1) AS n1, count(DISTINCT seq_id) FILTER (b = 2) AS n2,
-   sum(weight) FILTER (b = 0) AS f0, count(*) FILTER (b = 0) AS c0, sum(weight) FILTER (b = 1) AS f1, count(*) FILTER (b = 1) AS c1, sum(weight) FILTER (b = 2) AS f2, count(*) FILTER (b = 2) AS c2 FROM occ JOIN part USING (seq_id)),
- """ + f"""th AS MATERIALIZED (SELECT {SUP} * n0 * f0 / c0 AS m0, {SUP} * (n0 + n1) * (f0 + f1) / (c0 + c1) AS m1, {SUP} * (n0 + n1 + n2) * (f0 + f1 + f2) / (c0 + c1 + c2) AS m2,
-   {GAMMA} * {MU} * {SUP} * n1 * (f0 + f1) / (c0 + c1) AS g1, {GAMMA} * {MU} * {SUP} * n2 * (f0 + f1 + f2) / (c0 + c1 + c2) AS g2 FROM st)"""
 
+# --- tiers of orders by month
 
-def _rule(value: str, k: int, three: bool) -> str:
-    last = f" WHEN {value} >= g{k} THEN 'PROMISING'" if three and k else ""
-    return f"CASE WHEN {value} >= m{k} THEN 'FREQ' WHEN {value} >= {MU} * m{k} THEN 'SEMI'{last} END"
+_THREE, _TWO = Config(0, SUP, MU, True), Config(0, SUP, MU, False)
 
 
-def _tiers(three: bool) -> str:
-    """CTEs t0, t1, t2 (pat, w, tier, since, exact)."""
-    out = f", t0 AS MATERIALIZED (SELECT pat, m, w0 AS w, {_rule('w0', 0, three)} AS tier, 0 AS since, TRUE AS exact FROM wes, th WHERE w0 >= {MU} * m0)"
-    for k in (1, 2):
-        limit = f"g{k}" if three else f"{MU} * m{k}"
-        old = f"SELECT t.pat, t.m, t.w + w{k} AS w, since, exact FROM t{k - 1} t JOIN wes USING (pat), th WHERE t.w + w{k} >= {limit}"
-        new = f" UNION ALL SELECT pat, m, w{k}, {k}, FALSE FROM wes, th WHERE w{k} >= g{k} AND pat NOT IN (SELECT pat FROM t{k - 1})" if three else ""
-        out += f", t{k} AS MATERIALIZED (SELECT pat, m, w, {_rule('w', k, three)} AS tier, since, exact FROM ({old}{new}), th)"
-    return out
+def _chain(*configs: Config, weighted: bool = True) -> str:
+    return supports_sql(WORK, [ENDS], list(configs), 3, "time", weighted) + tiers_sql(list(configs), [len(ENDS)])
 
 
-def _state_sql(k: int, three: bool) -> str:
-    return f"{_B}{_ES}{_tiers(three)} SELECT '<' || pat || '>' AS pattern, {O.r6('w')} AS wes, tier, since::BIGINT AS since_batch, exact FROM t{k} WHERE tier IS NOT NULL"
+def _state_sql(k: int, *configs: Config, weighted: bool = True) -> str:
+    return f"{_chain(*configs, weighted=weighted)} SELECT '<' || pat || '>' AS pattern, {O.r6('w')} AS wes, tier, since::BIGINT AS since_batch, exact FROM t0_{k}"
 
 
-def _state(kind: type[Maintainer], k: int):
+def _state(kind: type[Maintainer], k: int, **kw):
     def run(spark, sf_dir):
-        m, last = maintained(spark, sf_dir, kind, upto=k)
+        m, last = maintained(spark, sf_dir, kind, upto=k, **kw)
         return m.tiers(spark, last).select("pattern", r6("wes").alias("wes"), "tier", "since_batch", "exact")
 
     return run
 
 
 for _k in (0, 1, 2):
-    query(f"tiers_after_batch_{_k}", _state_sql(_k, True))(_state(ThreeTierMaintainer, _k))
-query("two_tier_after_batches", _state_sql(2, False))(_state(TwoTierMaintainer, 2))
+    query(f"tiers_after_batch_{_k}", _state_sql(_k, _THREE))(_state(ThreeTierMaintainer, _k))
+query("two_tier_after_batches", _state_sql(2, _TWO))(_state(TwoTierMaintainer, 2))
+query("tiers_unweighted", _state_sql(2, _THREE, weighted=False))(_state(ThreeTierMaintainer, 2, weighted=False))
+query("tiers_own_local_threshold", _state_sql(2, Config(0, SUP, MU, True, "6.5")))(_state(ThreeTierMaintainer, 2, local=6.5))
 
 
-@query(
-    "tier_transitions",
-    f"{_B}{_ES}{_tiers(True)} SELECT '<' || pat || '>' AS pattern, a.tier AS before, b.tier AS after FROM (SELECT * FROM t1 WHERE tier IS NOT NULL) a FULL JOIN (SELECT * FROM t2 WHERE tier IS NOT NULL) b USING (pat) WHERE a.tier IS DISTINCT FROM b.tier",
-)
+@query("tier_transitions", f"{_chain(_THREE)} SELECT '<' || pat || '>' AS pattern, a.tier AS before, b.tier AS after FROM t0_1 a FULL JOIN t0_2 b USING (pat) WHERE a.tier IS DISTINCT FROM b.tier")
 def _(spark, sf_dir):
     m, last = maintained(spark, sf_dir, ThreeTierMaintainer)
     return m.transitions(spark, last)
 
 
-@query("cube_tier_batch", f"{_B}{_ES}{_tiers(True)}, s AS (SELECT tier, 0 AS batch_id FROM t0 UNION ALL SELECT tier, 1 FROM t1 UNION ALL SELECT tier, 2 FROM t2) SELECT tier, batch_id::BIGINT AS batch_id, count(*)::BIGINT AS n FROM s WHERE tier IS NOT NULL GROUP BY CUBE (tier, batch_id)")
+@query("cube_tier_batch", f"{_chain(_THREE)}, s AS (SELECT tier, 0 AS batch_id FROM t0_0 UNION ALL SELECT tier, 1 FROM t0_1 UNION ALL SELECT tier, 2 FROM t0_2) SELECT tier, batch_id::BIGINT AS batch_id, count(*)::BIGINT AS n FROM s GROUP BY CUBE (tier, batch_id)")
 def _(spark, sf_dir):
     m, last = maintained(spark, sf_dir, ThreeTierMaintainer)
     both = m.tiers(spark, 0)
@@ -141,36 +192,31 @@ def _(spark, sf_dir):
     return both.cube("tier", "batch_id").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("remine_after_batches", f"{O.mined('userday_types', SUP, 3).replace('found AS', 'found_all AS')}, found AS (SELECT * FROM found_all WHERE length <= 2) {O.RESULT} FROM found")
+_SLID = "w - CASE WHEN since = 0 THEN w0_0 ELSE 0 END"
+
+
+@query(
+    "tiers_after_slide",
+    f"""{_chain(_THREE)}, lim AS (SELECT {SUP} * (n0_1 + n0_2) * (f0_1 + f0_2) / (c0_1 + c0_2) AS top, {GAMMA} * {MU} * {SUP} * n0_2 * (f0_1 + f0_2) / (c0_1 + c0_2) AS low FROM st),
+ slid AS (SELECT pat, {_SLID} AS w, since, exact FROM t0_2 JOIN wes USING (pat)),
+ named AS (SELECT pat, w, since, exact, CASE WHEN w >= top * (1 - 1e-9) THEN 'FREQ' WHEN w >= {MU} * top * (1 - 1e-9) THEN 'SEMI' WHEN w >= low * (1 - 1e-9) THEN 'PROMISING' END AS tier FROM slid, lim)
+ SELECT '<' || pat || '>' AS pattern, {O.r6('w')} AS wes, tier, since::BIGINT AS since_batch, exact FROM named WHERE tier IS NOT NULL""",
+)
 def _(spark, sf_dir):
-    from probseq.workloads import shown
+    """The first half leaves the database once both increments have come."""
+    m, last = maintained(spark, sf_dir, ThreeTierMaintainer)
+    return m.drop_oldest(spark, 0, last + 1).select("pattern", r6("wes").alias("wes"), "tier", "since_batch", "exact")
 
-    parts, w = parts_of(spark, sf_dir, "userday_types", ENDS)
-    return shown(remine_all(parts, w, MiningParams(SUP, max_len=LONGEST, prune="exact"))[-1].result)
 
+@query("remine_after_batches", O.mine(WORK, SUP, 3))
+def _(spark, sf_dir):
+    from probseq.workloads import shown
 
-def completeness_rows(spark: SparkSession, sf_dir: str, work: str, ends: list[float], mus: list[float], sup: float, longest: int | None) -> list[tuple]:
-    """(mu, method, completeness, precision, tracked, seconds) of both maintainers against mining everything again."""
-    parts, w = parts_of(spark, sf_dir, work, ends)
-    params = MiningParams(sup, max_len=longest, prune="exact")
-    whole = remine_all([_union(parts)], w, params)[0].result
-    rows = []
-    for mu in mus:
-        for kind in (ThreeTierMaintainer, TwoTierMaintainer):
-            m = kind(params, IncrementParams(mu, GAMMA), w, state_folder(spark))
+    parts, w = parts_of(spark, sf_dir, WORK, ENDS, "time")
+    return shown(remine_all([_union(parts)], w, MiningParams(SUP, prune="exact"))[-1].result)
 
-            def go(m=m):
-                m.initialize(parts[0])
-                for b in range(1, len(parts)):
-                    m.apply(parts[b], b)
-                return m.tiers(spark, len(parts) - 1)
 
-            state, seconds = evaluate.timed(go)
-            freq = state.where("tier = 'FREQ'")
-            c = evaluate.completeness(freq, whole).first()
-            rows.append((mu, kind.__name__, c["pct"], 100.0 * c["common_n"] / c["found_n"] if c["found_n"] else 100.0, state.count(), seconds))
-            drop_folder(m.path)
-    return rows
+# --- completeness against mining everything again
 
 
 def _union(parts: list[DataFrame]) -> DataFrame:
@@ -180,18 +226,83 @@ def _union(parts: list[DataFrame]) -> DataFrame:
     return out
 
 
-_COLS = "mu double, method string, completeness double, precision double, tracked long, seconds double"
-
-
-@query("completeness_by_mu")
-def _(spark, sf_dir):
-    return spark.createDataFrame(completeness_rows(spark, sf_dir, "order_brand", [0.5, 0.8, 1.0], [1.0, 0.7], 0.004, 2), _COLS)
-
-
-@query("completeness_by_initial_size")
+@dataclass(frozen=True)
+class Study:
+    """Runs over one workload; `depth` is one more than the longest pattern that any of them tracks."""
+
+    work: str
+    splits: list[list[float]]
+    configs: list[Config]
+    depth: int
+    by: str = "hash"
+
+    def sql(self) -> str:
+        batches = [len(e) for e in self.splits]
+        rows = []
+        for i, c in enumerate(self.configs):
+            s, last = c.split, batches[c.split] - 1
+            total = " + ".join(f"w{s}_{k}" for k in range(last + 1))
+            rows.append(f"""SELECT {self.splits[s][0]}::DOUBLE AS first, {c.sup}::DOUBLE AS min_sup, {c.mu}::DOUBLE AS mu, '{"three" if c.three else "two"}' AS tiers,
+  (SELECT count(*) FROM t{i}_{last})::BIGINT AS tracked, (SELECT count(*) FROM t{i}_{last} WHERE tier = 'FREQ')::BIGINT AS found,
+  (SELECT count(*) FROM wes, th WHERE {total} >= m{i}_{last} * (1 - 1e-9))::BIGINT AS reference,
+  (SELECT count(*) FROM wes JOIN t{i}_{last} USING (pat), th WHERE tier = 'FREQ' AND {total} >= m{i}_{last} * (1 - 1e-9))::BIGINT AS common""")
+        done = "SELECT *, round(CASE WHEN reference > 0 THEN 100.0 * common / reference ELSE 100.0 END, 6)::DOUBLE AS completeness, round(CASE WHEN found > 0 THEN 100.0 * common / found ELSE 100.0 END, 6)::DOUBLE AS precision FROM"
+        return f"{supports_sql(self.work, self.splits, self.configs, self.depth, self.by)}{tiers_sql(self.configs, batches)} {done} ({' UNION ALL '.join(rows)})"
+
+    def run(self, spark: SparkSession, sf_dir: str) -> list[tuple]:
+        """(first, min_sup, mu, tiers, tracked, found, reference, common, seconds) of every run."""
+        out, whole = [], {}
+        for s, ends in enumerate(self.splits):
+            parts, w = parts_of(spark, sf_dir, self.work, ends, self.by)
+            w = w.persist()
+            for c in self.configs:
+                if c.split != s:
+                    continue
+                params = MiningParams(c.sup, prune="exact")
+                if c.sup not in whole:
+                    whole[c.sup] = {r["pattern"] for r in remine_all([_union(parts)], w, params)[0].result.select("pattern").collect()}
+                m = (ThreeTierMaintainer if c.three else TwoTierMaintainer)(params, IncrementParams(c.mu, GAMMA), w, state_folder(spark))
+
+                def go(m=m, parts=parts):
+                    m.initialize(parts[0])
+                    for b in range(1, len(parts)):
+                        m.apply(parts[b], b)
+                    return {r["pattern"]: r["tier"] for r in m.tiers(spark, len(parts) - 1).select("pattern", "tier").collect()}
+
+                state, seconds = evaluate.timed(go)
+                drop_folder(m.path)
+                found = {p for p, t in state.items() if t == "FREQ"}
+                out.append((ends[0], c.sup, c.mu, "three" if c.three else "two", len(state), len(found), len(whole[c.sup]), len(found & whole[c.sup]), seconds))
+            w.unpersist()
+            spark.catalog.clearCache()
+        return out
+
+
+_COLS = "first double, min_sup double, mu double, tiers string, tracked long, found long, reference long, common long"
+
+
+def _study(name: str, study: Study) -> None:
+    @query(name, study.sql())
+    def _(spark, sf_dir):
+        rows = spark.createDataFrame([r[:-1] for r in study.run(spark, sf_dir)], _COLS)
+        share = lambda of: F.round(F.when(F.col(of) > 0, 100.0 * F.col("common") / F.col(of)).otherwise(100.0), 6)
+        return rows.withColumn("completeness", share("reference")).withColumn("precision", share("found"))
+
+
+def _both(splits: list[int], sups: list[float], mus: list[float]) -> list[Config]:
+    return [Config(s, sup, mu, three) for s in splits for sup in sups for mu in mus for three in (True, False)]
+
+
+_FIFTHS = [0.2, 0.6, 1.0]
+_study("completeness_by_mu", Study(WORK, [_FIFTHS], _both([0], [SUP], [1.0, 0.8, 0.65, 0.5]), 3, "time"))
+_study("completeness_by_mu_baskets", Study("customer_type_size", [[0.5, 1.0]], _both([0], [0.12], [1.0, 0.8]), 3))
+_study("completeness_by_min_sup", Study(WORK, [_FIFTHS], _both([0], [0.003, 0.004, 0.005], [0.8]), 3, "time"))
+_study("completeness_by_initial_size", Study("customer_brand", [[0.4, 0.7, 1.0], [0.8, 1.0]], _both([0, 1], [0.15], [0.9]), 3))
+
+
+@query("tradeoff_by_mu")
 def _(spark, sf_dir):
-    out = []
-    for first in (0.3, 0.6):
-        for r in completeness_rows(spark, sf_dir, "segment_brand_type", growing_bounds(first), [0.8], 0.02, 2):
-            out.append((first, *r))
-    return spark.createDataFrame(out, "initial double, " + _COLS)
+    """Completeness against seconds; times have no oracle."""
+    study = Study(WORK, [ENDS], _both([0], [SUP], [1.0, 0.7]), 3, "time")
+    rows = [(mu, tiers, 100.0 * common / reference if reference else 100.0, seconds) for _, _, mu, tiers, _, _, reference, common, seconds in study.run(spark, sf_dir)]
+    return spark.createDataFrame(rows, "mu double, tiers string, completeness double, seconds double")

@@ -92,7 +92,7 @@ def _joined(alive: list[P.Steps]) -> set[P.Steps]:
     return out
 
 
-def mine_probabilistic(occ: DataFrame, min_count: int, tau: float, max_len: int = 3, min_es: float | None = None) -> DataFrame:
+def mine_probabilistic(occ: DataFrame, min_count: int, tau: float, max_len: int | None = None, min_es: float | None = None) -> DataFrame:
     """Patterns that at least `min_count` sequences have with probability tau or more, sequences being independent.
 
     P(support >= min_count) is a Poisson-binomial tail over the best match probabilities, by dynamic programming in one

@@ -47,12 +47,14 @@ def accepted(occ: DataFrame, weights: DataFrame | None = None) -> DataFrame:
 
 
 def dictionary(occ: DataFrame, weights: DataFrame | None = None) -> DataFrame:
-    """(item, weight, occ, seqs): how often each item occurs and in how many sequences."""
-    per = occ.groupBy("item", "seq_id").agg(F.count(F.lit(1)).alias("n"))  # map-side combine, then one row per pair
-    counts = per.groupBy("item").agg(F.sum("n").alias("occ"), F.count(F.lit(1)).alias("seqs"))
+    """(item, weight, occ, seqs, mx, sm): how often each item occurs, in how many sequences, and the maximum and sum
+    over sequences of its best probability there (null without a column p)."""
+    p = F.col("p") if "p" in occ.columns else F.lit(None).cast("double")
+    per = occ.groupBy("item", "seq_id").agg(F.count(F.lit(1)).alias("n"), F.max(p).alias("best"))  # map-side combine, then one row per pair
+    counts = per.groupBy("item").agg(F.sum("n").alias("occ"), F.count(F.lit(1)).alias("seqs"), F.max("best").alias("mx"), F.sum("best").alias("sm"))
     if weights is None:
-        return counts.select("item", F.lit(1.0).alias("weight"), "occ", "seqs")
-    return counts.join(weights.select("item", "weight"), "item", "left").select("item", F.coalesce("weight", F.lit(1.0)).alias("weight"), "occ", "seqs")
+        return counts.select("item", F.lit(1.0).alias("weight"), "occ", "seqs", "mx", "sm")
+    return counts.join(weights.select("item", "weight"), "item", "left").select("item", F.coalesce("weight", F.lit(1.0)).alias("weight"), "occ", "seqs", "mx", "sm")
 
 
 def suffix_max(occ: DataFrame) -> DataFrame:

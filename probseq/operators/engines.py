@@ -23,18 +23,6 @@ STATS = "node long, kind string, item int, mx double, sm double, ct long"
 ROOT = -1
 
 
-def _combine(node: np.ndarray, item: np.ndarray, best: np.ndarray, mx: np.ndarray | None = None, ct: np.ndarray | None = None):
-    """Sums by (node, item) of parts that may repeat it."""
-    by = np.lexsort((item, node))
-    node, item, best = node[by], item[by], best[by]
-    new = np.ones(len(node), bool)
-    new[1:] = (node[1:] != node[:-1]) | (item[1:] != item[:-1])
-    at = np.flatnonzero(new)
-    top = np.maximum.reduceat(mx[by] if mx is not None else best, at)
-    many = np.add.reduceat(ct[by], at) if ct is not None else np.diff(np.append(at, len(node)))
-    return node[at], item[at], top, np.add.reduceat(best, at), many
-
-
 class ArrowEngine:
     """Recomputes the states of live nodes from the tree in every pass: no frontier is stored, no raw row is shuffled.
 
@@ -44,7 +32,7 @@ class ArrowEngine:
 
     def __init__(self, occ: DataFrame, ids: DataFrame, cooccurring: bool = False):
         self.packed = pack(occ, ids).persist(StorageLevel.MEMORY_AND_DISK)
-        self.cooccurring = cooccurring
+        self.cooccurring, self.n_items = cooccurring, ids.count()
 
     def close(self) -> None:
         self.packed.unpersist()
@@ -55,7 +43,7 @@ class ArrowEngine:
             yield self._group(tree, live)
 
     def _group(self, tree: Tree, live: np.ndarray) -> DataFrame:
-        wanted, cooccurring = set(live.tolist()), self.cooccurring
+        wanted, cooccurring, n_items = set(live.tolist()), self.cooccurring, self.n_items
         needed, at = set(), live[live >= 0]
         while len(at):  # only branches that lead to a live node
             needed.update(at.tolist())
@@ -65,57 +53,55 @@ class ArrowEngine:
         item_of = tree.item.tolist()
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            held: dict[str, list] = {"S": [], "I": []}
+            held: dict[tuple[int, str], list[np.ndarray]] = {}  # (node, kind) -> items, maxima, sums, counts of one batch each
             es: dict[int, list] = {}
             size = 0
 
-            def flush():
+            def flush() -> pa.RecordBatch:
                 cols = []
-                for kind, parts in held.items():
-                    if parts:
-                        n, i, b, m, c = (np.concatenate([p[k] for p in parts]) for k in range(5))
-                        n, i, m, b, c = _combine(n, i, b, m, c)
-                        cols.append((n, [kind] * len(n), i, m, b, c))
-                        parts.clear()
+                for (k, kind), parts in held.items():
+                    mx, sm, ct = np.zeros(n_items), np.zeros(n_items), np.zeros(n_items, np.int64)
+                    for i, m, s, c in parts:
+                        mx[i] = np.maximum(mx[i], m)
+                        sm[i] += s
+                        ct[i] += c
+                    hit = np.flatnonzero(ct)
+                    cols.append((np.full(len(hit), k), [kind] * len(hit), hit, mx[hit], sm[hit], ct[hit]))
                 if es:
                     n = np.array(list(es))
                     v = np.array([es[k] for k in n.tolist()])
                     cols.append((n, ["E"] * len(n), np.full(len(n), -1), v[:, 0], v[:, 1], v[:, 2].astype(np.int64)))
-                    es.clear()
-                if not cols:
-                    return None
+                held.clear()
+                es.clear()
                 types = [pa.int64(), pa.string(), pa.int32(), pa.float64(), pa.float64(), pa.int64()]
                 arrays = [pa.array([x for c in cols for x in c[1]], t) if k == 1 else pa.array(np.concatenate([c[k] for c in cols]), t) for k, t in enumerate(types)]
                 return pa.RecordBatch.from_arrays(arrays, ["node", "kind", "item", "mx", "sm", "ct"])
 
             for b in batches:
-                for _, batch in batches_of(b.column(0)):
+                for _, batch in batches_of(b.column(0), n_items):
 
                     def visit(k, state, batch=batch):
                         nonlocal size
                         if k not in wanted:
                             return
-                        if k != ROOT:
-                            top = state.ends.max(axis=1)
+                        if state is not None:
                             own = es.setdefault(k, [0.0, 0.0, 0])
-                            own[0] = max(own[0], float(top.max()))
-                            own[1] += float(top.sum())
-                            own[2] += len(top)
-                        for kind, items, best in batch.extensions(state, item_of[k] if k != ROOT else -1, k == ROOT, cooccurring):
-                            n, i, m, s, c = _combine(np.zeros(len(items), np.int64), items, best)
-                            held[kind].append((n + k, i, s, m, c))
-                            size += len(i)
+                            own[0] = max(own[0], float(state.best.max()))
+                            own[1] += float(state.best.sum())
+                            own[2] += len(state.rows)
+                        for kind, *part in batch.extensions(state, item_of[k] if k != ROOT else -1, cooccurring):
+                            held.setdefault((k, kind), []).append(part)
+                            size += len(part[0])
 
                     if ROOT in wanted:
-                        visit(ROOT, batch.root())
+                        visit(ROOT, None)
                     else:
                         walk(batch, tree, children, visit)
-                    if size > 1 << 20:
+                    if size > 1 << 20 and held:
                         size = 0
-                        if (out := flush()) is not None:
-                            yield out
-            if (out := flush()) is not None:
-                yield out
+                        yield flush()
+            if held or es:
+                yield flush()
 
         parts = self.packed.select("events").mapInArrow(run, STATS)
         return parts.groupBy("node", "kind", "item").agg(F.max("mx").alias("mx"), F.sum("sm").alias("sm"), F.sum("ct").alias("ct"))

@@ -1,8 +1,10 @@
 """Maintenance of patterns while sequences arrive.
 
 State, one version per batch, is a Parquet directory `state/batch_id=b` of (pattern, es, seq_weight, wes, tier,
-since_batch, exact), next to `items/batch_id=b` (how often each item occurred so far) and `size/batch_id=b`. A batch reads
-the version before it and overwrites its own, so applying it again changes nothing. Old sequences are never read.
+since_batch, exact), next to `items/batch_id=b` (how often each item occurred so far) and `size/batch_id=b`. What a batch
+itself brought is kept beside it: `gains/batch_id=b` (pattern, es), `own_items` and `own_size`. A batch reads the version
+before it and overwrites its own, so applying it again changes nothing. Old sequences are never read, not even to take
+back what they gave when the database slides on.
 
 The supports of tracked patterns grow by one tree pass over the increment. A pattern first met in an increment enters
 with that increment's support alone, so its value is a lower bound (`exact` is false) and the frequent set is a subset
@@ -53,8 +55,9 @@ class Maintainer:
     def update_stats(self, delta: DataFrame, batch_id: int) -> dict:
         """Adds the item counts and size of the increment to those of the version before, and renews the thresholds."""
         spark = delta.sparkSession
-        own = dictionary(delta).select("item", "occ", "seqs")
+        own = self._save(dictionary(delta).select("item", "occ", "seqs"), "own_items", batch_id)
         n = delta.select("seq_id").distinct().count()
+        self._save(spark.createDataFrame([(n,)], "n long").coalesce(1), "own_size", batch_id)
         total = n
         if batch_id:
             before = self._load(spark, "items", batch_id - 1, "item string, occ long, seqs long")
@@ -62,6 +65,10 @@ class Maintainer:
             total += self._load(spark, "size", batch_id - 1, "n long").first()["n"]
         items = self._save(own, "items", batch_id)
         self._save(spark.createDataFrame([(total,)], "n long").coalesce(1), "size", batch_id)
+        return self._thresholds(items, total, n, batch_id)
+
+    def _thresholds(self, items: DataFrame, total: int, n: int, batch_id: int) -> dict:
+        """Thresholds of a database of `total` sequences, the last `n` of them new."""
         f = "occ" if self.params.freq == "occurrences" else "seqs"
         w = items if self.weights is None else items.join(self.weights.select("item", "weight"), "item", "left")
         weight = F.lit(1.0) if self.weights is None else F.coalesce("weight", F.lit(1.0))
@@ -86,14 +93,17 @@ class Maintainer:
         run = mine_capped(occ, self.weights, self.params, s["min_wes_buf"])
         state = run.result.select("pattern", "es", "seq_weight", "wes", tier_of(F.col("wes"), s["min_wes"], s["min_wes_buf"], None).alias("tier"), F.lit(batch_id).cast("long").alias("since_batch"), F.lit(True).alias("exact"))
         self.log.append(s | {"candidates": run.n_candidates})
-        return self._save(state.where(F.col("tier").isNotNull()), "state", batch_id)
+        state = self._save(state.where(F.col("tier").isNotNull()), "state", batch_id)
+        self._save(state.select("pattern", "es"), "gains", batch_id)
+        return state
 
     def mine_local(self, delta: DataFrame, s: dict) -> DataFrame:
         return mine_capped(delta, self.weights, replace(self.params), s["local_wes"]).result
 
     def update_tracked(self, state: DataFrame, delta: DataFrame, s: dict) -> DataFrame:
         """Adds the increment's supports to tracked patterns; those that miss it only meet the new thresholds."""
-        gain = expected_support(delta, state.select("pattern"), None, self.params.engine).select("pattern", F.col("es").alias("_gain"))
+        gain = expected_support(delta, state.select("pattern"), None, self.params.engine).select("pattern", "es")
+        gain = self._save(gain.where("es > 0"), "gains", s["batch_id"]).withColumnRenamed("es", "_gain")
         es = F.col("es") + F.coalesce("_gain", F.lit(0.0))
         grown = state.join(gain, "pattern", "left").select("pattern", es.alias("es"), "seq_weight", (es * F.col("seq_weight")).alias("wes"), "since_batch", "exact")
         # the deletion test comes first: of the local threshold with three tiers, of the buffer with two
@@ -104,6 +114,7 @@ class Maintainer:
     def admit(self, tracked: DataFrame, state: DataFrame, local: DataFrame, s: dict, batch_id: int) -> DataFrame:
         """Patterns of the increment that are not tracked enter with the increment's support."""
         new = local.join(state.select("pattern"), "pattern", "left_anti")
+        self._save(new.select("pattern", "es"), "gains_new", batch_id)
         labelled = new.select("pattern", "es", "seq_weight", "wes", F.lit(batch_id).cast("long").alias("since_batch"), F.lit(False).alias("exact"), tier_of(F.col("wes"), s["min_wes"], s["min_wes_buf"], s["local_wes"]).alias("tier"))
         return tracked.unionByName(labelled.where(F.col("tier").isNotNull()))
 
@@ -127,25 +138,30 @@ class Maintainer:
         b = self.tiers(spark, batch_id).select("pattern", F.col("tier").alias("after"))
         return a.join(b, "pattern", "full").where(~F.col("before").eqNullSafe(F.col("after")))
 
-    def drop_oldest(self, old: DataFrame, batch_id: int) -> DataFrame:
-        """A sliding database: takes back what the sequences of `old` gave, as the next version."""
-        spark = old.sparkSession
+    def drop_oldest(self, spark, oldest: int, batch_id: int) -> DataFrame:
+        """A sliding database: takes back what batch `oldest` gave, as version `batch_id` after version batch_id - 1.
+
+        Only patterns that were tracked when it came have anything of it: one that was admitted later (or again) starts
+        with its own batch. The local threshold stays that of the newest increment.
+        """
         state = self._load(spark, "state", batch_id - 1, STATE)
-        items = self._load(spark, "items", batch_id - 1, "item string, occ long, seqs long")
-        gone = dictionary(old).select("item", (-F.col("occ")).alias("occ"), (-F.col("seqs")).alias("seqs"))
-        left = items.unionByName(gone).groupBy("item").agg(F.sum("occ").alias("occ"), F.sum("seqs").alias("seqs")).where("occ > 0")
-        n = self._load(spark, "size", batch_id - 1, "n long").first()["n"] - old.select("seq_id").distinct().count()
-        self._save(left, "items", batch_id)
-        self._save(spark.createDataFrame([(n,)], "n long").coalesce(1), "size", batch_id)
-        f = "occ" if self.params.freq == "occurrences" else "seqs"
-        w = left if self.weights is None else left.join(self.weights.select("item", "weight"), "item", "left")
-        weight = F.lit(1.0) if self.weights is None else F.coalesce("weight", F.lit(1.0))
-        r = w.agg(F.sum(weight * F.col(f)).alias("wf"), F.sum(f).alias("f")).first()
-        min_wes = global_threshold(n, r["wf"] / r["f"] if r["f"] else 0.0, self.params.min_sup, self.params.wgt_fct)
-        loss = expected_support(old, state.select("pattern"), None, self.params.engine).select("pattern", F.col("es").alias("_loss"))
-        es = F.greatest(F.col("es") - F.coalesce("_loss", F.lit(0.0)), F.lit(0.0))
-        left_state = state.join(loss, "pattern", "left").select("pattern", es.alias("es"), "seq_weight", (es * F.col("seq_weight")).alias("wes"), "since_batch", "exact")
-        labelled = left_state.withColumn("tier", tier_of(F.col("wes"), min_wes, self.inc.mu * min_wes, None)).where(F.col("tier").isNotNull())
+        counts, size = "item string, occ long, seqs long", "n long"
+        gone = self._load(spark, "own_items", oldest, counts).select("item", (-F.col("occ")).alias("occ"), (-F.col("seqs")).alias("seqs"))
+        left = self._load(spark, "items", batch_id - 1, counts).unionByName(gone).groupBy("item").agg(F.sum("occ").alias("occ"), F.sum("seqs").alias("seqs")).where("occ > 0")
+        items = self._save(left, "items", batch_id)
+        total = self._load(spark, "size", batch_id - 1, size).first()["n"] - self._load(spark, "own_size", oldest, size).first()["n"]
+        self._save(spark.createDataFrame([(total,)], size).coalesce(1), "size", batch_id)
+        logged = [x["delta_n"] for x in self.log if not x.get("dropped")]
+        newest = logged[-1] if logged else self._load(spark, "own_size", batch_id - 1, size).first()["n"]
+        s = self._thresholds(items, total, newest, batch_id) | {"dropped": True}
+        gains = self._load(spark, "gains", oldest, "pattern string, es double").select("pattern", F.col("es").alias("_loss"), F.lit(oldest).alias("_upto"))
+        if oldest and self.three:  # what was admitted then is its since_batch
+            gains = gains.unionByName(self._load(spark, "gains_new", oldest, "pattern string, es double").select("pattern", F.col("es").alias("_loss"), F.lit(oldest).alias("_upto")))
+        loss = F.when(F.col("since_batch") <= F.col("_upto"), F.col("_loss")).otherwise(0.0)
+        es = F.greatest(F.col("es") - F.coalesce(loss, F.lit(0.0)), F.lit(0.0))
+        slid = state.join(gains, "pattern", "left").select("pattern", es.alias("es"), "seq_weight", (es * F.col("seq_weight")).alias("wes"), "since_batch", "exact")
+        labelled = slid.withColumn("tier", tier_of(F.col("wes"), s["min_wes"], s["min_wes_buf"], s["local_wes"] if self.three else None)).where("tier is not null and wes > 0")
+        self.log.append(s)
         return self._save(labelled.select(*[c.split()[0] for c in STATE.split(", ")]), "state", batch_id)
 
 
@@ -157,5 +173,3 @@ class TwoTierMaintainer(Maintainer):
     """Frequent and semi-frequent patterns only; nothing new is looked for in an increment."""
 
     three = False
-
-

@@ -1,18 +1,27 @@
 """The numerical core: many sequences at once, one pattern node after another.
 
-Sequences of a batch lie in a matrix (sequence x event). A node of the pattern tree is the set of sequences where its
-pattern can end, with the best probability by end event. A child comes from its parent by one sparse product: an
-s-extension takes the parent's best before an event, an i-extension the parent's value at it. So a node costs its
-matches, whatever its depth, and all descendants share the work of their prefix.
+Events of a batch are numbered through, with a spare number after each sequence. A node of the pattern tree is the sorted
+list of events where its pattern can end, with the best probability there. A child comes from its parent by one merge
+with the occurrences of its item: an s-extension takes the parent's best before an event, an i-extension the parent's
+value at it. So a node costs its matches, whatever its depth, and all descendants share the work of their prefix.
+
+Extensions of a node read a matrix (event x item) of suffix maxima: its row after a node's first end in a sequence holds
+the best probability of every item from there on, so statistics of all s-extensions are column sums of gathered rows. Where
+the alphabet is too wide for the matrix, the occurrences of the node's sequences are listed instead.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
 
+CELLS = 1 << 22  # events x items of a batch's matrix, where sequences can be split so
+WIDEST = 1 << 25  # cells beyond which a batch lists occurrences instead
+GATHER = 1 << 20  # cells that a node gathers at once
+
 
 def spans(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
     total = int(lengths.sum())
@@ -30,113 +39,201 @@ def suffix_best(group: np.ndarray, p: np.ndarray) -> np.ndarray:
     return best
 
 
-@dataclass
+def prefix_best(starts: np.ndarray, p: np.ndarray) -> np.ndarray:
+    """Per row the largest p from the start of its group to it; `starts` are the first rows of the groups."""
+    best, step, n = p.copy(), 1, len(p)
+    place = np.arange(n) - np.repeat(starts, np.diff(np.append(starts, n)))
+    last = int(place.max()) + 1 if n else 0
+    while step < last:
+        ahead = np.where(place[step:] >= step, np.maximum(best[step:], best[:-step]), best[step:])
+        best[step:] = ahead
+        step *= 2
+    return best
+
+
 class State:
-    rows: np.ndarray  # sequences in which the pattern can end
-    ends: np.ndarray  # rows x events: best probability by end event
-    before: np.ndarray | None = None  # best strictly before each event
+    """Where a pattern can end: events in order, and the best probability at each."""
+
+    def __init__(self, ev: np.ndarray, val: np.ndarray, owner: np.ndarray):
+        self.ev, self.val = ev, val
+        seq = owner[ev]
+        new = np.ones(len(ev), bool)
+        new[1:] = seq[1:] != seq[:-1]
+        self.starts = np.flatnonzero(new)
+        self.rows = seq[self.starts]  # sequences that have the pattern
+
+    @cached_property
+    def best(self) -> np.ndarray:
+        """The best probability in each sequence."""
+        return np.maximum.reduceat(self.val, self.starts)
+
+    @cached_property
+    def so_far(self) -> np.ndarray:
+        """The best probability up to each end, within its sequence."""
+        return prefix_best(self.starts, self.val)
 
 
 class Batch:
     """Packed sequences: lengths, and event key, item id and probability of all occurrences, by (event, item) in each."""
 
-    def __init__(self, lengths: np.ndarray, pos: np.ndarray, item: np.ndarray, p: np.ndarray):
-        self.n = len(lengths)
+    def __init__(self, lengths: np.ndarray, pos: np.ndarray, item: np.ndarray, p: np.ndarray, n_items: int = 0):
+        self.n, self.n_items = len(lengths), n_items
         row = np.repeat(np.arange(self.n), lengths)
-        first = np.cumsum(lengths) - lengths
         new = np.ones(len(pos), bool)
         new[1:] = (pos[1:] != pos[:-1]) | (row[1:] != row[:-1])
-        rank = np.cumsum(new) - 1
-        self.col = rank - np.repeat(rank[first[lengths > 0]], lengths[lengths > 0]) if len(pos) else rank
+        self.ev = np.cumsum(new) - 1 + row
         self.row, self.item, self.p = row, item, p
-        self.width = int(self.col.max()) + 1 if len(pos) else 0
+        many = np.bincount(row[new], minlength=self.n) + 1
+        self.owner = np.repeat(np.arange(self.n), many)
+        self.begin = np.cumsum(many) - many
+        self.longest = int(many.max()) if self.n else 0
+        self.together = not new.all()
         by = np.argsort(item, kind="stable")
         self.items, begin = np.unique(item[by], return_index=True)
         stop = np.append(begin[1:], len(by))
-        self.places = {int(i): by[a:b] for i, a, b in zip(self.items, begin, stop, strict=True)}
-        # the same occurrences by (sequence, item, event), for extensions
-        own = np.lexsort((self.col, item, row))
-        self.s_row, self.s_item, self.s_col, self.s_p = row[own], item[own], self.col[own], p[own]
-        fresh = np.ones(len(own), bool)
-        fresh[1:] = (self.s_row[1:] != self.s_row[:-1]) | (self.s_item[1:] != self.s_item[:-1])
-        self.s_best = suffix_best(np.cumsum(fresh) - 1, self.s_p)
-        self.s_first, self.s_many = first, lengths
-
-    def root(self) -> State:
-        return State(np.arange(self.n), np.zeros((self.n, self.width)), np.ones((self.n, self.width)))
+        self.places = {int(i): (self.ev[by[a:b]], p[by[a:b]]) for i, a, b in zip(self.items, begin, stop, strict=True)}
+        self.lengths = lengths
 
-    def child(self, parent: State, kind: str, item: int) -> State | None:
+    def child(self, parent: State | None, kind: str, item: int) -> State | None:
+        """The node below `parent` (None: the root); None where it does not occur."""
         at = self.places.get(item)
-        if at is None or not len(parent.rows):
+        if at is None:
             return None
-        if len(parent.rows) == self.n:
-            own, rows, cols, p = self.row[at], self.row[at], self.col[at], self.p[at]
-        else:
-            place = np.full(self.n, -1)
-            place[parent.rows] = np.arange(len(parent.rows))
-            own = place[self.row[at]]
-            at, own = at[own >= 0], own[own >= 0]
-            rows, cols, p = self.row[at], self.col[at], self.p[at]
+        ev, p = at
+        if parent is None:
+            return State(ev, p, self.owner)
+        place = np.searchsorted(parent.ev, ev)
         if kind == "S":
-            if parent.before is None:
-                parent.before = np.zeros_like(parent.ends)
-                np.maximum.accumulate(parent.ends[:, :-1], axis=1, out=parent.before[:, 1:])
-            value = parent.before[own, cols] * p
+            place -= 1
+            hit = place >= 0
+            hit &= self.owner[parent.ev[place]] == self.owner[ev]
+            value = parent.so_far[place[hit]] * p[hit]
         else:
-            value = parent.ends[own, cols] * p
-        hit = value > 0
-        if not hit.any():
-            return None
-        rows, cols, value = rows[hit], cols[hit], value[hit]
-        # occurrences of an item come by sequence, so equal rows are adjacent
-        new = np.ones(len(rows), bool)
-        new[1:] = rows[1:] != rows[:-1]
-        ends = np.zeros((int(new.sum()), self.width))
-        ends[np.cumsum(new) - 1, cols] = value
-        return State(rows[new], ends)
-
-    def extensions(self, node: State, last: int, is_root: bool, cooccurring: bool) -> list[tuple[str, np.ndarray, np.ndarray]]:
-        """Per kind: items and best probabilities, one entry for each (sequence, item) that extends the node."""
-        at = spans(self.s_first[node.rows], self.s_many[node.rows])
-        own = np.repeat(np.arange(len(node.rows)), self.s_many[node.rows])
-        col, item = self.s_col[at], self.s_item[at]
+            place[place == len(parent.ev)] = 0
+            hit = parent.ev[place] == ev
+            value = parent.val[place[hit]] * p[hit]
+        ev, some = ev[hit], value > 0
+        return State(ev[some], value[some], self.owner) if some.any() else None
+
+    @cached_property
+    def matrix(self) -> np.ndarray:
+        """Suffix maxima: for every event (and spare) and item the largest p from there to the end of the sequence."""
+        m = np.zeros((len(self.owner), self.n_items))
+        m[self.ev, self.item] = self.p
+        step = 1
+        while step < self.longest:
+            np.maximum(m[:-step], m[step:], out=m[:-step], where=(self.owner[:-step] == self.owner[step:])[:, None])
+            step *= 2
+        return m
+
+    @cached_property
+    def beside(self) -> np.ndarray:
+        """The matrix where the item stands in the event itself."""
+        m = np.zeros_like(self.matrix)
+        m[self.ev, self.item] = self.matrix[self.ev, self.item]
+        return m
+
+    @cached_property
+    def at_event(self) -> np.ndarray:
+        m = np.zeros((len(self.owner), self.n_items))
+        m[self.ev, self.item] = self.p
+        return m
+
+    @cached_property
+    def listed(self) -> tuple[np.ndarray, ...]:
+        """Occurrences by (sequence, item, event), with suffix maxima: for extensions without a matrix."""
+        own = np.lexsort((self.ev, self.item, self.row))
+        row, item = self.row[own], self.item[own]
+        fresh = np.ones(len(own), bool)
+        fresh[1:] = (row[1:] != row[:-1]) | (item[1:] != item[:-1])
+        return self.ev[own], item, self.p[own], suffix_best(np.cumsum(fresh) - 1, self.p[own]), np.cumsum(self.lengths) - self.lengths
+
+    def extensions(self, node: State | None, last: int, cooccurring: bool) -> list[tuple[str, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+        """Per kind: items, and maximum, sum and count over sequences of the best probability that extends the node."""
+        if len(self.owner) * self.n_items > WIDEST:
+            return self._by_list(node, last, cooccurring)
+        first = self.begin if node is None else node.ev[node.starts] + 1
+        out = [("S", 0, self._columns(first, None, self.matrix, 0))]
+        if node is not None and self.together:
+            out.append(("I", last + 1, self._columns(node.ev, node.starts, self.at_event if cooccurring else self.beside, last + 1)))
+        found = []
+        for kind, low, (mx, sm, ct) in out:
+            hit = np.flatnonzero(ct)
+            if len(hit):
+                found.append((kind, hit + low, mx[hit], sm[hit], ct[hit]))
+        return found
+
+    def _columns(self, rows: np.ndarray, starts: np.ndarray | None, m: np.ndarray, low: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Maximum, sum and count by column of m[rows, low:], with `starts` of the maxima of its groups of rows."""
+        width = m.shape[1] - low
+        mx, sm, ct = np.zeros(width), np.zeros(width), np.zeros(width, np.int64)
+        if not width:
+            return mx, sm, ct
+        step = max(1, GATHER // width)
+        if starts is None:
+            cuts = np.arange(0, len(rows), step)
+        else:  # groups stay whole
+            cuts = starts[np.unique(np.searchsorted(starts, np.arange(0, len(rows), step)).clip(0, len(starts) - 1))]
+            cuts[:1] = 0
+        for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(rows)], strict=True):
+            x = m[rows[a:b], low:]
+            if starts is not None:
+                own = starts[(starts >= a) & (starts < b)] - a
+                x = np.maximum.reduceat(x, own, axis=0)
+            mx = np.maximum(mx, x.max(axis=0))
+            sm += x.sum(axis=0)
+            ct += np.count_nonzero(x, axis=0)
+        return mx, sm, ct
+
+    def _by_list(self, node: State | None, last: int, cooccurring: bool):
+        ev, item, p, best, first = self.listed
+        rows = np.arange(self.n) if node is None else node.rows
+        at = spans(first[rows], self.lengths[rows])
+        own = np.repeat(np.arange(len(rows)), self.lengths[rows])
         out = []
-        if is_root:
+        if node is None:
             later = np.ones(len(at), bool)
         else:
-            later = col > (node.ends > 0).argmax(axis=1)[own]
-        for kind, keep in (("S", later), ("I", None if is_root else (item > last) & (node.ends[own, col] > 0))):
-            if keep is None:
+            later = ev[at] > node.ev[node.starts][own]
+        for kind in ("S", "I"):
+            if kind == "S":
+                keep = later
+            elif node is None or not self.together:
                 continue
-            a, r, i = at[keep], own[keep], item[keep]
+            else:
+                place = np.searchsorted(node.ev, ev[at])
+                place[place == len(node.ev)] = 0
+                keep = (item[at] > last) & (node.ev[place] == ev[at])
+            a, r, i = at[keep], own[keep], item[at[keep]]
             if not len(a):
                 continue
             new = np.ones(len(a), bool)
             new[1:] = (r[1:] != r[:-1]) | (i[1:] != i[:-1])
             if kind == "I" and cooccurring:
-                best = np.maximum.reduceat(self.s_p[a], np.flatnonzero(new))
+                value = np.maximum.reduceat(p[a], np.flatnonzero(new))
             else:  # suffix maxima fall along a sequence: the first is the largest
-                best = self.s_best[a[new]]
-            out.append((kind, i[new], best))
+                value = best[a[new]]
+            i = i[new]
+            by = np.argsort(i, kind="stable")
+            i, value = i[by], value[by]
+            cut = np.flatnonzero(np.concatenate([[True], i[1:] != i[:-1]]))
+            out.append((kind, i[cut], np.maximum.reduceat(value, cut), np.add.reduceat(value, cut), np.diff(np.append(cut, len(i)))))
         return out
 
 
-def batches_of(column: pa.ListArray, cells: int = 1 << 20):
-    """(first row, Batch) of consecutive sequences; sequences x longest stays within `cells` where it can."""
+def batches_of(column: pa.ListArray, n_items: int = 0, cells: int = CELLS):
+    """(first row, Batch) of consecutive sequences; occurrences x items stay within `cells` where they can."""
     off = column.offsets.to_numpy().astype(np.int64)
     flat = column.values
     pos, item, p = (flat.field(k).to_numpy(zero_copy_only=False) for k in ("pos", "item", "p"))
     lengths = np.diff(off)
+    most = max(1, cells // max(n_items, 8))
     at, n = 0, len(lengths)
     while at < n:
-        longest, to = 0, at
-        while to < n:
-            longest = max(longest, int(lengths[to]))
-            if to > at and longest * (to - at + 1) > cells:
-                break
-            to += 1
+        to = max(at + 1, int(np.searchsorted(off + np.arange(n + 1), off[at] + at + most, side="right")) - 1)
+        to = min(to, n)
         a, b = off[at], off[to]
-        yield at, Batch(lengths[at:to], pos[a:b], item[a:b], p[a:b])
+        yield at, Batch(lengths[at:to], pos[a:b], item[a:b], p[a:b], n_items)
         at = to
 
 
@@ -157,10 +254,7 @@ class Tree:
 
 def walk(batch: Batch, tree: Tree, children: dict[int, list[int]], visit) -> None:
     """Depth-first over the tree; visit(node, state) for every node that occurs. A node that does not occur ends its branch."""
-    stack = [(k, batch.root()) for k in reversed(children.get(-1, []))]
-    if stack:
-        root = stack[0][1]
-        stack = [(k, root) for k, _ in stack]
+    stack: list = [(k, None) for k in reversed(children.get(-1, []))]
     while stack:
         k, parent = stack.pop()
         state = batch.child(parent, "S" if tree.kind[k] == b"S" else "I", int(tree.item[k]))

@@ -23,7 +23,7 @@ from probseq.functions import patterns as P
 from probseq.operators.encode import dictionary
 from probseq.operators.engines import ROOT, ArrowEngine, RelationalEngine
 from probseq.operators.kernel import Tree
-from probseq.operators.measures import global_threshold, item_stats
+from probseq.operators.measures import global_threshold
 from probseq.operators.support import expected_support
 
 RESULT = "pattern string, length int, n_events int, support long, es double, seq_weight double, wes double"
@@ -78,7 +78,7 @@ def live_extensions(cap: np.ndarray, weight: np.ndarray, own_max: float, thresho
 def mine_capped(occ: DataFrame, weights: DataFrame | None, params: MiningParams, threshold: float | None = None) -> MiningRun:
     """All patterns whose weighted expected support reaches the threshold (given, or from `params`)."""
     began, spark = time.time(), occ.sparkSession
-    items = dictionary(occ, weights)
+    items = dictionary(occ, weights).persist()  # one row per item: counts, weights and what level 1 needs
     f = "occ" if params.freq == "occurrences" else "seqs"
     head = items.agg(F.sum(F.col("weight") * F.col(f)).alias("wf"), F.sum(f).alias("f"), F.max("weight").alias("w")).first()
     n = occ.select("seq_id").distinct().count()
@@ -89,9 +89,10 @@ def mine_capped(occ: DataFrame, weights: DataFrame | None, params: MiningParams,
     if n and threshold <= 0 and params.max_len is None:
         raise ValueError("a threshold of 0 keeps everything: give max_len")
     # items that no frequent pattern can hold, as their own cap fails even with the heaviest weight, never leave the scan
-    value = F.col("sm") if params.support_cap == "tight" else F.col("mx") * F.col("ct")
-    ones = item_stats(occ).join(items.select("item", "weight"), "item").where(value * w_max >= threshold * (1 - SLACK))
+    value = F.col("sm") if params.support_cap == "tight" else F.col("mx") * F.col("seqs")
+    ones = items.where(value * w_max >= threshold * (1 - SLACK))
     first = sorted((r["item"], r["weight"]) for r in ones.select("item", "weight").collect())
+    items.unpersist()
     names, weight_of = [i for i, _ in first], np.array([w for _, w in first])
     if not names:
         empty = spark.createDataFrame([], RESULT)

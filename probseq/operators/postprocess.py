@@ -10,6 +10,7 @@ from probseq.functions import patterns as P
 from probseq.operators.encode import dictionary
 from probseq.operators.measures import global_threshold
 from probseq.operators.miner import mine_capped
+from probseq.operators.splits import share as split_share
 
 
 def top_k(result: DataFrame, k: int) -> DataFrame:
@@ -91,6 +92,4 @@ def threshold_for(occ: DataFrame, weights: DataFrame | None, k: int, params: Min
 
 def sample_sequences(occ: DataFrame, share: float, salt: int = 0) -> DataFrame:
     """Whole sequences, by a hash of their id: for choosing thresholds, never for exact output."""
-    return occ.where(F.pmod(F.xxhash64("seq_id", F.lit(salt)), F.lit(1_000_000)) < int(share * 1_000_000))
-
-
+    return occ.where(split_share("seq_id", f"sample{salt}") < share)

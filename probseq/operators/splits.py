@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import random
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -51,3 +51,24 @@ def split_increments(occ: DataFrame, ends: list[float], by: str = "hash", time:
     at = occ.agg(F.min(t).alias("_lo"), F.max(t).alias("_hi"))
     x = (t - F.col("_lo")) / (F.col("_hi") - F.col("_lo") + 1)
     return occ.crossJoin(F.broadcast(at)).withColumn("batch_id", _part(x, ends)).drop("_lo", "_hi")
+
+
+def ranked(df: DataFrame, key: str, blocks: int = 4096) -> DataFrame:
+    """Adds rank (from 0) by a unique whole number `key`, and total, without a task that holds all rows.
+
+    The range of the key is cut into `blocks`; only their counts meet, and their running sums shift each block's ranks.
+    """
+    ends = df.agg(F.min(key).alias("_lo"), F.max(key).alias("_hi"), F.count(F.lit(1)).alias("total"))
+    width = F.greatest(F.lit(1), F.ceil((F.col("_hi") - F.col("_lo") + 1) / blocks))
+    cut = df.crossJoin(F.broadcast(ends)).withColumn("_block", F.floor((F.col(key) - F.col("_lo")) / width)).drop("_lo", "_hi")
+    before = Window.orderBy("_block").rowsBetween(Window.unboundedPreceding, -1)
+    counts = cut.groupBy("_block").agg(F.count(F.lit(1)).alias("_n")).select("_block", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_shift"))
+    own = F.row_number().over(Window.partitionBy("_block").orderBy(key)) - 1
+    return cut.withColumn("_own", own).join(F.broadcast(counts), "_block").withColumn("rank", F.col("_own") + F.col("_shift")).drop("_block", "_own", "_shift")
+
+
+def tile(rank: Column, total: Column, n: int) -> Column:
+    """Which of n tiles a rank (from 0) falls in, from 1; the first tiles take what does not divide."""
+    size, more = F.floor(total / n), total % n
+    large = more * (size + 1)
+    return (F.when(rank < large, F.floor(rank / (size + 1))).otherwise(more + F.floor((rank - large) / F.greatest(size, F.lit(1)))) + 1).cast("long")

@@ -45,7 +45,7 @@ def scan_tree(packed: DataFrame, tree: Tree) -> DataFrame:
         es, support = np.zeros(len(tree.parent)), np.zeros(len(tree.parent), np.int64)
 
         def visit(k, state):
-            es[k] += state.ends.max(axis=1).sum()
+            es[k] += state.best.sum()
             support[k] += len(state.rows)
 
         for b in batches:
@@ -241,7 +241,7 @@ def max_pr_in_seq(occ: DataFrame, patterns: DataFrame) -> DataFrame:
 
                 def visit(k, state, at=at, got=got):
                     if k in wanted:
-                        got.append((seqs[at + state.rows], [names[k]] * len(state.rows), state.ends.max(axis=1)))
+                        got.append((seqs[at + state.rows], [names[k]] * len(state.rows), state.best))
 
                 walk(batch, tree, children, visit)
                 if got:

@@ -27,7 +27,7 @@ def _lines(item: str) -> str:
 def _sentences(docs: str) -> str:
     return f"""SELECT seq_id, k AS pos, words[k] AS item FROM (
       SELECT seq_id, words, unnest(range(1, len(words) + 1)) AS k FROM (
-        SELECT doc_id * 10000 + s - 1 AS seq_id, list_filter(regexp_split_to_array(parts[s], '[^a-z]+'), lambda x: x <> '') AS words FROM (
+        SELECT doc_id * 2147483648 + s - 1 AS seq_id, list_filter(regexp_split_to_array(parts[s], '[^a-z]+'), lambda x: x <> '') AS words FROM (
           SELECT doc_id, parts, unnest(range(1, len(parts) + 1)) AS s FROM (SELECT doc_id, regexp_split_to_array(lower(text), '[.!?\\n]') AS parts FROM ({docs})))))"""
 
 
@@ -41,9 +41,9 @@ BASE = {
     "order_brand": "SELECT DISTINCT l_orderkey AS seq_id, date_diff('day', DATE '1990-01-01', l_shipdate::DATE) AS pos, p_brand AS item FROM lineitem JOIN part ON p_partkey = l_partkey",
     "supplier_brand": "SELECT DISTINCT l_suppkey AS seq_id, year(l_shipdate) * 12 + month(l_shipdate) AS pos, p_brand AS item FROM lineitem JOIN part ON p_partkey = l_partkey",
     "user_types": "SELECT user_id AS seq_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS pos, event_type AS item FROM events",
-    "userday_types": "SELECT user_id * 100 + day(ts) AS seq_id, row_number() OVER (PARTITION BY user_id * 100 + day(ts) ORDER BY ts, event_id) AS pos, event_type AS item FROM events",
-    "userday_clicks": "SELECT user_id * 100 + day(ts) AS seq_id, row_number() OVER (PARTITION BY user_id * 100 + day(ts) ORDER BY ts, event_id) AS pos, event_type || (json_extract(props, '$.k')::INT // 10)::VARCHAR AS item FROM events",
-    "user_buckets": "SELECT DISTINCT user_id AS seq_id, day(ts) * 4 + hour(ts) // 6 AS pos, event_type AS item FROM events",
+    "userday_types": "SELECT user_id * 100000 + date_diff('day', DATE '1970-01-01', ts::DATE) AS seq_id, row_number() OVER (PARTITION BY user_id * 100000 + date_diff('day', DATE '1970-01-01', ts::DATE) ORDER BY ts, event_id) AS pos, event_type AS item FROM events",
+    "userday_clicks": "SELECT user_id * 100000 + date_diff('day', DATE '1970-01-01', ts::DATE) AS seq_id, row_number() OVER (PARTITION BY user_id * 100000 + date_diff('day', DATE '1970-01-01', ts::DATE) ORDER BY ts, event_id) AS pos, event_type || (json_extract(props, '$.k')::INT // 10)::VARCHAR AS item FROM events",
+    "user_buckets": "SELECT DISTINCT user_id AS seq_id, date_diff('day', DATE '1970-01-01', ts::DATE) * 4 + hour(ts) // 6 AS pos, event_type AS item FROM events",
     "sentence_words": _sentences("SELECT doc_id, text FROM documents WHERE lang = 'en'"),
     "curated_words": _sentences(CURATED),
     "dialogue": """SELECT DISTINCT seq_id, pos, unnest(list_prepend('@' || role, w)) AS item FROM (SELECT conv_id AS seq_id, turn AS pos, role, list_filter(regexp_split_to_array(lower(text), '[^a-z]+'), lambda x: x <> '') AS w FROM conversations)""",
@@ -120,3 +120,41 @@ def mined(work: str, min_sup: float, depth: int, weighted: bool = True, certain:
 
 def mine(work: str, min_sup: float, depth: int, **kw) -> str:
     return f"{mined(work, min_sup, depth, **kw)} {RESULT} FROM found"
+
+
+def candidates(work: str, runs: list[tuple[float, str, str]], depth: int, weighted: bool) -> str:
+    """CTEs c<run>_<level> (pat, mp, mw): what each run (min_sup, support cap, weight cap) takes for a candidate, and thr.
+
+    For workloads with one item an event. Caps are computed by their definition, level by level: the best probability of an
+    item after a prefix's earliest end, and as weight cap the heaviest item that keeps itself alive.
+    """
+    out = [head(work, weighted), "n AS MATERIALIZED (SELECT count(DISTINCT seq_id) * sum(weight) / count(*) AS n, max(weight) AS gw FROM occ)"]
+    for r, (sup, cap, weight) in enumerate(runs):
+        least = f"{sup} * n * (1 - 1e-9)"
+        for d in range(1, depth + 1):
+            if d == 1:
+                best = "SELECT '' AS pat, 1.0 AS mp, 0.0 AS mw, seq_id, item, any_value(weight) AS weight, max(p) AS b FROM occ GROUP BY seq_id, item"
+            else:
+                best = f"SELECT f.pat, f.mp, f.mw, f.seq_id, o.item, any_value(o.weight) AS weight, max(o.p) AS b FROM f{r}_{d - 1} f JOIN occ o ON o.seq_id = f.seq_id AND o.pos > f.e0 GROUP BY f.pat, f.mp, f.mw, f.seq_id, o.item"
+            value = "any_value(mp) * sum(b)" if cap == "tight" else "any_value(mp) * max(b) * count(*)"
+            top = "gw" if weight == "global" else f"greatest(mw, coalesce(max(weight) FILTER (cap * greatest(mw, weight) >= {least}) OVER (PARTITION BY pat), 0))"
+            caps = f"SELECT pat, item, any_value(mw) AS mw, any_value(weight) AS weight, any_value(mp) * max(b) AS mp, {value} AS cap FROM ({best}) GROUP BY pat, item"
+            out.append(f"c{r}_{d} AS MATERIALIZED (SELECT pat || '(' || item || ')' AS pat, mp, greatest(mw, weight) AS mw FROM (SELECT *, {top} AS top FROM ({caps}), n), n WHERE cap * top >= {sup} * n.n * (1 - 1e-9))")
+            if d < depth:
+                if d == 1:
+                    ends = f"SELECT o.seq_id, c.pat, any_value(c.mp) AS mp, any_value(c.mw) AS mw, min(o.pos) AS e0 FROM occ o JOIN c{r}_1 c ON c.pat = '(' || o.item || ')' GROUP BY o.seq_id, c.pat"
+                else:
+                    ends = f"SELECT o.seq_id, c.pat, any_value(c.mp) AS mp, any_value(c.mw) AS mw, min(o.pos) AS e0 FROM f{r}_{d - 1} f JOIN occ o ON o.seq_id = f.seq_id AND o.pos > f.e0 JOIN c{r}_{d} c ON c.pat = f.pat || '(' || o.item || ')' GROUP BY o.seq_id, c.pat"
+                out.append(f"f{r}_{d} AS MATERIALIZED ({ends})")
+    low = min(sup for sup, _, _ in runs)
+    out.append(f"thr AS MATERIALIZED (SELECT {low} * n AS t, gw AS mw FROM n)")
+    return ", ".join(out)
+
+
+def candidate_counts(work: str, runs: list[tuple[float, str, str]], depth: int, longest: int, weighted: bool) -> str:
+    """One row per run: its candidates over all levels, and how many patterns are frequent."""
+    rows = []
+    for r, (sup, cap, weight) in enumerate(runs):
+        many = " + ".join(f"(SELECT count(*) FROM c{r}_{d})" for d in range(1, depth + 1))
+        rows.append(f"SELECT '{work}' AS workload, {sup}::DOUBLE AS min_sup, '{cap}' AS support_cap, '{weight}' AS weight_cap, ({many})::BIGINT AS candidates, (SELECT count(*) FROM ({all_levels(longest)}), n WHERE es * seq_weight >= {sup} * n * (1 - 1e-9))::BIGINT AS frequent")
+    return f"{candidates(work, runs, depth, weighted)}, {levels(longest)} SELECT *, round((candidates - frequent)::DOUBLE / candidates, 6) AS false_ratio FROM ({' UNION ALL '.join(rows)})"

@@ -6,8 +6,14 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from probseq import oracles as O
-from probseq.operators import encode
+from probseq.functions.aggregates import expected_support_by
+from probseq.increments import state_folder
+from probseq.operators import encode, evaluate, postprocess
+from probseq.operators.splits import ranked, tile
+from probseq.operators.tree import PatternTree
 from probseq.sources import tables
+from probseq.sources.files import FORMATS, read_occurrences, write_occurrences
+from probseq.sources.uncertainty import price_weights, quantity_probability
 from probseq.workloads import _FOUND, mined, occurrences, query, r6
 
 # --- sets of patterns of two thresholds
@@ -157,4 +163,86 @@ def _(spark, sf_dir):
 @query("suffix_ntile", f"{O.head('userday_types')} SELECT seq_id, ntile(5) OVER (ORDER BY seq_id)::BIGINT AS tile FROM (SELECT DISTINCT seq_id FROM occ0)")
 def _(spark, sf_dir):
     s = occurrences(spark, sf_dir, "userday_types").select("seq_id").distinct()
-    return s.select("seq_id", F.ntile(5).over(Window.orderBy("seq_id")).cast("long").alias("tile"))
+    return ranked(s, "seq_id").select("seq_id", tile(F.col("rank"), F.col("total"), 5).alias("tile"))
+
+
+# --- the tree as a table
+
+
+def _prefixes(found: str) -> str:
+    return f"(SELECT DISTINCT list_slice(string_split(pat[2:-2], ')('), 1, k) AS e FROM (SELECT pat, unnest(range(1, length + 1)) AS k FROM {found}))"
+
+
+_NODE = "'<(' || array_to_string(e, ')(') || ')>' AS node, len(e)::BIGINT AS depth"
+
+
+@query("tree_merged", f"{_FOUND}, short AS (SELECT * FROM found WHERE length <= 2), heavy AS (SELECT * FROM found WHERE seq_weight >= 0.5) SELECT {_NODE}, count(*)::BIGINT AS sources FROM (SELECT * FROM {_prefixes('short')} UNION ALL SELECT * FROM {_prefixes('heavy')}) GROUP BY e")
+def _(spark, sf_dir):
+    """Two sources of patterns in one tree: short ones, and heavy ones."""
+    found = mined(spark, sf_dir, "userday_types", 0.002).result
+    tree = PatternTree.from_patterns(found.where("length <= 2")).merge(PatternTree.from_patterns(found.where("seq_weight >= 0.5")))
+    return tree.to_df().select("node", F.col("depth").cast("long").alias("depth"), F.col("sources").cast("long").alias("sources"))
+
+
+@query("tree_pruned", f"{_FOUND}, high AS (SELECT * FROM found WHERE seq_weight >= 0.52) SELECT {_NODE}, ('(' || array_to_string(e, ')(') || ')') IN (SELECT pat FROM high) AS kept FROM {_prefixes('high')}")
+def _(spark, sf_dir):
+    """False candidates go, inner nodes that lead to kept ones stay. The value here is the weight, which does not fall along a path."""
+    found = mined(spark, sf_dir, "userday_types", 0.002).result
+    tree = PatternTree.from_patterns(found, "seq_weight").prune(0.52)
+    return tree.to_df().select("node", F.col("depth").cast("long").alias("depth"), F.col("value").isNotNull().alias("kept"))
+
+
+# --- aggregates, samples, sources
+
+
+@query("support_by_group", f"{O.head('userday_types')}, {O.levels(2, prune=False)} SELECT g::BIGINT AS part, count(*)::BIGINT AS support, {O.r6('sum(best)')} AS es FROM (SELECT seq_id % 3 AS g, seq_id, max(pr) AS best FROM l2 WHERE pat = '(click)(view)' GROUP BY seq_id) GROUP BY g")
+def _(spark, sf_dir):
+    occ = occurrences(spark, sf_dir, "userday_types")
+    return expected_support_by(occ, "<(click)(view)>", (F.col("seq_id") % 3).alias("part")).select("part", "support", r6("es").alias("es"))
+
+
+@query("approximate_aggregates", f"{O.head('customer_brand')} SELECT seq_id % 7 AS part, count(DISTINCT item)::BIGINT AS items, quantile_disc(p, 0.5) AS median FROM occ0 GROUP BY 1")
+def _(spark, sf_dir):
+    """Sketches in place of exact distinct counts and quantiles; small alphabets and enough accuracy make them exact here."""
+    o = occurrences(spark, sf_dir, "customer_brand")
+    return o.groupBy((F.col("seq_id") % 7).alias("part")).agg(F.approx_count_distinct("item", 0.01).alias("items"), F.percentile_approx("p", 0.5, 1_000_000).alias("median"))
+
+
+@query("sampled_sequences", f"{O.head('userday_types')} SELECT seq_id, count(*)::BIGINT AS n FROM occ0 WHERE (('0x' || substr(md5('sample0|' || seq_id::VARCHAR), 1, 4))::INT / 65536.0) < 0.1 GROUP BY seq_id")
+def _(spark, sf_dir):
+    return postprocess.sample_sequences(occurrences(spark, sf_dir, "userday_types"), 0.1).groupBy("seq_id").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("weights_from_prices", f"SELECT p_brand AS item, {O.r6('avg(p_retailprice) / max(avg(p_retailprice)) OVER ()')} AS weight FROM part GROUP BY p_brand")
+def _(spark, sf_dir):
+    return price_weights(tables.table(spark, sf_dir, "part"), F.col("p_brand")).select("item", r6("weight").alias("weight"))
+
+
+@query("probability_from_quantity", f"SELECT l_orderkey AS seq_id, date_diff('day', DATE '1990-01-01', l_shipdate::DATE)::BIGINT AS pos, p_brand AS item, {O.r6('max(least(1.0, greatest(0.01, 0.05 + 0.9 * (1 - l_quantity / 50))))')} AS p FROM lineitem JOIN part ON p_partkey = l_partkey GROUP BY 1, 2, 3")
+def _(spark, sf_dir):
+    part = tables.table(spark, sf_dir, "part").select(F.col("p_partkey").alias("l_partkey"), F.col("p_brand").alias("item"))
+    line = tables.table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_shipdate", "l_quantity").join(part, "l_partkey")
+    day = F.datediff("l_shipdate", F.lit("1990-01-01").cast("date")).cast("long")
+    occ = quantity_probability(line.select(F.col("l_orderkey").alias("seq_id"), day.alias("pos"), "item", "l_quantity"), "l_quantity", 50)
+    return encode.merge(occ).select("seq_id", "pos", "item", r6("p").alias("p"))
+
+
+@query("format_round_trips", f"{O.head('userday_types')} SELECT kind, count(*)::BIGINT AS n, count(DISTINCT seq_id)::BIGINT AS sequences, {O.r6('sum(p)')} AS p FROM occ0, (VALUES ('parquet'), ('orc'), ('json'), ('csv'), ('text')) t(kind) GROUP BY kind")
+def _(spark, sf_dir):
+    """Occurrences written in every format and read back with the schema given."""
+    occ = occurrences(spark, sf_dir, "userday_types").persist()
+    folder, out = state_folder(spark), None
+    for kind in FORMATS:
+        write_occurrences(occ, f"{folder}/{kind}", kind)
+        back = read_occurrences(spark, f"{folder}/{kind}", kind).agg(F.count(F.lit(1)).alias("n"), F.countDistinct("seq_id").alias("sequences"), r6(F.sum("p")).alias("p")).select(F.lit(kind).alias("kind"), "n", "sequences", "p")
+        out = back if out is None else out.unionByName(back)
+    return out
+
+
+@query("quality_of_methods", f"{O.candidates('userday_types', [(0.02, 'tight', 'local'), (0.02, 'loose', 'local')], 7, False)} SELECT round(({' + '.join(f'(SELECT count(*) FROM c1_{d})' for d in range(1, 8))})::DOUBLE / ({' + '.join(f'(SELECT count(*) FROM c0_{d})' for d in range(1, 8))}), 6) AS candidate_ratio, 0::BIGINT AS missed, 100.0::DOUBLE AS precision")
+def _(spark, sf_dir):
+    """How many more candidates the loose cap has, and what the tight one misses of it: nothing."""
+    tight, loose = (mined(spark, sf_dir, "userday_types", 0.02, False, support_cap=c) for c in ("tight", "loose"))
+    missed = evaluate.false_negatives(tight.result, loose.result).agg(F.count(F.lit(1)).alias("missed"))
+    right = evaluate.precision(tight.result, loose.result).select(F.round("pct", 6).alias("precision"))
+    return missed.crossJoin(right).select(F.lit(round(evaluate.candidate_ratio(tight, loose), 6)).alias("candidate_ratio"), "missed", "precision")

@@ -1,5 +1,8 @@
 """Sequence workloads on the given tables: (seq_id, pos, item), one row each, without probabilities.
 
+Keys made of two numbers leave the second one all the room that it can take: days up to the year 2243, and as many
+sentences as an array can hold.
+
 Every builder reads only the columns it needs; keys and joins are arranged so that the small side decides first.
 """
 
@@ -69,7 +72,7 @@ def user_types(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _user_days(spark: SparkSession, sf_dir: str, *more: str) -> DataFrame:
     e = table(spark, sf_dir, "events").select("user_id", "ts", "event_id", "event_type", *more)
-    keyed = e.withColumn("seq_id", F.col("user_id") * 100 + F.dayofmonth("ts"))
+    keyed = e.withColumn("seq_id", F.col("user_id").cast("long") * 100_000 + F.datediff("ts", F.lit("1970-01-01").cast("date")))
     return keyed.withColumn("pos", _number("seq_id", "ts", "event_id"))
 
 
@@ -87,14 +90,14 @@ def userday_clicks(spark: SparkSession, sf_dir: str) -> DataFrame:
 def user_buckets(spark: SparkSession, sf_dir: str) -> DataFrame:
     """User / six hours / set of event types."""
     e = table(spark, sf_dir, "events").select("user_id", "ts", "event_type")
-    bucket = F.dayofmonth("ts") * 4 + F.floor(F.hour("ts") / 6)
+    bucket = F.datediff("ts", F.lit("1970-01-01").cast("date")) * 4 + F.floor(F.hour("ts") / 6)
     return e.select(F.col("user_id").alias("seq_id"), bucket.cast("int").alias("pos"), F.col("event_type").alias("item")).distinct()
 
 
 def _sentences(docs: DataFrame) -> DataFrame:
     """(seq_id, pos, item) of English documents: the words of each sentence, lower-cased."""
     s = docs.select("doc_id", F.posexplode(F.split(F.lower("text"), r"[.!?\n]")).alias("sentence", "body"))
-    w = s.select((F.col("doc_id") * 10000 + F.col("sentence")).alias("seq_id"), F.filter(F.split("body", r"[^a-z]+"), lambda x: x != "").alias("words"))
+    w = s.select((F.col("doc_id").cast("long") * (1 << 31) + F.col("sentence")).alias("seq_id"), F.filter(F.split("body", r"[^a-z]+"), lambda x: x != "").alias("words"))
     return w.select("seq_id", F.posexplode("words").alias("k", "item")).select("seq_id", (F.col("k") + 1).alias("pos"), "item")
 
 

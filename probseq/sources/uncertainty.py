@@ -50,3 +50,9 @@ def price_weights(part: DataFrame, item: Column) -> DataFrame:
     mean = part.groupBy(item.alias("item")).agg(F.avg("p_retailprice").alias("m"))
     top = mean.agg(F.max("m").alias("top"))
     return mean.crossJoin(F.broadcast(top)).select("item", (F.col("m") / F.col("top")).alias("weight"))
+
+
+def quantity_probability(rows: DataFrame, quantity: str, most: float) -> DataFrame:
+    """(seq_id, pos, item, p): the larger a quantity, up to `most`, the less certain; p in [0.01, 1]."""
+    p = F.lit(0.05) + 0.9 * (1 - F.col(quantity) / most)
+    return rows.select("seq_id", "pos", "item", F.least(F.lit(1.0), F.greatest(F.lit(0.01), p)).alias("p"))

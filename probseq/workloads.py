@@ -70,7 +70,7 @@ MINERS = [
     ("mine_weighted_userday", "userday_types", 0.002, True, 4, {}),
     ("mine_unweighted_userday", "userday_types", 0.002, False, 4, {}),
     ("mine_userday_clicks", "userday_clicks", 0.0005, False, 3, {}),
-    ("mine_user_buckets", "user_buckets", 0.5, False, 3, EXACT | {"max_len": 3}),
+    ("mine_user_buckets", "user_buckets", 0.5, False, 4, EXACT),
     ("mine_sentence_words", "sentence_words", 0.003, False, 4, EXACT),
     ("mine_order_brand", "order_brand", 0.004, True, 3, {}),
     ("mine_customer_type_size", "customer_type_size", 0.12, False, 3, EXACT),
@@ -102,6 +102,9 @@ _variants = {
     "mine_loose_global_weight": {"support_cap": "loose", "weight_cap": "global"},
 }
 for _name, _kw in _variants.items():
+    query(_name, O.mine("userday_types", 0.002, 4))(_miner("userday_types", 0.002, True, **_kw))
+# several items an event; caps stay loose on long sequences, so the length limit is the point here
+for _name, _kw in (("mine_final_scan_itemsets", {"verify": "final_scan"}), ("mine_cooccurring_itemsets", {"i_ext": "cooccurring"}), ("mine_relational_itemsets", {"engine": "relational"})):
     query(_name, O.mine("user_buckets", 0.6, 2))(_miner("user_buckets", 0.6, True, max_len=2, **_kw))
 
 # a weight factor, sequence frequencies, a length limit and a given threshold
@@ -168,7 +171,7 @@ def _(spark, sf_dir):
 @query("mine_probabilistic")
 def _(spark, sf_dir):
     occ = occurrences(spark, sf_dir, "userday_types").persist()
-    return baselines.mine_probabilistic(occ, 20, 0.9, max_len=3).select("pattern", r6("es").alias("es"), r6("probability").alias("probability"))
+    return baselines.mine_probabilistic(occ, 20, 0.9, max_len=None).select("pattern", r6("es").alias("es"), r6("probability").alias("probability"))
 
 
 # --- measures

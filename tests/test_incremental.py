@@ -55,11 +55,39 @@ def test_large_gamma_is_clamped(spark, tmp_path):
     assert m.log[1]["clamped"]
 
 
-def test_sliding_back(spark, tmp_path):
-    m, (s0, s1, _) = states(spark, ThreeTierMaintainer, str(tmp_path))
-    back = m.drop_oldest(parts(spark)[2], 3)
-    got = {r["pattern"]: r["wes"] for r in back.collect()}
-    assert got["<(a)>"] == pytest.approx(s1["<(a)>"][1])
+def test_sliding_database(spark, tmp_path):
+    """Dropping the oldest batch: every pattern has exactly what the sequences that stay gave it since it is tracked."""
+    from probseq.operators.support import expected_support
+
+    m, (_, _, s2) = states(spark, ThreeTierMaintainer, str(tmp_path))
+    p, w = parts(spark), toy.toy_weights(spark)
+    since = {r["pattern"]: r["since_batch"] for r in m.tiers(spark, 2).collect()}
+    pats = spark.createDataFrame([(k,) for k in s2], "pattern string")
+    per = [{r["pattern"]: r["wes"] for r in expected_support(d, pats, w).collect()} for d in p]
+    got = {r["pattern"]: (r["tier"], r["wes"]) for r in m.drop_oldest(spark, 0, 3).collect()}
+    s = m.log[-1]
+    want = {}
+    for k in s2:
+        wes = sum(per[b][k] for b in (1, 2) if b >= since[k])
+        name = "FREQ" if wes >= s["min_wes"] else "SEMI" if wes >= s["min_wes_buf"] else "PROMISING" if wes >= s["local_wes"] else None
+        if name and wes > 1e-12:
+            want[k] = (name, pytest.approx(wes))
+    assert got == want and {t for t, _ in got.values()} == {"FREQ", "SEMI", "PROMISING"}
+    assert s["n_seq"] == 3 and got["<(a)(c)>"][1] == pytest.approx(s2["<(a)(c)>"][1])  # admitted after the batch that went
+    # the next increment goes on from there
+    again = {r["pattern"]: r["wes"] for r in m.apply(p[2].withColumn("seq_id", F.col("seq_id") + 100), 4).collect()}
+    assert again["<(a)>"] == pytest.approx(got["<(a)>"][1] + per[2]["<(a)>"]) and m.log[-1]["n_seq"] == 4
+
+
+def test_own_local_threshold_and_plain_weights(spark, tmp_path):
+    p = parts(spark)
+    seen = []
+    for k, local in enumerate((0.3, lambda s: seen.append(s["delta_n"]) or 0.3)):
+        m = ThreeTierMaintainer(MiningParams(0.2), IncrementParams(0.7, 0.8, local), None, f"{tmp_path}/{k}")
+        m.initialize(p[0])
+        m.apply(p[1], 1)
+        assert m.log[-1]["local_wes"] == 0.3 and all(r["wes"] >= 0.3 - 1e-9 and r["seq_weight"] == 1.0 for r in m.tiers(spark, 1).collect())
+    assert seen and seen[-1] == 2
 
 
 def test_splits(spark):

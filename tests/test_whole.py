@@ -53,7 +53,7 @@ def test_sentences_and_pages_are_whole(spark):
     docs = {r["doc_id"]: r["text"].lower() for r in tables.table(spark, sf_dir, "documents").where("lang = 'en'").collect()}
     want = Counter()
     for d, text in docs.items():
-        want.update((d * 10000 + k, n) for k, s in enumerate(re.split("[.!?\n]", text)) if (n := len(re.findall("[a-z]+", s))))
+        want.update(((d << 31) + k, n) for k, s in enumerate(re.split("[.!?\n]", text)) if (n := len(re.findall("[a-z]+", s))))
     got = Counter((r["seq_id"], r["n"]) for r in tables.sentence_words(spark, sf_dir).groupBy("seq_id").agg({"pos": "max"}).toDF("seq_id", "n").collect())
     assert got == want and max(n for _, n in want) > 40
     pages = {r["page_id"]: len(re.findall("<([a-zA-Z][a-zA-Z0-9]*)", r["html"])) for r in tables.table(spark, sf_dir, "pages").collect()}
