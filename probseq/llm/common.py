@@ -12,6 +12,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from py4j.protocol import Py4JError
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -70,10 +71,22 @@ def sweep(spark: SparkSession) -> None:
     """Frees what steps that are written need no more.
 
     Spark drops shuffle files and broadcasts of a finished plan only when the driver's JVM has collected the plan. A driver
-    that allocates little collects rarely, so between two large steps it is asked to.
+    that allocates little collects rarely, so between two large steps it is asked to. Its many threads also leave freed
+    native memory behind, which a diagnostic command of the JVM gives back where there is one.
     """
     trim()
-    spark.sparkContext._jvm.System.gc()
+    jvm, gateway = spark.sparkContext._jvm, spark.sparkContext._gateway
+    jvm.System.gc()
+    try:
+        named = jvm.java.lang.Class.forName
+        kinds = gateway.new_array(jvm.java.lang.Class, 4)
+        for k, kind in enumerate(("javax.management.ObjectName", "java.lang.String", "[Ljava.lang.Object;", "[Ljava.lang.String;")):
+            kinds[k] = named(kind)
+        given = gateway.new_array(jvm.java.lang.Object, 4)
+        given[0], given[1] = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand"), "systemTrimNativeHeap"
+        named("javax.management.MBeanServer").getMethod("invoke", kinds).invoke(jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer(), given)
+    except Py4JError:  # another JVM
+        pass
 
 
 def in_one_task(rows: DataFrame, make: Callable[[Iterator[pa.RecordBatch]], bytes | None]) -> bytes | None:

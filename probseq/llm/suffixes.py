@@ -7,8 +7,9 @@ on the input, by bytes, within documents.
    one anchored context of span to 2 span - k bytes. Equal windows pick equal anchors, so only contexts with the same
    anchor can share a window, and one context stands for about 18 windows. A context that an earlier document of the
    same part has byte for byte is marked there, so a passage that everyone copies leaves a part once.
-2. Meeting. Anchors are dealt by hash. Contexts whose anchor stands in one document only can share nothing and stop here;
-   this is all that a hash decides.
+2. Meeting. Anchors are dealt by hash. A shared window has an anchor and, as it is longer than two grams, the gram before
+   or the gram after it, too. Contexts that no other document can match in either way share nothing and stop here; this is
+   all that hashes decide.
 3. Suffix arrays. All other contexts come with their bytes, dealt by anchor, in order of document. Equal contexts become
    one; of the rest, a batch gets a suffix array of its window starts (sorted to depth `span`), is merge-scanned against
    the levels of earlier batches for strings that an earlier document has, and becomes a level; two levels of like size
@@ -40,7 +41,7 @@ from probseq.llm.common import discard, gather, map_parts, order_key, partitions
 
 SPAN = 50
 GRAM = 16
-DEAL = 4 << 20  # bytes of text for each deal of anchors
+DEAL = 8 << 20  # bytes of text for each deal of anchors
 BLOCK = 4 << 20  # contexts of one deal that are held at once
 BATCH = 16384  # contexts that get a suffix array together
 CHUNK = 1 << 17  # contexts whose bytes are fetched together
@@ -48,9 +49,9 @@ _P = np.uint64(0xD6E8FEB86659FD93)
 _Q = np.uint64(0x9E3779B97F4A7C15)
 LOW = np.uint64(0xFFFFFF)
 
-# An anchored context: where its windows start (first, last), and its anchor.
+# An anchored context: where its windows start (first, last), its anchor, and bits of the grams beside it (0: none).
 NEW, KNOWN, OLD = 0, 1, 2  # to be judged; judged within its part; of an earlier batch
-ENTRY = np.dtype([("anchor", "<u8"), ("order", "<i8"), ("text", "<i8"), ("first", "<u4"), ("wide", "u1"), ("state", "u1")])
+ENTRY = np.dtype([("anchor", "<u8"), ("order", "<i8"), ("text", "<i8"), ("first", "<u4"), ("wide", "u1"), ("state", "u1"), ("left", "<u2"), ("right", "<u2")])
 # A mark or a wish for bytes: windows first..first + wide of a text, and which part of a deal its anchor falls in.
 SPOT = np.dtype([("first", "<u4"), ("wide", "u1"), ("sub", "u1")])
 HEAD = np.dtype([("order", "<i8"), ("text", "<i8"), ("first", "<u4"), ("wide", "u1"), ("sub", "u1")])
@@ -70,6 +71,18 @@ def gram_hashes(body: np.ndarray, k: int) -> np.ndarray:
     return h
 
 
+def beside(body: np.ndarray, start: np.ndarray, low: np.ndarray, high: np.ndarray, k: int) -> np.ndarray:
+    """16 bits, never 0, of the k bytes from each start; 0 where they leave low..high."""
+    inside = (start >= low) & (start + k <= high)
+    at = np.where(inside, start, 0)
+    h = np.zeros(len(start), np.uint64)
+    with np.errstate(over="ignore"):
+        for j in range(k):
+            h = (h ^ body[np.minimum(at + j, len(body) - 1)]) * _P
+            h ^= h >> np.uint64(31)
+    return np.where(inside, np.maximum(h >> np.uint64(48), np.uint64(1)), np.uint64(0)).astype(np.uint16)
+
+
 def least_in(x: np.ndarray, w: int) -> np.ndarray:
     """The minimum of every w consecutive values."""
     n = 1
@@ -82,11 +95,11 @@ STRETCH = 4 << 20  # bytes whose grams are held at once; places within fit LOW
 
 
 def contexts(body: np.ndarray, off: np.ndarray, span: int = SPAN, gram: int = GRAM) -> tuple[np.ndarray, ...]:
-    """(document, first window, windows - 1, anchor hash, context hash) of every context.
+    """(document, first window, windows - 1, place of the anchor, anchor hash, context hash) of every context.
 
     Places count from the start of `body`; at most STRETCH bytes at once.
     """
-    none = tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.uint64, np.uint64))
+    none = tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.int64, np.uint64, np.uint64))
     if len(body) < span:
         return none
     if len(body) > STRETCH:  # long texts: overlapping stretches, cut between windows of the same document
@@ -107,7 +120,7 @@ def contexts(body: np.ndarray, off: np.ndarray, span: int = SPAN, gram: int = GR
     # the context's own hash, which groups what is then compared byte by byte
     with np.errstate(over="ignore"):
         own = block_hash(body, first, last + span) * _Q ^ ((a - first).astype(np.uint64) << np.uint64(8)) ^ (last - first).astype(np.uint64)
-    return doc, first, last - first, h[a], own
+    return doc, first, last - first, a, h[a], own
 
 
 def block_hash(body: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np.ndarray:
@@ -128,8 +141,8 @@ def _long_contexts(body: np.ndarray, off: np.ndarray, span: int, gram: int) -> t
     for d in range(len(off) - 1):
         for at in range(int(off[d]), max(int(off[d]) + 1, int(off[d + 1]) - span + 1), step):
             part = body[at : min(at + step + span - 1, int(off[d + 1]))]
-            doc, first, *rest = contexts(part, np.array([0, len(part)]), span, gram)
-            found.append((doc + d, first + at, *rest))
+            doc, first, wide, anchor, *rest = contexts(part, np.array([0, len(part)]), span, gram)
+            found.append((doc + d, first + at, wide, anchor + at, *rest))
     return tuple(np.concatenate(c) for c in zip(*found, strict=True))
 
 
@@ -280,10 +293,13 @@ def anchored(docs: DataFrame, deals: int, span: int, gram: int) -> DataFrame:
     def part(batch: pa.RecordBatch) -> pa.RecordBatch | None:
         body, off = utf8(batch, "_body")
         order, text = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-        doc, first, wide, anchor, context = contexts(body, off, span, gram)
+        doc, first, wide, place, anchor, context = contexts(body, off, span, gram)
         rows = np.zeros(len(doc), ENTRY)
         rows["anchor"], rows["order"], rows["text"] = anchor, order[doc], text[doc]
         rows["first"], rows["wide"] = first - off[doc], wide
+        if len(doc):
+            rows["left"] = beside(body, place - gram, off[doc], off[doc + 1], gram)
+            rows["right"] = beside(body, place + gram, off[doc], off[doc + 1], gram)
         known = repeats(body, first, wide, span, rows["order"], context, anchor)
         rows["state"][known] = KNOWN
         # known ones need no meeting: they are spread by text, so that no deal gets a whole group of copies
@@ -294,8 +310,23 @@ def anchored(docs: DataFrame, deals: int, span: int, gram: int) -> DataFrame:
     return map_parts(docs.select("_order", "_text_hash", "_body"), "_body", part, "deal int, blob binary", 2 << 20)
 
 
+def shared_with(rows: np.ndarray, side: str) -> np.ndarray:
+    """Whether another document has the anchor and the same gram on one side, and one of them is new."""
+    out = np.zeros(len(rows), bool)
+    by = np.lexsort((rows[side], rows["anchor"]))
+    by = by[rows[side][by] > 0]
+    if len(by):
+        a, b = rows["anchor"][by], rows[side][by]
+        begin = np.flatnonzero(np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])]))
+        order = rows["order"][by]
+        several = np.minimum.reduceat(order, begin) != np.maximum.reduceat(order, begin)
+        several &= np.minimum.reduceat(rows["state"][by], begin) == NEW
+        out[by] = np.repeat(several, np.diff(np.append(begin, len(by))))
+    return out
+
+
 def met(dealt: DataFrame, block: int = BLOCK) -> DataFrame:
-    """Marks (mark = true) of contexts that are known, and wishes for bytes of all whose anchor stands in several documents.
+    """Marks (mark = true) of contexts that are known, and wishes for bytes of all that another document may match.
 
     `dealt` has (deal, blob, old), sorted by deal. Anchors of old documents alone wish for nothing.
     """
@@ -311,17 +342,9 @@ def met(dealt: DataFrame, block: int = BLOCK) -> DataFrame:
             known = rows[(rows["state"] == KNOWN) & ~old]
             rows["state"][old] = OLD
             rows = np.concatenate([alone, rows[rows["state"] != KNOWN]])
-            rows = rows[np.argsort(rows["anchor"], kind="stable")]
-            a = rows["anchor"]
-            begin = np.flatnonzero(np.concatenate([[True], a[1:] != a[:-1]])) if len(a) else np.zeros(0, np.int64)
-            if len(begin):
-                several = np.minimum.reduceat(rows["order"], begin) != np.maximum.reduceat(rows["order"], begin)
-                several &= np.minimum.reduceat(rows["state"], begin) == NEW
-                if len(shared):
-                    several |= np.isin(a[begin], shared)
-                wish = np.repeat(several, np.diff(np.append(begin, len(a))))
-            else:
-                several, wish = np.zeros(0, bool), np.zeros(0, bool)
+            wish = shared_with(rows, "left") | shared_with(rows, "right")
+            if len(shared):
+                wish |= np.isin(rows["anchor"], shared)
             for chosen, mark in ((known, True), (rows[wish], False)):
                 if len(chosen):
                     spots = np.zeros(len(chosen), SPOT)
@@ -330,7 +353,7 @@ def met(dealt: DataFrame, block: int = BLOCK) -> DataFrame:
             if done:
                 alone, shared, whole = alone[:0], shared[:0], True
             else:
-                alone, shared = rows[~wish], np.union1d(shared, a[begin[several]])
+                alone, shared = rows[~wish], np.union1d(shared, rows["anchor"][wish])
 
     return dealt.mapInArrow(run, _spots_schema)
 
@@ -537,8 +560,8 @@ def _left(texts: DataFrame, marks: DataFrame, span: int, names: list[str], as_te
 
 
 def _check(span: int, gram: int) -> None:
-    if span < 2 * gram or span + gram > 240:
-        raise ValueError("the span must be at least two grams and fit one byte with one more")
+    if span < 3 * gram or span + gram > 240:
+        raise ValueError("the span must be at least three grams and fit one byte with one more")
 
 
 def dedup(docs: DataFrame, span: int = SPAN, id_col: str = "doc_id", text: str = "text", keep: list[str] | None = None, gram: int = GRAM, as_text: bool = False, block: int = BLOCK) -> DataFrame:

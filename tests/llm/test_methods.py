@@ -228,7 +228,7 @@ def test_long_texts_in_stretches(spark):
     finally:
         minhash.STRETCH, suffixes.STRETCH = kept
     assert np.array_equal(parts[0], whole[0]) and parts[1].tolist() == whole[1].tolist()
-    windows = lambda c: {(int(f) + k, int(a)) for f, w, a in zip(c[1], c[2], c[3], strict=True) for k in range(int(w) + 1)}
+    windows = lambda c: {(int(f) + k, int(a)) for f, w, a in zip(c[1], c[2], c[4], strict=True) for k in range(int(w) + 1)}
     assert windows(split) == windows(contexts) and len(windows(split)) == len(text) - 49
     # many megabytes in one value, and again inside another document
     big = (text * 260)[: 5 << 20]
