@@ -149,6 +149,7 @@ def events(spark, tmp_path):
         [(1, 1, at(1, 0), "a"), (2, 1, at(1, 10), "b"), (3, 2, at(1, 5), "a"), (2, 1, at(1, 10), "b")],
         [(4, 1, at(2, 0), "a"), (5, 2, at(2, 20), "b"), (6, 2, at(2, 25), "a")],
         [(7, 1, at(9, 0), "z"), (8, 2, at(9, 0), "z")],  # moves the watermark past everything before
+        [(12, 1, at(10, 0), "z")],  # a row is late against the watermark of the batch before
         [(9, 1, at(1, 30), "late")],
         [(10, 1, at(20, 0), "z"), (11, 2, at(20, 0), "z")],
     ]
@@ -175,7 +176,7 @@ def test_streams_equal_their_batch_twins(spark, tmp_path):
     got = {(r["user_id"], r["start"].day): [e["event_type"] for e in r["events"]] for r in spark.table("days").collect()}
     assert got[1, 1] == ["a", "b", "b"] and got[2, 2] == ["b", "a"] and S.dropped_rows(q) >= 1  # the late row never comes
     run(S.sliding(S.timed_events(events_again(spark, tmp_path))), "sliding", tmp_path)
-    batch = spark.read.parquet(*[f"{tmp_path}/in/b{k}" for k in (0, 1, 2, 4)]).withColumn("ts", F.col("ts").cast("timestamp"))
+    batch = spark.read.parquet(*[f"{tmp_path}/in/b{k}" for k in (0, 1, 2, 3, 5)]).withColumn("ts", F.col("ts").cast("timestamp"))
     want = {(r["user_id"], r["start"]): r["events"] for r in S.sliding(batch).collect() if r["start"] < dt.datetime(2024, 1, 19)}
     assert {(r["user_id"], r["start"]): r["events"] for r in spark.table("sliding").collect() if r["start"] < dt.datetime(2024, 1, 19)} == want
 
@@ -193,12 +194,12 @@ def test_stream_static_join_and_late_rows(spark, tmp_path, db):
     joined = S.with_weights(stream.select(F.col("user_id").alias("seq_id"), F.col("event_type").alias("item")), weights)
     run(joined, "weighted", tmp_path)
     assert {(r["item"], r["weight"]) for r in spark.table("weighted").distinct().collect()} == {("a", 0.5), ("b", 1.0), ("z", None), ("late", None)}
-    batch = spark.read.parquet(*[f"{tmp_path}/in/b{k}" for k in range(5)]).withColumn("ts", F.col("ts").cast("timestamp"))
+    batch = spark.read.parquet(*[f"{tmp_path}/in/b{k}" for k in range(6)]).withColumn("ts", F.col("ts").cast("timestamp"))
     late, timely = S.late_and_timely(batch, F.lit("2024-01-02").cast("timestamp"))
-    assert (late.count(), timely.count()) == (5, 7)
+    assert (late.count(), timely.count()) == (5, 8)
     occ = S.as_occurrences(S.days(batch.dropDuplicates(["event_id"])))
     rows = sorted((r["pos"], r["item"], r["p"]) for r in occ.collect())
-    assert len(rows) == 11 and max(p for p, _, _ in rows) == 3
+    assert len(rows) == 12 and max(p for p, _, _ in rows) == 3
 
 
 def test_rate_stream(spark, tmp_path):
