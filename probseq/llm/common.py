@@ -58,9 +58,11 @@ def discard(*tables: DataFrame) -> None:
         at.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(at, True)
 
 
-def trim() -> None:
+def trim(collect: bool = True) -> None:
     """Gives freed memory of this Python process back to the system."""
-    gc.collect()
+    if collect:
+        gc.collect()
+    pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL(None).malloc_trim(0)
     except (AttributeError, OSError):  # not glibc
@@ -158,8 +160,7 @@ def release(but: str | None = None) -> None:
     others = [k for k in _resident if k != but]
     for k in others:
         del _resident[k]
-    if others:
-        trim()
+    trim(bool(others))
 
 
 def map_parts(df: DataFrame, column: str, fn: Callable[[pa.RecordBatch], pa.RecordBatch | None], schema: str, most: int = 4 << 20, owner: str | None = None) -> DataFrame:

@@ -43,7 +43,7 @@ SPAN = 50
 GRAM = 16
 DEAL = 8 << 20  # bytes of text for each deal of anchors
 BLOCK = 4 << 20  # contexts of one deal that are held at once
-BATCH = 16384  # contexts that get a suffix array together
+BATCH = 8192  # contexts that get a suffix array together
 CHUNK = 1 << 17  # contexts whose bytes are fetched together
 _P = np.uint64(0xD6E8FEB86659FD93)
 _Q = np.uint64(0x9E3779B97F4A7C15)
@@ -479,7 +479,7 @@ def scanned(dealt: DataFrame, span: int) -> DataFrame:
             cuts = np.searchsorted(head["sub"][by], np.arange(257))
             k = 0
             while k < 256:  # parts of a deal that together have a few batches
-                to = max(k + 1, int(np.searchsorted(cuts, cuts[k] + 4 * BATCH, side="right")) - 1)
+                to = max(k + 1, int(np.searchsorted(cuts, cuts[k] + 2 * BATCH, side="right")) - 1)
                 mine = by[cuts[k] : cuts[to]]
                 k = to
                 if not len(mine):
