@@ -41,12 +41,13 @@ def settle(df: DataFrame, tag: str, last: bool = False) -> DataFrame:
 
     `last`: a large step ends here, and what it held is swept.
     """
-    spark = df.sparkSession
+    spark, schema = df.sparkSession, df.schema
     path = f"{shared_folder(spark)}/{tag}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
+    del df  # its plan holds the shuffle files that are swept
     if last:
         sweep(spark)
-    out = spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(schema).parquet(path)
     out._settled = path
     return out
 
@@ -73,8 +74,9 @@ def sweep(spark: SparkSession) -> None:
     """Frees what steps that are written need no more.
 
     Spark drops shuffle files and broadcasts of a finished plan only when the driver's JVM has collected the plan. A driver
-    that allocates little collects rarely, so between two large steps it is asked to. Its many threads also leave freed
-    native memory behind, which a diagnostic command of the JVM gives back where there is one.
+    that allocates little collects rarely, so between two large steps it is asked to; what holds a plan goes in the first
+    collection, the plan in the second. Its many threads also leave freed native memory behind, which a diagnostic command
+    of the JVM gives back where there is one.
     """
     trim()
     jvm, gateway = spark.sparkContext._jvm, spark.sparkContext._gateway
@@ -89,6 +91,7 @@ def sweep(spark: SparkSession) -> None:
         named("javax.management.MBeanServer").getMethod("invoke", kinds).invoke(jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer(), given)
     except Py4JError:  # another JVM
         pass
+    jvm.System.gc()
 
 
 def in_one_task(rows: DataFrame, make: Callable[[Iterator[pa.RecordBatch]], bytes | None]) -> bytes | None:

@@ -237,6 +237,8 @@ def deals_of(rows: DataFrame, column: str = "_body") -> int:
 
 
 def _by_deal(deal: np.ndarray, rows: np.ndarray) -> tuple[list[int], list[bytes]]:
+    if not len(rows):
+        return [], []
     order = np.argsort(deal, kind="stable")
     rows, used, begin = rows[order], *np.unique(deal[order], return_index=True)
     ends = np.append(begin[1:], len(rows))
