@@ -94,3 +94,32 @@ def test_supplier_brand_has_no_length_limit(spark):
     found = {r[0]: r[-2] for r in run.rows if r[-1]}
     assert found["<(Brand#15)(Brand#17)(Brand#15)>"] == pytest.approx(51.62, abs=0.01)
     assert [c["frequent"] for c in run.counters] == [6, 35, 31, 0, 0] and run.counters[-1]["candidates"] == 0
+
+
+def test_lightest_items_find_what_brute_force_finds(spark):
+    import random
+
+    from probseq.config import MiningParams
+    from probseq.operators.baselines import mine_bruteforce
+    from probseq.operators.miner import mine_capped
+
+    r = random.Random(5)
+    rows = [(s, k, x, round(r.uniform(0.2, 1), 2)) for s in range(12) for k in range(5) for x in "abcde" if r.random() < 0.5]
+    occ = spark.createDataFrame(rows, "seq_id long, pos int, item string, p double").persist()
+    w = spark.createDataFrame([("a", 0.3), ("b", 0.9), ("c", 0.6), ("d", 0.9), ("e", 0.1)], "item string, weight double")
+    want = {x["pattern"]: (x["support"], round(x["wes"], 9)) for x in mine_bruteforce(occ, w, 1.6, 4).collect()}
+    run = mine_capped(occ, w, MiningParams(0.0, prune="exact"), 1.6)
+    assert {x["pattern"]: (x["support"], round(x["wes"], 9)) for x in run.result.collect()} == want
+    assert max(map(len, want)) == len("<(a)(a)(a)>") and any(" " in p for p in want)
+    assert mine_capped(occ, w, MiningParams(0.0, prune="exact", max_len=1), 1.6).n_frequent == sum(len(p) == 5 for p in want)
+
+
+@pytest.mark.parametrize("name", ["mine_supplier_brand", "mine_dialogue"])
+def test_heavy_items_end_the_search(spark, name):
+    """The weight of the heaviest item as bound made these go through millions of candidates."""
+    from probseq.workloads import MINERS, mined
+
+    _, work, sup, weighted, _, kw = next(m for m in MINERS if m[0] == name)
+    run = mined(spark, "/root/testdata/sf0.01", work, sup, weighted, **kw)
+    assert run.n_candidates < 12_000
+    assert [c["frequent"] for c in run.counters] == {"mine_supplier_brand": [12, 134, 46, 0, 0], "mine_dialogue": [52, 328, 1, 0]}[name]
