@@ -123,3 +123,16 @@ def test_heavy_items_end_the_search(spark, name):
     run = mined(spark, "/root/testdata/sf0.01", work, sup, weighted, **kw)
     assert run.n_candidates < 12_000
     assert [c["frequent"] for c in run.counters] == {"mine_supplier_brand": [12, 134, 46, 0, 0], "mine_dialogue": [52, 328, 1, 0]}[name]
+
+
+def test_grouped_support_takes_many_sequences_at_once(spark):
+    from pyspark.sql import functions as F
+
+    from probseq.functions.aggregates import expected_support_by
+
+    rows = [(s, k, x, 0.5) for s in range(6) for k, x in enumerate("ab" if s % 3 else "ca")]
+    occ = spark.createDataFrame(rows, "seq_id long, pos int, item string, p double")
+    got = expected_support_by(occ, "<(a)(b)>", (F.col("seq_id") % 3).alias("part"))
+    assert sorted(map(tuple, got.collect())) == [(0, 0, 0.0), (1, 2, 0.5), (2, 2, 0.5)]
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "InPandas" not in plan and "ArrowAggregatePython" not in plan  # no Python call per sequence
