@@ -136,3 +136,9 @@ def test_grouped_support_takes_many_sequences_at_once(spark):
     assert sorted(map(tuple, got.collect())) == [(0, 0, 0.0), (1, 2, 0.5), (2, 2, 0.5)]
     plan = got._jdf.queryExecution().executedPlan().toString()
     assert "MapInArrow" in plan and "InPandas" not in plan and "ArrowAggregatePython" not in plan  # no Python call per sequence
+
+
+def test_tree_arrays_read_the_events(spark):
+    rows = check(spark, "tree_fig1_arrays", "/root/testdata/sf0.01")
+    assert len({r[0] for r in rows}) == spark.read.parquet("/root/testdata/sf0.01/events.parquet").select("user_id").distinct().count()
+    assert len({r[1] for r in rows}) == 8
