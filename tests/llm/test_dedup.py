@@ -124,6 +124,32 @@ def test_suffix_dedup(spark):
     assert [r["n_removed"] for r in dedup(twice).collect()] == [0, 0]
 
 
+def test_suffix_marks_travel_by_home(spark):
+    """What `met` sends grows with its tasks, not with texts times deals; a home may span record batches."""
+    from pyspark.sql import functions as F
+
+    from probseq.llm import suffixes as S
+
+    shared = "".join(chr(97 + (k * k * 7 + k * 13 + (k >> 5) * 11) % 26) for k in range(5000))
+    base = S._base(frame(spark, [f"{k:09d}" + shared for k in range(20)]).repartition(20), ["doc_id"], "doc_id", "text")
+    entries = S.anchored(base, 16, S.SPAN, S.GRAM).withColumn("old", F.lit(False))
+    met = S.met(S.dealt_out(entries, 16))
+    tasks = S.partitions(spark)
+    assert 20 <= met.count() <= 2 * 20 * tasks
+    rows = S.marked(base, entries, 16, S.SPAN).select("_order", "_text_hash").collect()
+    assert len(rows) == len(set(rows)) == 19
+    texts = [*corpus(6), "m" * 120, "m" * 120, None, ""]
+    ids = [None if k in (1, 3, 8) else k for k in range(len(texts))]
+    docs = spark.createDataFrame(list(zip(ids, texts, strict=True)), "doc_id long, text string")
+    want = sorted(brute_removed(texts, ids, 50))
+    for most in ("1", "10000"):
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", most)
+        try:
+            assert sorted(bytes(r["kept"]) for r in S.dedup(docs).collect()) == want
+        finally:
+            spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
 def test_suffix_family():
     from probseq.llm.suffixes import SuffixFamily
 
