@@ -9,7 +9,7 @@ from __future__ import annotations
 import shutil
 import tempfile
 import uuid
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -18,7 +18,7 @@ from probseq import oracles as O
 from probseq.config import IncrementParams, MiningParams
 from probseq.operators import evaluate
 from probseq.operators.baselines import remine_all
-from probseq.operators.incremental import Maintainer, ThreeTierMaintainer, TwoTierMaintainer
+from probseq.operators.incremental import Maintainer, Shared, ThreeTierMaintainer, TwoTierMaintainer
 from probseq.operators.splits import bounds, split_increments
 from probseq.sources import tables
 from probseq.workloads import item_weights, occurrences, query, r6
@@ -40,14 +40,14 @@ def drop_folder(path: str) -> None:
 
 def parts_of(spark: SparkSession, sf_dir: str, work: str, ends: list[float], by: str = "hash") -> tuple[list[DataFrame], DataFrame]:
     """The occurrences of each batch, dealt by the hash of a sequence or (sequences being orders) by order date; and weights."""
-    occ = occurrences(spark, sf_dir, work).persist()
+    occ = occurrences(spark, sf_dir, work)
     if by == "hash":
         split = split_increments(occ, ends)
     else:
         dates = tables.table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("seq_id"), F.col("o_orderdate").alias("t"))
         split = occ.join(split_increments(dates, ends, "time", "t").drop("t"), "seq_id")
     split = split.persist()
-    return [split.where(F.col("batch_id") == k).drop("batch_id") for k in range(len(ends))], item_weights(spark, occ, work)
+    return [split.where(F.col("batch_id") == k).drop("batch_id") for k in range(len(ends))], item_weights(spark, split, work)
 
 
 def maintained(spark: SparkSession, sf_dir: str, kind: type[Maintainer], upto: int | None = None, weighted: bool = True, local: float | None = None) -> tuple[Maintainer, int]:
@@ -249,19 +249,25 @@ class Study:
         done = "SELECT *, round(CASE WHEN reference > 0 THEN 100.0 * common / reference ELSE 100.0 END, 6)::DOUBLE AS completeness, round(CASE WHEN found > 0 THEN 100.0 * common / found ELSE 100.0 END, 6)::DOUBLE AS precision FROM"
         return f"{supports_sql(self.work, self.splits, self.configs, self.depth, self.by)}{tiers_sql(self.configs, batches)} {done} ({' UNION ALL '.join(rows)})"
 
-    def run(self, spark: SparkSession, sf_dir: str) -> list[tuple]:
-        """(first, min_sup, mu, tiers, tracked, found, reference, common, seconds) of every run."""
-        out, whole = [], {}
+    def run(self, spark: SparkSession, sf_dir: str, share: bool = True) -> list[tuple]:
+        """(first, min_sup, mu, tiers, tracked, found, reference, common, seconds) of every run.
+
+        With `share` the runs share what they have in common, the lowest thresholds first; times are then not comparable.
+        """
+        out, whole, reference = [], {}, None
         for s, ends in enumerate(self.splits):
             parts, w = parts_of(spark, sf_dir, self.work, ends, self.by)
             w = w.persist()
-            for c in self.configs:
-                if c.split != s:
-                    continue
+            shared = Shared(w, state_folder(spark)) if share else None
+            reference = reference or Shared(w, "")  # the whole is the same in all splits
+            own = [c for c in self.configs if c.split == s]
+            for c in sorted(own, key=lambda c: (c.sup * c.mu, not c.three)) if share else own:
                 params = MiningParams(c.sup, prune="exact")
+                if not whole:
+                    reference.mine(_union(parts), replace(params, min_sup=min(x.sup for x in self.configs)), None, 0)
                 if c.sup not in whole:
-                    whole[c.sup] = {r["pattern"] for r in remine_all([_union(parts)], w, params)[0].result.select("pattern").collect()}
-                m = (ThreeTierMaintainer if c.three else TwoTierMaintainer)(params, IncrementParams(c.mu, GAMMA), w, state_folder(spark))
+                    whole[c.sup] = {r["pattern"] for r in reference.mine(_union(parts), params, None, 0).result.select("pattern").collect()}
+                m = (ThreeTierMaintainer if c.three else TwoTierMaintainer)(params, IncrementParams(c.mu, GAMMA), w, state_folder(spark), shared)
 
                 def go(m=m, parts=parts):
                     m.initialize(parts[0])
@@ -273,9 +279,12 @@ class Study:
                 drop_folder(m.path)
                 found = {p for p, t in state.items() if t == "FREQ"}
                 out.append((ends[0], c.sup, c.mu, "three" if c.three else "two", len(state), len(found), len(whole[c.sup]), len(found & whole[c.sup]), seconds))
+            if shared:
+                drop_folder(shared.path)
             w.unpersist()
             spark.catalog.clearCache()
-        return out
+        place = {(self.splits[c.split][0], c.sup, c.mu, "three" if c.three else "two"): k for k, c in enumerate(self.configs)}
+        return sorted(out, key=lambda r: place[r[:4]])
 
 
 _COLS = "first double, min_sup double, mu double, tiers string, tracked long, found long, reference long, common long"
@@ -304,5 +313,5 @@ _study("completeness_by_initial_size", Study("customer_brand", [[0.4, 0.7, 1.0],
 def _(spark, sf_dir):
     """Completeness against seconds; times have no oracle."""
     study = Study(WORK, [ENDS], _both([0], [SUP], [1.0, 0.7]), 3, "time")
-    rows = [(mu, tiers, 100.0 * common / reference if reference else 100.0, seconds) for _, _, mu, tiers, _, _, reference, common, seconds in study.run(spark, sf_dir)]
+    rows = [(mu, tiers, 100.0 * common / reference if reference else 100.0, seconds) for _, _, mu, tiers, _, _, reference, common, seconds in study.run(spark, sf_dir, share=False)]
     return spark.createDataFrame(rows, "mu double, tiers string, completeness double, seconds double")

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from probseq.config import SLACK, IncrementParams, MiningParams
 from probseq.operators.encode import dictionary
 from probseq.operators.measures import buffer_threshold, global_threshold, local_threshold
-from probseq.operators.miner import mine_capped
+from probseq.operators.miner import MiningRun, mine_capped
 from probseq.operators.support import expected_support
 
 STATE = "pattern string, es double, seq_weight double, wes double, tier string, since_batch long, exact boolean"
@@ -35,26 +35,65 @@ def tier_of(wes, min_wes: float, buffer: float, local: float | None):
     return c if local is None else c.when(wes >= local * low, PROMISING)
 
 
+class Shared:
+    """What several maintainers of the same increments have in common, found once: counts (their tables lie under `path`)
+    and supports of each increment, and its patterns at the lowest threshold so far, of which a higher one takes a part.
+    They take the same steps. The driver holds patterns only."""
+
+    def __init__(self, weights: DataFrame | None, path: str):
+        self.weights, self.path = weights, path.rstrip("/")
+        self.sizes: dict[int, tuple[float, int, int]] = {}
+        self.mined: dict[tuple, MiningRun] = {}
+        self.gained: dict[tuple, dict[str, float]] = {}
+
+    def mine(self, occ: DataFrame, params: MiningParams, threshold: float | None, batch_id: int) -> MiningRun:
+        """As mine_capped; the result is all that reaches the threshold, counters and candidates are those of the run it is taken from."""
+        key = (batch_id, replace(params, min_sup=0.0))
+        run = self.mined.get(key)
+        if run is not None and threshold is None:
+            threshold = global_threshold(run.stats["n_seq"], run.stats["wam"], params.min_sup, params.wgt_fct)
+        if run is None or threshold < run.threshold:
+            run = self.mined[key] = mine_capped(occ, self.weights, params, threshold)
+        threshold = run.threshold if threshold is None else threshold
+        return replace(run, threshold=threshold, result=run.result.where(F.col("wes") >= threshold * (1 - SLACK)))
+
+    def gains(self, delta: DataFrame, patterns: DataFrame, engine: str, batch_id: int) -> DataFrame:
+        """(pattern, es) of patterns in an increment; only those not asked for before are looked up."""
+        known = self.gained.setdefault((batch_id, engine), {})
+        wanted = [r["pattern"] for r in patterns.select("pattern").distinct().collect()]
+        fresh = [(x,) for x in wanted if x not in known]
+        if fresh:
+            found = expected_support(delta, delta.sparkSession.createDataFrame(fresh, "pattern string"), None, engine)
+            known.update((r["pattern"], r["es"]) for r in found.select("pattern", "es").collect())
+        return delta.sparkSession.createDataFrame([(x, known[x]) for x in wanted], "pattern string, es double")
+
+
 class Maintainer:
-    """Common steps; `three` adds local mining and the promising tier."""
+    """Common steps; `three` adds local mining and the promising tier. Maintainers of the same parts and weights may share work."""
 
     three = True
 
-    def __init__(self, params: MiningParams, inc: IncrementParams, weights: DataFrame | None, path: str):
-        self.params, self.inc, self.weights, self.path = params, inc, weights, path.rstrip("/")
+    def __init__(self, params: MiningParams, inc: IncrementParams, weights: DataFrame | None, path: str, shared: Shared | None = None):
+        self.params, self.inc, self.weights, self.path, self.shared = params, inc, weights, path.rstrip("/"), shared
         self.log: list[dict] = []
 
+    def _at(self, kind: str, batch_id: int) -> str:
+        common = self.shared is not None and kind in ("items", "size", "own_items", "own_size")
+        return f"{self.shared.path if common else self.path}/{kind}/batch_id={batch_id}"
+
     def _save(self, df: DataFrame, kind: str, batch_id: int) -> DataFrame:
-        at = f"{self.path}/{kind}/batch_id={batch_id}"
+        at = self._at(kind, batch_id)
         df.write.mode("overwrite").parquet(at)
         return df.sparkSession.read.schema(df.schema).parquet(at)
 
     def _load(self, spark, kind: str, batch_id: int, schema: str) -> DataFrame:
-        return spark.read.schema(schema).parquet(f"{self.path}/{kind}/batch_id={batch_id}")
+        return spark.read.schema(schema).parquet(self._at(kind, batch_id))
 
     def update_stats(self, delta: DataFrame, batch_id: int) -> dict:
         """Adds the item counts and size of the increment to those of the version before, and renews the thresholds."""
         spark = delta.sparkSession
+        if self.shared and batch_id in self.shared.sizes:
+            return self._limits(*self.shared.sizes[batch_id], batch_id)
         own = self._save(dictionary(delta).select("item", "occ", "seqs"), "own_items", batch_id)
         n = delta.select("seq_id").distinct().count()
         self._save(spark.createDataFrame([(n,)], "n long").coalesce(1), "own_size", batch_id)
@@ -65,15 +104,20 @@ class Maintainer:
             total += self._load(spark, "size", batch_id - 1, "n long").first()["n"]
         items = self._save(own, "items", batch_id)
         self._save(spark.createDataFrame([(total,)], "n long").coalesce(1), "size", batch_id)
-        return self._thresholds(items, total, n, batch_id)
+        wam = self._wam(items)
+        if self.shared:
+            self.shared.sizes[batch_id] = wam, total, n
+        return self._limits(wam, total, n, batch_id)
 
-    def _thresholds(self, items: DataFrame, total: int, n: int, batch_id: int) -> dict:
-        """Thresholds of a database of `total` sequences, the last `n` of them new."""
+    def _wam(self, items: DataFrame) -> float:
         f = "occ" if self.params.freq == "occurrences" else "seqs"
         w = items if self.weights is None else items.join(self.weights.select("item", "weight"), "item", "left")
         weight = F.lit(1.0) if self.weights is None else F.coalesce("weight", F.lit(1.0))
         r = w.agg(F.sum(weight * F.col(f)).alias("wf"), F.sum(f).alias("f")).first()
-        wam = r["wf"] / r["f"] if r["f"] else 0.0
+        return r["wf"] / r["f"] if r["f"] else 0.0
+
+    def _limits(self, wam: float, total: int, n: int, batch_id: int) -> dict:
+        """Thresholds of a database of `total` sequences, the last `n` of them new."""
         p = self.params
         min_wes = global_threshold(total, wam, p.min_sup, p.wgt_fct)
         gamma, clamped = self.inc.gamma, False
@@ -90,19 +134,27 @@ class Maintainer:
     def initialize(self, occ: DataFrame, batch_id: int = 0) -> DataFrame:
         """Mines with the buffer threshold and labels frequent and semi-frequent patterns."""
         s = self.update_stats(occ, batch_id)
-        run = mine_capped(occ, self.weights, self.params, s["min_wes_buf"])
+        run = self._mine(occ, s["min_wes_buf"], batch_id)
         state = run.result.select("pattern", "es", "seq_weight", "wes", tier_of(F.col("wes"), s["min_wes"], s["min_wes_buf"], None).alias("tier"), F.lit(batch_id).cast("long").alias("since_batch"), F.lit(True).alias("exact"))
         self.log.append(s | {"candidates": run.n_candidates})
         state = self._save(state.where(F.col("tier").isNotNull()), "state", batch_id)
         self._save(state.select("pattern", "es"), "gains", batch_id)
         return state
 
+    def _mine(self, occ: DataFrame, threshold: float, batch_id: int) -> MiningRun:
+        if self.shared:
+            return self.shared.mine(occ, self.params, threshold, batch_id)
+        return mine_capped(occ, self.weights, self.params, threshold)
+
     def mine_local(self, delta: DataFrame, s: dict) -> DataFrame:
-        return mine_capped(delta, self.weights, replace(self.params), s["local_wes"]).result
+        return self._mine(delta, s["local_wes"], s["batch_id"]).result
 
     def update_tracked(self, state: DataFrame, delta: DataFrame, s: dict) -> DataFrame:
         """Adds the increment's supports to tracked patterns; those that miss it only meet the new thresholds."""
-        gain = expected_support(delta, state.select("pattern"), None, self.params.engine).select("pattern", "es")
+        if self.shared:
+            gain = self.shared.gains(delta, state, self.params.engine, s["batch_id"])
+        else:
+            gain = expected_support(delta, state.select("pattern"), None, self.params.engine).select("pattern", "es")
         gain = self._save(gain.where("es > 0"), "gains", s["batch_id"]).withColumnRenamed("es", "_gain")
         es = F.col("es") + F.coalesce("_gain", F.lit(0.0))
         grown = state.join(gain, "pattern", "left").select("pattern", es.alias("es"), "seq_weight", (es * F.col("seq_weight")).alias("wes"), "since_batch", "exact")
@@ -153,7 +205,7 @@ class Maintainer:
         self._save(spark.createDataFrame([(total,)], size).coalesce(1), "size", batch_id)
         logged = [x["delta_n"] for x in self.log if not x.get("dropped")]
         newest = logged[-1] if logged else self._load(spark, "own_size", batch_id - 1, size).first()["n"]
-        s = self._thresholds(items, total, newest, batch_id) | {"dropped": True}
+        s = self._limits(self._wam(items), total, newest, batch_id) | {"dropped": True}
         gains = self._load(spark, "gains", oldest, "pattern string, es double").select("pattern", F.col("es").alias("_loss"), F.lit(oldest).alias("_upto"))
         if oldest and self.three:  # what was admitted then is its since_batch
             gains = gains.unionByName(self._load(spark, "gains_new", oldest, "pattern string, es double").select("pattern", F.col("es").alias("_loss"), F.lit(oldest).alias("_upto")))

@@ -50,6 +50,33 @@ def test_two_tiers(spark, tmp_path):
     assert not tier(s1, "PROMISING") and not tier(s2, "PROMISING")
 
 
+def test_shared_work_gives_the_same_states(spark, tmp_path, monkeypatch):
+    """Maintainers that share what they have in common end as those that do not, and mine each increment once."""
+    from probseq.operators import incremental
+
+    mined, real = [], incremental.mine_capped
+    monkeypatch.setattr(incremental, "mine_capped", lambda *a: mined.append(a[3]) or real(*a))
+    runs = [(ThreeTierMaintainer, 0.5), (TwoTierMaintainer, 0.7), (ThreeTierMaintainer, 1.0)]
+
+    def all_states(name, shared):
+        out = []
+        for k, (kind, mu) in enumerate(runs):
+            m = kind(MiningParams(0.2), IncrementParams(mu, 0.8), toy.toy_weights(spark), f"{tmp_path}/{name}{k}", *shared)
+            p = parts(spark)
+            m.initialize(p[0])
+            for b in (1, 2):
+                m.apply(p[b], b)
+            s = m.drop_oldest(spark, 0, 3)
+            out.append([{r["pattern"]: (r["tier"], round(r["wes"], 9), r["since_batch"], r["exact"]) for r in x.collect()} for x in (m.tiers(spark, 1), m.tiers(spark, 2), s)])
+        return out
+
+    alone = all_states("alone", ())
+    assert len(mined) == 7
+    mined.clear()
+    assert all_states("shared", (incremental.Shared(toy.toy_weights(spark), f"{tmp_path}/common"),)) == alone
+    assert len(mined) == 3
+
+
 def test_large_gamma_is_clamped(spark, tmp_path):
     m, _ = states(spark, ThreeTierMaintainer, str(tmp_path), gamma=50.0)
     assert m.log[1]["clamped"]
