@@ -77,6 +77,21 @@ def test_shared_work_gives_the_same_states(spark, tmp_path, monkeypatch):
     assert len(mined) == 3
 
 
+def test_one_mining_serves_all_thresholds(spark, monkeypatch):
+    from probseq.operators import incremental
+
+    mined, real = [], incremental.mine_capped
+    monkeypatch.setattr(incremental, "mine_capped", lambda *x: mined.append(1) or real(*x))
+    occ, w = toy.toy_occurrences(spark).persist(), toy.toy_weights(spark)
+    shared = incremental.Shared(w, "")
+    for sup in (0.15, 0.2, 0.3):
+        p = MiningParams(sup, prune="exact")
+        got, want = shared.mine(occ, p, None, 0), real(occ, w, p)
+        assert got.threshold == pytest.approx(want.threshold)
+        assert {r["pattern"] for r in got.result.collect()} == {r["pattern"] for r in want.result.collect()}
+    assert len(mined) == 1
+
+
 def test_large_gamma_is_clamped(spark, tmp_path):
     m, _ = states(spark, ThreeTierMaintainer, str(tmp_path), gamma=50.0)
     assert m.log[1]["clamped"]
