@@ -38,16 +38,37 @@ def drop_folder(path: str) -> None:
         shutil.rmtree(path.removeprefix("file://"), ignore_errors=True)
 
 
-def parts_of(spark: SparkSession, sf_dir: str, work: str, ends: list[float], by: str = "hash") -> tuple[list[DataFrame], DataFrame]:
-    """The occurrences of each batch, dealt by the hash of a sequence or (sequences being orders) by order date; and weights."""
+TASK = 500_000  # lines whose occurrences one task holds, where there are more than two tasks for each core
+
+
+def dealt(spark: SparkSession, sf_dir: str, work: str, splits: list[list[float]], by: str = "hash") -> DataFrame:
+    """The occurrences with the batch of each split (batch_0, batch_1, ..), kept: dealt by the hash of a sequence or
+    (sequences being orders) by order date.
+
+    Rows lie by sequence, in tasks large enough that a tree of patterns is not walked for a few sequences each.
+    """
     occ = occurrences(spark, sf_dir, work)
     if by == "hash":
-        split = split_increments(occ, ends)
+        for k, ends in enumerate(splits):
+            occ = split_increments(occ, ends).withColumnRenamed("batch_id", f"batch_{k}")
     else:
         dates = tables.table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("seq_id"), F.col("o_orderdate").alias("t"))
-        split = occ.join(split_increments(dates, ends, "time", "t").drop("t"), "seq_id")
-    split = split.persist()
-    return [split.where(F.col("batch_id") == k).drop("batch_id") for k in range(len(ends))], item_weights(spark, split, work)
+        for k, ends in enumerate(splits):
+            dates = split_increments(dates, ends, "time", "t").withColumnRenamed("batch_id", f"batch_{k}")
+        occ = occ.join(dates.drop("t"), "seq_id")
+    tasks = max(2 * spark.sparkContext.defaultParallelism, tables.table(spark, sf_dir, "lineitem").count() // TASK)
+    return occ.repartition(tasks, "seq_id").persist()
+
+
+def batches(split: DataFrame, k: int, n: int) -> list[DataFrame]:
+    """The occurrences of each of the n batches of split k."""
+    return [split.where(F.col(f"batch_{k}") == b).select("seq_id", "pos", "item", "p") for b in range(n)]
+
+
+def parts_of(spark: SparkSession, sf_dir: str, work: str, ends: list[float], by: str = "hash") -> tuple[list[DataFrame], DataFrame]:
+    """The occurrences of each batch, and weights."""
+    split = dealt(spark, sf_dir, work, [ends], by)
+    return batches(split, 0, len(ends)), item_weights(spark, split, work)
 
 
 def maintained(spark: SparkSession, sf_dir: str, kind: type[Maintainer], upto: int | None = None, weighted: bool = True, local: float | None = None) -> tuple[Maintainer, int]:
@@ -254,19 +275,21 @@ class Study:
 
         With `share` the runs share what they have in common, the lowest thresholds first; times are then not comparable.
         """
-        out, whole, reference = [], {}, None
+        out, whole = [], {}
+        split = dealt(spark, sf_dir, self.work, self.splits, self.by)
+        everything, w = split.select("seq_id", "pos", "item", "p"), item_weights(spark, split, self.work).persist()
+        reference = Shared(w, "")  # the whole is the same in all splits
         for s, ends in enumerate(self.splits):
-            parts, w = parts_of(spark, sf_dir, self.work, ends, self.by)
-            w = w.persist()
+            parts = batches(split, s, len(ends))
             shared = Shared(w, state_folder(spark)) if share else None
-            reference = reference or Shared(w, "")  # the whole is the same in all splits
             own = [c for c in self.configs if c.split == s]
             for c in sorted(own, key=lambda c: (c.sup * c.mu, not c.three)) if share else own:
                 params = MiningParams(c.sup, prune="exact")
                 if not whole:
-                    reference.mine(_union(parts), replace(params, min_sup=min(x.sup for x in self.configs)), None, 0)
+                    reference.mine(everything, replace(params, min_sup=min(x.sup for x in self.configs)), None, 0)
+                    reference.close()
                 if c.sup not in whole:
-                    whole[c.sup] = {r["pattern"] for r in reference.mine(_union(parts), params, None, 0).result.select("pattern").collect()}
+                    whole[c.sup] = {r["pattern"] for r in reference.mine(everything, params, None, 0).result.select("pattern").collect()}
                 m = (ThreeTierMaintainer if c.three else TwoTierMaintainer)(params, IncrementParams(c.mu, GAMMA), w, state_folder(spark), shared)
 
                 def go(m=m, parts=parts):
@@ -280,9 +303,10 @@ class Study:
                 found = {p for p, t in state.items() if t == "FREQ"}
                 out.append((ends[0], c.sup, c.mu, "three" if c.three else "two", len(state), len(found), len(whole[c.sup]), len(found & whole[c.sup]), seconds))
             if shared:
+                shared.close()
                 drop_folder(shared.path)
-            w.unpersist()
-            spark.catalog.clearCache()
+        w.unpersist()
+        spark.catalog.clearCache()
         place = {(self.splits[c.split][0], c.sup, c.mu, "three" if c.three else "two"): k for k, c in enumerate(self.configs)}
         return sorted(out, key=lambda r: place[r[:4]])
 

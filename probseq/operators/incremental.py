@@ -19,10 +19,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from probseq.config import SLACK, IncrementParams, MiningParams
-from probseq.operators.encode import dictionary
+from probseq.operators.encode import Packed, dictionary, packed_once
 from probseq.operators.measures import buffer_threshold, global_threshold, local_threshold
 from probseq.operators.miner import MiningRun, mine_capped
-from probseq.operators.support import expected_support
+from probseq.operators.support import expected_support, packed_support
 
 STATE = "pattern string, es double, seq_weight double, wes double, tier string, since_batch long, exact boolean"
 FREQ, SEMI, PROMISING = "FREQ", "SEMI", "PROMISING"
@@ -36,15 +36,26 @@ def tier_of(wes, min_wes: float, buffer: float, local: float | None):
 
 
 class Shared:
-    """What several maintainers of the same increments have in common, found once: counts (their tables lie under `path`)
-    and supports of each increment, and its patterns at the lowest threshold so far, of which a higher one takes a part.
-    They take the same steps. The driver holds patterns only."""
+    """What several maintainers of the same increments have in common, found once: packed sequences, counts (their tables lie
+    under `path`) and supports of each increment, and its patterns at the lowest threshold so far, of which a higher one
+    takes a part. They take the same steps. The driver holds items and patterns only; `close` gives the sequences back."""
 
     def __init__(self, weights: DataFrame | None, path: str):
         self.weights, self.path = weights, path.rstrip("/")
         self.sizes: dict[int, tuple[float, int, int]] = {}
         self.mined: dict[tuple, MiningRun] = {}
         self.gained: dict[tuple, dict[str, float]] = {}
+        self.kept: dict[int, Packed] = {}
+
+    def packed(self, occ: DataFrame, batch_id: int) -> Packed:
+        if batch_id not in self.kept:
+            self.kept[batch_id] = packed_once(occ)
+        return self.kept[batch_id]
+
+    def close(self) -> None:
+        for p in self.kept.values():
+            p.close()
+        self.kept.clear()
 
     def mine(self, occ: DataFrame, params: MiningParams, threshold: float | None, batch_id: int) -> MiningRun:
         """As mine_capped; the result is all that reaches the threshold, counters and candidates are those of the run it is taken from."""
@@ -53,7 +64,7 @@ class Shared:
         if run is not None and threshold is None:
             threshold = global_threshold(run.stats["n_seq"], run.stats["wam"], params.min_sup, params.wgt_fct)
         if run is None or threshold < run.threshold:
-            run = self.mined[key] = mine_capped(occ, self.weights, params, threshold)
+            run = self.mined[key] = mine_capped(occ, self.weights, params, threshold, self.packed(occ, batch_id) if params.engine == "arrow" else None)
         threshold = run.threshold if threshold is None else threshold
         return replace(run, threshold=threshold, result=run.result.where(F.col("wes") >= threshold * (1 - SLACK)))
 
@@ -61,9 +72,11 @@ class Shared:
         """(pattern, es) of patterns in an increment; only those not asked for before are looked up."""
         known = self.gained.setdefault((batch_id, engine), {})
         wanted = [r["pattern"] for r in patterns.select("pattern").distinct().collect()]
-        fresh = [(x,) for x in wanted if x not in known]
-        if fresh:
-            found = expected_support(delta, delta.sparkSession.createDataFrame(fresh, "pattern string"), None, engine)
+        fresh = [x for x in wanted if x not in known]
+        if fresh and engine == "arrow":
+            known.update(packed_support(self.packed(delta, batch_id), fresh))
+        elif fresh:
+            found = expected_support(delta, delta.sparkSession.createDataFrame([(x,) for x in fresh], "pattern string"), None, engine)
             known.update((r["pattern"], r["es"]) for r in found.select("pattern", "es").collect())
         return delta.sparkSession.createDataFrame([(x, known[x]) for x in wanted], "pattern string, es double")
 
@@ -94,8 +107,12 @@ class Maintainer:
         spark = delta.sparkSession
         if self.shared and batch_id in self.shared.sizes:
             return self._limits(*self.shared.sizes[batch_id], batch_id)
-        own = self._save(dictionary(delta).select("item", "occ", "seqs"), "own_items", batch_id)
-        n = delta.select("seq_id").distinct().count()
+        if self.shared and self.params.engine == "arrow":
+            packed = self.shared.packed(delta, batch_id)
+            counts, n = spark.createDataFrame([x[:3] for x in packed.items], "item string, occ long, seqs long").coalesce(1), packed.n_seq
+        else:
+            counts, n = dictionary(delta).select("item", "occ", "seqs"), delta.select("seq_id").distinct().count()
+        own = self._save(counts, "own_items", batch_id)
         self._save(spark.createDataFrame([(n,)], "n long").coalesce(1), "own_size", batch_id)
         total = n
         if batch_id:

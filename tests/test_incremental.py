@@ -171,3 +171,50 @@ def test_text_format(spark, tmp_path):
     spark.dataSource.register(SequenceTextSource)
     got = spark.read.format("sequence_text").option("path", str(f)).option("split_bytes", 40).load()
     assert got.count() == occ.count() and got.select("seq_id").distinct().count() == 6
+
+
+def test_packed_increments_give_counts_and_supports_without_moving_rows(spark):
+    """Rows that lie by sequence are packed where they are, once, and the packed rows tell what the dictionary does."""
+    from probseq.operators.encode import dictionary, packed_once
+    from probseq.operators.miner import mine_capped
+    from probseq.operators.support import expected_support, packed_support
+
+    occ, w = toy.toy_occurrences(spark).repartition(3, "seq_id").persist(), toy.toy_weights(spark)
+    occ.count()
+    packed = packed_once(occ)
+    assert packed.rows.rdd.getNumPartitions() == 3 and packed.n_seq == 6
+    want = {r["item"]: (r["occ"], r["seqs"], pytest.approx(r["mx"]), pytest.approx(r["sm"])) for r in dictionary(occ).collect()}
+    assert {x[0]: x[1:] for x in packed.items} == want
+    for threshold in (0.2, 0.9):
+        p = MiningParams(0.2, prune="exact")
+        got, other = mine_capped(occ, w, p, threshold, packed), mine_capped(occ, w, p, threshold)
+        key = lambda run: {r["pattern"]: (r["support"], pytest.approx(r["wes"])) for r in run.result.collect()}
+        assert {k: v for k, v in key(got).items()} == {r["pattern"]: (r["support"], r["wes"]) for r in other.result.collect()}
+    some = ["<(a)(b)>", "<(a c)(a)>", "<(a b)>", "<(z)(a)>", "<(a)>"]
+    es = {r["pattern"]: pytest.approx(r["es"]) for r in expected_support(occ, spark.createDataFrame([(x,) for x in some], "pattern string")).collect()}
+    assert packed_support(packed, some) == es
+    packed.close()
+
+
+def test_children_found_together_are_those_found_one_by_one():
+    import numpy as np
+
+    from probseq.operators.kernel import Batch, Families, totals, walk
+    from probseq.operators.support import tree_of
+
+    rng = np.random.default_rng(7)
+    for n_seq in (1, 20, 400):
+        rows = [sorted({(int(e), int(i)) for e, i in zip(rng.integers(0, 6, 12), rng.integers(0, 5, 12), strict=True)}) for _ in range(n_seq)]
+        flat = [x for r in rows for x in r]
+        batch = Batch(np.array([len(r) for r in rows]), np.array([e for e, _ in flat]), np.array([i for _, i in flat]), rng.random(len(flat)))
+        two = [(("S", a), (k, b)) for a in range(-1, 7) for b in range(-1, 7) for k in "SI"]
+        tree, nodes = tree_of(two + [(*x, ("S", c)) for x in two[::3] for c in (0, 3, 6)], {x: x for x in range(-1, 7)})
+        want, got = (np.zeros(len(nodes)), np.zeros(len(nodes), int)), (np.zeros(len(nodes)), np.zeros(len(nodes), int))
+
+        def visit(k, state, want=want):
+            want[0][k] += state.best.sum()
+            want[1][k] += len(state.rows)
+
+        walk(batch, tree, tree.children(), visit)
+        totals(batch, tree, Families(tree), *got)
+        assert np.allclose(want[0], got[0], rtol=1e-12) and (want[1] == got[1]).all()
