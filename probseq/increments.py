@@ -13,14 +13,17 @@ from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.storagelevel import StorageLevel
 
 from probseq import oracles as O
 from probseq.config import IncrementParams, MiningParams
 from probseq.operators import evaluate
 from probseq.operators.baselines import remine_all
+from probseq.operators.encode import in_blocks, packed_parts
 from probseq.operators.incremental import Maintainer, Shared, ThreeTierMaintainer, TwoTierMaintainer
 from probseq.operators.splits import bounds, split_increments
 from probseq.sources import tables
+from probseq.sources.uncertainty import normal_weights, probability
 from probseq.workloads import item_weights, occurrences, query, r6
 
 ENDS = [0.5, 0.75, 1.0]
@@ -38,7 +41,7 @@ def drop_folder(path: str) -> None:
         shutil.rmtree(path.removeprefix("file://"), ignore_errors=True)
 
 
-TASK = 500_000  # lines whose occurrences one task holds, where there are more than two tasks for each core
+TASK = 1_000_000  # lines whose occurrences one task holds, where there are more than two tasks for each core
 
 
 def dealt(spark: SparkSession, sf_dir: str, work: str, splits: list[list[float]], by: str = "hash") -> DataFrame:
@@ -47,7 +50,12 @@ def dealt(spark: SparkSession, sf_dir: str, work: str, splits: list[list[float]]
 
     Rows lie by sequence, in tasks large enough that a tree of patterns is not walked for a few sequences each.
     """
-    occ = occurrences(spark, sf_dir, work)
+    return _dealt(spark, sf_dir, work, splits, by).persist()
+
+
+def _dealt(spark: SparkSession, sf_dir: str, work: str, splits: list[list[float]], by: str) -> DataFrame:
+    tasks = max(2 * spark.sparkContext.defaultParallelism, tables.table(spark, sf_dir, "lineitem").count() // TASK)
+    occ = tables.order_brand(spark, sf_dir, tasks) if work == WORK else getattr(tables, work)(spark, sf_dir)
     if by == "hash":
         for k, ends in enumerate(splits):
             occ = split_increments(occ, ends).withColumnRenamed("batch_id", f"batch_{k}")
@@ -55,9 +63,22 @@ def dealt(spark: SparkSession, sf_dir: str, work: str, splits: list[list[float]]
         dates = tables.table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("seq_id"), F.col("o_orderdate").alias("t"))
         for k, ends in enumerate(splits):
             dates = split_increments(dates, ends, "time", "t").withColumnRenamed("batch_id", f"batch_{k}")
-        occ = occ.join(dates.drop("t"), "seq_id")
-    tasks = max(2 * spark.sparkContext.defaultParallelism, tables.table(spark, sf_dir, "lineitem").count() // TASK)
-    return occ.repartition(tasks, "seq_id").persist()
+        dates = dates.drop("t").repartition(tasks, "seq_id")
+        occ = occ.join(dates.hint("shuffle_hash"), "seq_id")
+    occ = occ.withColumn("p", probability())
+    return occ if work == WORK else occ.repartition(tasks, "seq_id")
+
+
+def blocks(spark: SparkSession, sf_dir: str, work: str, splits: list[list[float]], by: str = "hash") -> DataFrame:
+    """The occurrences of `dealt` packed, kept: blocks of sequences that are of the same batches."""
+    return in_blocks(_dealt(spark, sf_dir, work, splits, by), [f"batch_{k}" for k in range(len(splits))]).persist(StorageLevel.MEMORY_AND_DISK)
+
+
+def parts_shared(kept: DataFrame, k: int, n: int, weights: DataFrame | None, path: str) -> tuple[list[DataFrame], Shared]:
+    """The n batches of split k, whose maintainers find them packed."""
+    shared = Shared(weights, path)
+    shared.kept = packed_parts(kept, f"batch_{k}", range(n))
+    return [shared.kept[b].rows for b in range(n)], shared
 
 
 def batches(split: DataFrame, k: int, n: int) -> list[DataFrame]:
@@ -82,6 +103,10 @@ def maintained(spark: SparkSession, sf_dir: str, kind: type[Maintainer], upto: i
     return m, last
 
 
+def _weights(spark: SparkSession, kept: DataFrame) -> DataFrame:
+    return normal_weights(kept.select(F.explode("names").alias("item")))
+
+
 # --- splits
 
 _SHARE = "(('0x' || substr(md5('s|' || seq_id::VARCHAR), 1, 4))::INT / 65536.0)"
@@ -276,12 +301,18 @@ class Study:
         With `share` the runs share what they have in common, the lowest thresholds first; times are then not comparable.
         """
         out, whole = [], {}
-        split = dealt(spark, sf_dir, self.work, self.splits, self.by)
-        everything, w = split.select("seq_id", "pos", "item", "p"), item_weights(spark, split, self.work).persist()
+        if share:
+            kept = blocks(spark, sf_dir, self.work, self.splits, self.by)
+            w = _weights(spark, kept).persist()
+        else:
+            split = dealt(spark, sf_dir, self.work, self.splits, self.by)
+            everything, w = split.select("seq_id", "pos", "item", "p"), item_weights(spark, split, self.work).persist()
         reference = Shared(w, "")  # the whole is the same in all splits
+        if share:
+            reference.kept = packed_parts(kept)
+            everything = reference.kept[0].rows
         for s, ends in enumerate(self.splits):
-            parts = batches(split, s, len(ends))
-            shared = Shared(w, state_folder(spark)) if share else None
+            parts, shared = parts_shared(kept, s, len(ends), w, state_folder(spark)) if share else (batches(split, s, len(ends)), None)
             own = [c for c in self.configs if c.split == s]
             for c in sorted(own, key=lambda c: (c.sup * c.mu, not c.three)) if share else own:
                 params = MiningParams(c.sup, prune="exact")

@@ -109,7 +109,7 @@ class Maintainer:
             return self._limits(*self.shared.sizes[batch_id], batch_id)
         if self.shared and self.params.engine == "arrow":
             packed = self.shared.packed(delta, batch_id)
-            counts, n = spark.createDataFrame([x[:3] for x in packed.items], "item string, occ long, seqs long").coalesce(1), packed.n_seq
+            counts, n = spark.createDataFrame([x[:3] for x in packed.items if x[1]], "item string, occ long, seqs long").coalesce(1), packed.n_seq
         else:
             counts, n = dictionary(delta).select("item", "occ", "seqs"), delta.select("seq_id").distinct().count()
         own = self._save(counts, "own_items", batch_id)

@@ -218,3 +218,19 @@ def test_children_found_together_are_those_found_one_by_one():
         walk(batch, tree, tree.children(), visit)
         totals(batch, tree, Families(tree), *got)
         assert np.allclose(want[0], got[0], rtol=1e-12) and (want[1] == got[1]).all()
+
+
+def test_blocks_hold_the_sequences_of_every_part(spark):
+    """Parts of packed blocks tell what each part's own dictionary does, and are mined as its rows are."""
+    from probseq.operators.encode import dictionary, in_blocks, packed_parts
+    from probseq.operators.miner import mine_capped
+
+    occ, w = toy.toy_occurrences(spark).withColumn("batch_0", (F.col("seq_id") % 2).cast("int")), toy.toy_weights(spark)
+    kept = in_blocks(occ.repartition(3, "seq_id"), ["batch_0"]).persist()
+    for own, packed in [(occ, packed_parts(kept)[0]), *((occ.where(F.col("batch_0") == b), x) for b, x in packed_parts(kept, "batch_0", range(2)).items())]:
+        want = {r["item"]: (r["occ"], r["seqs"], pytest.approx(r["mx"]), pytest.approx(r["sm"])) for r in dictionary(own).collect()}
+        assert {x[0]: x[1:] for x in packed.items if x[1]} == want and packed.n_seq == own.select("seq_id").distinct().count()
+        p = MiningParams(0.2, prune="exact")
+        got, other = mine_capped(own, w, p, 0.2, packed), mine_capped(own, w, p, 0.2)
+        assert {r["pattern"]: (r["support"], pytest.approx(r["wes"])) for r in got.result.collect()} == {r["pattern"]: (r["support"], r["wes"]) for r in other.result.collect()}
+    kept.unpersist()
