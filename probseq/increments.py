@@ -94,12 +94,16 @@ def parts_of(spark: SparkSession, sf_dir: str, work: str, ends: list[float], by:
 
 def maintained(spark: SparkSession, sf_dir: str, kind: type[Maintainer], upto: int | None = None, weighted: bool = True, local: float | None = None) -> tuple[Maintainer, int]:
     """Orders by month: half of the time span, then two increments of a quarter."""
-    parts, w = parts_of(spark, sf_dir, WORK, ENDS, "time")
-    m = kind(MiningParams(SUP, prune="exact"), IncrementParams(MU, GAMMA, local), w if weighted else None, state_folder(spark))
+    kept = blocks(spark, sf_dir, WORK, [ENDS], "time")
+    w = _weights(spark, kept).persist() if weighted else None
+    path = state_folder(spark)
+    parts, shared = parts_shared(kept, 0, len(ENDS), w, path)
+    m = kind(MiningParams(SUP, prune="exact"), IncrementParams(MU, GAMMA, local), w, path, shared)
     m.initialize(parts[0])
     last = len(parts) - 1 if upto is None else upto
     for b in range(1, last + 1):
         m.apply(parts[b], b)
+    kept.unpersist()
     return m, last
 
 
